@@ -38,11 +38,14 @@ _second = ts.Powers(np.uint64(0xA0761D6478BD642F))
 
 
 class Lines:
-    """Lines of a block of rows: byte places, keys' byte places and hashes, and which keys count."""
+    """Lines of a block of rows: byte places, keys' byte places and hashes, and which keys count.
 
-    def __init__(self, data: np.ndarray, offsets: np.ndarray, least: int = LEAST):
+    breaks: the places of the bytes between lines, if they aren't the newlines.
+    """
+
+    def __init__(self, data: np.ndarray, offsets: np.ndarray, least: int = LEAST, breaks: np.ndarray | None = None):
         n = len(data)
-        breaks = np.flatnonzero(data == 10)
+        breaks = np.flatnonzero(data == 10) if breaks is None else breaks
         owner = np.searchsorted(offsets, breaks, "right") - 1
         self.counts = np.bincount(owner, minlength=len(offsets) - 1) + 1
         self.first = np.concatenate([[0], np.cumsum(self.counts)])
