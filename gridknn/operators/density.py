@@ -21,6 +21,15 @@ def cell_counts(train: DataFrame, grid: GridSpec) -> DataFrame:
     return counts.select(grid.code([F.col(f"idx{i}") for i in axes]).alias("cell"), "*")
 
 
+def with_walls(counts: DataFrame, grid: GridSpec) -> DataFrame:
+    """counts with the cells' own walls in place of the tight boxes; border cells reach out to their points."""
+    boxes = {}
+    for i in range(grid.d):
+        low, high = grid.walls(i, F.col(f"idx{i}"))
+        boxes |= {f"lo{i}": F.least(f"lo{i}", low), f"hi{i}": F.greatest(f"hi{i}", high)}
+    return counts.withColumns(boxes)
+
+
 def pyramid(counts: DataFrame, grid: GridSpec) -> DataFrame:
     """up, code, n and boxes of the occupied cells of every level, the root last."""
     axes = range(grid.d)

@@ -77,6 +77,15 @@ class GridSpec:
             return F.lit(0)
         return F.least(F.greatest(F.floor((x - lo) * m / (hi - lo)), F.lit(0)), F.lit(m - 1)).cast("int")
 
+    def walls(self, axis: int, index: Column) -> tuple[Column, Column]:
+        """Where a slice begins and ends."""
+        lo, hi, m = self.lo[axis], self.hi[axis], self.splits[axis]
+        if self.cuts:
+            edges = F.array(*[F.lit(float(c)) for c in (lo, *self.cuts[axis], hi)])
+            return F.element_at(edges, index + 1), F.element_at(edges, index + 2)
+        step = (hi - lo) / m
+        return lo + index * F.lit(step), lo + (index + 1) * F.lit(step)
+
     def code(self, index: Sequence[Column], up: int | Column = 0) -> Column:
         """One bigint for the cell, or for its ancestor `up` levels above."""
         if self.is_pow2:

@@ -30,21 +30,17 @@ def top(nn: Column, k: int) -> Column:
     return F.slice(F.array_sort(nn), 1, k)
 
 
-def _chunks(train: DataFrame) -> int:
-    """Chunks that the fullest cell needs: one number for the driver."""
-    largest = train.groupBy("cell").agg(F.count("*").alias("n")).agg(F.max("n").alias("m")).first()["m"] or 0
-    return -(-largest // CHUNK) or 1
+def chunks(counts: DataFrame) -> int:
+    """Chunks that the fullest cell needs, from counts (cell, n): one number for the driver."""
+    return -(-(counts.agg(F.max("n").alias("m")).first()["m"] or 0) // CHUNK) or 1
 
 
-def train_rows(train: DataFrame) -> DataFrame:
-    """Training points with their chunk."""
-    return train.withColumn("chunk", F.pmod(F.xxhash64("tid"), F.lit(_chunks(train))).cast("int"))
-
-
-def train_blocks(train: DataFrame, d: int) -> DataFrame:
+def train_blocks(train: DataFrame, d: int, parts: int | None = None) -> DataFrame:
     """cell, chunk, pts: the training points as rows of bounded arrays, stored and read by every later probe."""
+    parts = parts or chunks(train.groupBy("cell").agg(F.count("*").alias("n")))
     point = F.struct("tid", *[F.col(f"t{i}") for i in range(d)], "cls")
-    return stored(train_rows(train).groupBy("cell", "chunk").agg(F.collect_list(point).alias("pts")), "train-blocks")
+    chunk = F.pmod(F.xxhash64("tid"), F.lit(parts)).cast("int")
+    return stored(train.withColumn("chunk", chunk).groupBy("cell", "chunk").agg(F.collect_list(point).alias("pts")), "train-blocks")
 
 
 def lists(queries: DataFrame, blocks: DataFrame, d: int, k: int, which: str = "euclidean", physical: str = "blocked", within: bool = False, exclude_self: bool = False, keep_empty: bool = False) -> DataFrame:

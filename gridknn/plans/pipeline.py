@@ -9,9 +9,9 @@ from pyspark.sql import functions as F
 
 from ..functions.vote import majority
 from ..operators import brute, merge, probe
-from ..operators.density import cell_counts
+from ..operators.density import cell_counts, with_walls
 from ..operators.grid import GridSpec
-from ..operators.local import PHYSICAL, lists, train_blocks, unify
+from ..operators.local import PHYSICAL, chunks, lists, train_blocks, unify
 from ..sources.shared import stored
 
 STRATEGIES = ("grow", "merge", "brute")
@@ -57,24 +57,31 @@ def _kth(nn: Column, k: int) -> Column:
     return F.try_element_at(nn, F.lit(k))["dist"]
 
 
-def search(query: DataFrame, train: DataFrame, k: int, grid: GridSpec | None, metric: str = "euclidean", strategy: str = "grow", growth: str | None = None, step: str = "half_cell", physical: str = "blocked", exclude_self: bool = False, growth_scope: str = "point") -> Run:
-    """pid and nn (the list) for each query as Run.final, with the stages that led there."""
+def search(query: DataFrame, train: DataFrame, k: int, grid: GridSpec | None, metric: str = "euclidean", strategy: str = "grow", growth: str | None = None, step: str = "half_cell", physical: str = "blocked", exclude_self: bool = False, growth_scope: str = "point", tight: bool | None = None) -> Run:
+    """pid and nn (the list) for each query as Run.final, with the stages that led there.
+
+    tight: overlap is tested against the tight boxes of the cells' points instead of the cells'
+    walls; the default, except for the literal reading `touch`.
+    """
     d = _axes(query, "q")
     _check(d, k, grid, strategy, growth, physical)
     if strategy == "brute":
         return Run(train=train, query=query, final=brute.all_knn(query, train, d, k, metric, physical, exclude_self))
     query, train = grid.assign(query, "q"), grid.assign(train, "t")
-    run = Run(train=train, query=query, counts=stored(cell_counts(train, grid), "cell-counts"))
+    counts = cell_counts(train, grid)
+    tight = growth != "touch" if tight is None else tight
+    run = Run(train=train, query=query, counts=stored(counts if tight else with_walls(counts, grid), "cell-counts"))
     if strategy == "merge":
         run.regions = stored(merge.regions(train, query, grid, k), "regions")
         query, train = merge.relabel(query, run.regions), merge.relabel(train, run.regions)
         growth = "contain"
     # a query point must not count as its own neighbour, so one more may be needed
     wanted = k + 1 if exclude_self else k
-    blocks = train_blocks(train, d)
+    parts = chunks(run.counts) if strategy == "grow" else chunks(train.groupBy("cell").agg(F.count("*").alias("n")))
+    blocks = train_blocks(train, d, parts)
     coords = [f"q{i}" for i in range(d)]
     first = lists(query, blocks, d, k, metric, physical, exclude_self=exclude_self, keep_empty=True)
-    own = stored(unify(first, k, [*coords, "cell"]), "own-lists")
+    own = stored(unify(first, k, [*coords, "cell"]) if parts > 1 else first, "own-lists")
     run.own = own
     full = own.filter(F.size("nn") >= k).withColumn("r", _kth(F.col("nn"), k)).withColumn("growths", F.lit(0).cast("long"))
     short = own.filter(F.size("nn") < k)
