@@ -37,7 +37,7 @@ BLOCK = 1 << 18
 
 
 def _padded(data: np.ndarray, offsets: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """Rows with WIDTH - 1 zero bytes behind each, so that every byte starts a full filter window."""
+    """Rows with WIDTH zero bytes behind each, so that every byte starts a full filter window."""
     sizes = np.diff(offsets)
     at = np.concatenate([[0], np.cumsum(sizes + WIDTH)])
     out = np.zeros(at[-1] + WIDTH, np.uint8)
@@ -65,7 +65,11 @@ class Network:
         response = pairs[0][code[:n]]
         for k in range(1, len(pairs)):
             response += pairs[k][code[2 * k : n + 2 * k]]
-        halves = np.maximum(1, -(-(np.diff(at) - WIDTH) // HALF))
+        sizes = np.diff(at) - WIDTH
+        ends = at[:-1] + np.maximum(sizes, 1)  # windows that begin later would see the next row
+        beyond = at[1:] - ends
+        response[np.repeat(ends, beyond) + ts.ragged(beyond)] = -np.inf
+        halves = np.maximum(1, -(-sizes // HALF))
         starts = np.repeat(at[:-1], halves) + ts.ragged(halves) * HALF
         return response, np.maximum.reduceat(response, starts, axis=0), starts
 
