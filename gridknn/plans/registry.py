@@ -182,7 +182,7 @@ def _reach_sql(contain: bool) -> str:
     gap = [f"greatest(lo{i} - q.x{i}, 0.0::double, q.x{i} - hi{i})" for i in range(2)]
     span = [f"greatest(abs(q.x{i} - lo{i}), abs(q.x{i} - hi{i}))" for i in range(2)]
     at = "sqrt(" + " + ".join(f"{x} * {x}" for x in (span if contain else gap)) + ")"
-    return f"{_points('skew2')}, tc AS (SELECT *, {_cell(2, n, '')} FROM t), boxes AS (SELECT c0, c1, count(*) AS n, min(x0) AS lo0, max(x0) AS hi0, min(x1) AS lo1, max(x1) AS hi1 FROM tc GROUP BY c0, c1), run AS (SELECT q.pid, {at} AS at, sum(n) OVER (PARTITION BY q.pid ORDER BY {at} RANGE BETWEEN UNBOUNDED PRECEDING AND CURRENT ROW) AS held FROM q, boxes) SELECT pid, floor(min(at) * 1e6)::bigint AS need6 FROM run WHERE held >= 5 GROUP BY pid"
+    return f"{_points('skew2')}, tc AS (SELECT *, {_cell(2, n, '')} FROM t), boxes AS (SELECT c0, c1, count(*) AS n, min(x0) AS lo0, max(x0) AS hi0, min(x1) AS lo1, max(x1) AS hi1 FROM tc GROUP BY c0, c1), run AS (SELECT q.pid, {at} AS edge, sum(n) OVER (PARTITION BY q.pid ORDER BY {at} RANGE BETWEEN UNBOUNDED PRECEDING AND CURRENT ROW) AS held FROM q, boxes) SELECT pid, floor(min(edge) * 1e6)::bigint AS need6 FROM run WHERE held >= 5 GROUP BY pid"
 
 
 _add("radius_touch_skew2", _reach(False), _reach_sql(False))
