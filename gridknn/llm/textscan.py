@@ -15,7 +15,7 @@ import pyarrow.compute as pc
 
 BYTE_BASE = np.uint64(0x9E3779B97F4A7C55)
 WORD_BASE = np.uint64(0xD6E8FEB86659FD93)
-BLOCK_BYTES = 2 << 20
+BLOCK_BYTES = 1 << 19
 
 #: Bytes as they are, but A-Z turned to a-z.
 LOWER = np.arange(256, dtype=np.uint8)
