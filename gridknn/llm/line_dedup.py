@@ -171,6 +171,13 @@ def dropped_keys(docs: DataFrame, key: str = "doc_id", text: str = "text", least
     return few.unionByName(rest).groupBy(key).agg(F.collect_set(F.struct("h1", "h2")).alias("gone"))
 
 
+def small(batches: Iterator[pa.RecordBatch], rows: int = 256) -> Iterator[pa.RecordBatch]:
+    """The batches in slices, so that few rows at a time are Python objects."""
+    for batch in batches:
+        for i in range(0, batch.num_rows, rows):
+            yield batch.slice(i, rows)
+
+
 def _kept(text: str, gone: list[dict], least: int) -> tuple[str, int, int]:
     """The text without the lost lines, its number of lines, and how many went."""
     raw = text.encode()
@@ -210,7 +217,7 @@ def line_dedup_report(docs: DataFrame, key: str = "doc_id", text: str = "text",
     names = whole.columns
 
     def cut(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
+        for batch in small(batches):
             rows = [_kept(t or "", g or [], least) for t, g in zip(batch.column(1).to_pylist(), batch.column(2).to_pylist(), strict=True)]
             out = [pa.array([n for _, n, _ in rows], pa.int64()), pa.array([d for _, _, d in rows], pa.int64()), pa.array([hashlib.sha256(k.encode()).hexdigest() for k, _, _ in rows], pa.string())]
             yield pa.RecordBatch.from_arrays([batch.column(0), *out], names=names)
@@ -225,7 +232,7 @@ def dedup_lines(docs: DataFrame, key: str = "doc_id", text: str = "text", least:
     counted = docs.columns.index(length) if length in docs.columns else None
 
     def cut(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
+        for batch in small(batches):
             columns = batch.columns[:gone]
             texts = [_kept(t or "", g, least)[0] if g else t for t, g in zip(batch.column(at).to_pylist(), batch.column(gone).to_pylist(), strict=True)]
             columns[at] = pa.array(texts, columns[at].type)

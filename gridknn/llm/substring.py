@@ -27,7 +27,7 @@ from pyspark.sql import types as T
 
 from . import textscan as ts
 from .keyfilter import key_filter, passes
-from .line_dedup import HEAVY_LEAST, HEAVY_SHARE, Lines
+from .line_dedup import HEAVY_LEAST, HEAVY_SHARE, Lines, small
 from .storage import saved
 
 LINE, SENTENCE = 20, 50
@@ -134,7 +134,7 @@ def substring_dedup(docs: DataFrame, key: str = "doc_id", text: str = "text", li
 
     def cut(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         shown = lambda spans: ",".join(f"{s}:{e}" for s, e in spans)
-        for batch in batches:
+        for batch in small(batches):
             rows = []
             for value, gone in zip(batch.column(1).to_pylist(), batch.column(2).to_pylist(), strict=True):
                 raw = (value or "").encode()
