@@ -2,8 +2,8 @@
 
 1. Each text becomes a set of 64-bit shingle hashes; equal sets form a class.
 2. Classes are partitioned into groups of similar ones: those that share one of four
-   min-hashes are compared with one centre, and exact links to centres are united. A group
-   is connected by such links, so no pair inside it needs to be looked at again.
+   min-hashes are compared with the bucket's centre, and exact links to centres are united.
+   A group is connected by such links, so no pair inside it needs to be looked at again.
 3. The matrix of tokens and groups holds, for each group, the union of its members' prefix
    tokens: the first quarter of a set (and one more) in an order that puts frequent tokens
    last. Sets that link share a token of both prefixes, so only groups that share a matrix
@@ -27,7 +27,7 @@ import numpy as np
 import pyarrow as pa
 import xxhash
 from pyspark.broadcast import Broadcast
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
@@ -38,11 +38,20 @@ from .keyfilter import key_filter, passes
 from .storage import saved
 
 WORDS, PERCENT = 5, 75
-CENTRES, LOW = 4, 16
+CENTRES, LOW = 4, 12
+#: What class ids are combined with, so that each min-hash orders centres anew.
+TURNS = (0, 0x4000000000000000, -0x7FFFFFFFFFFFFFFF - 1, -0x4000000000000000)
 HEAVY, HEAVY_LEAST = 2_000_000, 8
 #: A pair goes to its centre for comparison if the smallest LOW tokens agree this much.
 HOPEFUL = 0.4
 SLICE = 400
+#: Members of either group that are tried first, round by round.
+FEW = (2, 6)
+#: Size classes of the matrix, and how many of them two linked sets can lie apart.
+SIZE_STEP = 0.06
+SIZE_REACH = int(np.ceil(np.log(100 / PERCENT) / SIZE_STEP)) + 1
+#: Tokens that are counted together before their repetitions are handed on: 16 MB.
+TOGETHER = 2_000_000
 
 
 def shingle_sets(data: np.ndarray, offsets: np.ndarray, size: int = WORDS) -> tuple[np.ndarray, np.ndarray]:
@@ -113,17 +122,25 @@ def _once(ids: np.ndarray, n: np.ndarray, seen: set[int]) -> np.ndarray:
 def frequent_tokens(docs: DataFrame, text: str, total: int) -> tuple[np.ndarray, np.ndarray]:
     """Sorted tokens that repeat at least so often that no more than HEAVY can, and a rank of their frequency."""
 
+    def repeated(held: list[np.ndarray]) -> pa.RecordBatch:
+        values, counts = np.unique(np.concatenate(held), return_counts=True)
+        again = counts > 1
+        return pa.RecordBatch.from_arrays([pa.array(values[again].view(np.int64)), pa.array(counts[again])], names=["token", "n"])
+
     def scan(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             seen: set[int] = set()
-            held = [np.zeros(0, np.uint64)]
+            held, size = [np.zeros(0, np.uint64)], 0
             for _, _, tokens, first, ids in _set_blocks(batch.column(0)):
                 n = np.diff(first)
                 rows = _once(ids, n, seen)
-                held.append(tokens[np.repeat(first[:-1][rows], n[rows]) + ts.ragged(n[rows])] if len(rows) else tokens[:0])
-            values, counts = np.unique(np.concatenate(held), return_counts=True)
-            again = counts > 1
-            yield pa.RecordBatch.from_arrays([pa.array(values[again].view(np.int64)), pa.array(counts[again])], names=["token", "n"])
+                if len(rows):
+                    held.append(tokens[np.repeat(first[:-1][rows], n[rows]) + ts.ragged(n[rows])])
+                    size += len(held[-1])
+                if size > TOGETHER:
+                    yield repeated(held)
+                    held, size = held[:1], 0
+            yield repeated(held)
 
     least = max(HEAVY_LEAST, -(-total // HEAVY))
     found = docs.select(text).mapInArrow(scan, "token long, n long").groupBy("token").agg(F.sum("n").alias("n")).filter(F.col("n") >= least).toArrow()
@@ -137,8 +154,8 @@ def _least_common(n: np.ndarray) -> np.ndarray:
     return (PERCENT * n + 99) // 100
 
 
-def prefixes(docs: DataFrame, text: str, heavy: Broadcast) -> DataFrame:
-    """cid, tokens: each class's prefix (at least once)."""
+def prefixes(docs: DataFrame, text: str, heavy: Broadcast, marked: Broadcast, wanted: bool) -> DataFrame:
+    """cid, n, tokens: size and prefix (at least once) of the classes that pass the filter, or that don't."""
 
     def scan(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         known, rank = heavy.value
@@ -146,7 +163,7 @@ def prefixes(docs: DataFrame, text: str, heavy: Broadcast) -> DataFrame:
         for batch in batches:
             for _, _, tokens, first, ids in _set_blocks(batch.column(0)):
                 n = np.diff(first)
-                rows = _once(ids, n, seen)
+                rows = _once(ids, n * (passes(marked.value, ids) == wanted), seen)
                 if not len(rows):
                     continue
                 n = n[rows]
@@ -157,34 +174,55 @@ def prefixes(docs: DataFrame, text: str, heavy: Broadcast) -> DataFrame:
                     late = np.where(known[at] == mine, rank[at], 0).astype(np.int64)
                     mine = mine[np.argsort(owner << 8 | late, kind="stable")]
                 size = n - _least_common(n) + 1
-                yield pa.RecordBatch.from_arrays([pa.array(ids[rows]), _lists(mine[ts.ragged(n) < size[owner]], size)], names=["cid", "tokens"])
+                yield pa.RecordBatch.from_arrays([pa.array(ids[rows]), pa.array(n), _lists(mine[ts.ragged(n) < size[owner]], size)], names=["cid", "n", "tokens"])
+
+    return docs.select(text).mapInArrow(scan, "cid long, n long, tokens array<long>")
+
+
+def grouped_prefixes(docs: DataFrame, text: str, heavy: Broadcast, grouped: DataFrame) -> DataFrame:
+    """Prefixes with their group; only classes that may have others in their group are joined for it."""
+    marked = key_filter(grouped, "node")
+    joined = prefixes(docs, text, heavy, marked, True).join(grouped.withColumnRenamed("node", "cid"), "cid", "left")
+    alone = prefixes(docs, text, heavy, marked, False)
+    return joined.select(F.coalesce("label", "cid").alias("g"), "n", "tokens").unionByName(alone.select(F.col("cid").alias("g"), "n", "tokens"))
 
-    return docs.select(text).mapInArrow(scan, "cid long, tokens array<long>")
+
+def _size_class(n: np.ndarray) -> np.ndarray:
+    """A byte that rises with the logarithm of the set's size."""
+    return np.minimum(np.floor(np.log(np.maximum(n, 1)) / SIZE_STEP), 255).astype(np.int64)
 
 
 def matrix(prefix: DataFrame) -> DataFrame:
-    """(token, g) rows of classes' prefixes with their group, each once in a batch at least."""
+    """(token, g) rows of classes' prefixes with their group, each once in a batch at least.
+
+    The token's low byte gives way to the size class of the set, so that equal tokens lie
+    together by size and sets of unlike sizes needn't be paired.
+    """
 
     def scan(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             lists = batch.column(1)
-            tokens = lists.flatten().to_numpy()
-            groups = np.repeat(batch.column(0).to_numpy(), np.diff(lists.offsets.to_numpy()))
+            sizes = np.diff(lists.offsets.to_numpy())
+            groups = np.repeat(batch.column(0).to_numpy(), sizes)
+            tokens = lists.flatten().to_numpy() & ~np.int64(255) | np.repeat(_size_class(batch.column(2).to_numpy()), sizes)
             order = np.lexsort((groups, tokens))
             tokens, groups = tokens[order], groups[order]
             new = np.ones(len(tokens), bool)
             new[1:] = (tokens[1:] != tokens[:-1]) | (groups[1:] != groups[:-1])
             yield pa.RecordBatch.from_arrays([pa.array(tokens[new]), pa.array(groups[new])], names=["token", "g"])
 
-    return prefix.select("g", "tokens").mapInArrow(scan, "token long, g long")
+    return prefix.select("g", "tokens", "n").mapInArrow(scan, "token long, g long")
 
 
 def shared_rows(rows: DataFrame) -> DataFrame:
     """(a, b, shared): how many matrix rows two groups share, a < b."""
 
-    def pairs(groups: np.ndarray) -> Iterator[tuple[np.ndarray, np.ndarray]]:
+    def pairs(groups: np.ndarray, sizes: np.ndarray) -> Iterator[tuple[np.ndarray, np.ndarray]]:
+        ends = np.searchsorted(sizes, sizes + SIZE_REACH, "right")
         for i in range(len(groups) - 1):
-            yield np.full(len(groups) - i - 1, groups[i]), groups[i + 1 :]
+            others = groups[i + 1 : ends[i]]
+            others = others[others != groups[i]]
+            yield np.minimum(groups[i], others), np.maximum(groups[i], others)
 
     def scan(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         token0, g0 = np.zeros(0, np.int64), np.zeros(0, np.int64)
@@ -196,16 +234,18 @@ def shared_rows(rows: DataFrame) -> DataFrame:
             new = np.ones(len(token), bool)
             new[1:] = (token[1:] != token[:-1]) | (g[1:] != g[:-1])
             token, g = token[new], g[new]
-            starts = np.flatnonzero(np.concatenate([[True], token[1:] != token[:-1]]))
+            size, word = token & 255, token >> 8
+            starts = np.flatnonzero(np.concatenate([[True], word[1:] != word[:-1]]))
             done = starts[-1] if batch else len(token)
             token0, g0 = token[done:], g[done:]
             ends = np.append(starts[1:], len(token))
             keep = (ends <= done) & (ends - starts > 1)
             starts, sizes = starts[keep], (ends - starts)[keep]
             two = starts[sizes == 2]
-            left, right, held = [g[two]], [g[two + 1]], len(two)
+            two = two[(size[two + 1] - size[two] <= SIZE_REACH) & (g[two] != g[two + 1])]
+            left, right, held = [np.minimum(g[two], g[two + 1])], [np.maximum(g[two], g[two + 1])], len(two)
             for s, n in zip(starts[sizes > 2].tolist(), sizes[sizes > 2].tolist(), strict=True):
-                for a, b in pairs(g[s : s + n]):
+                for a, b in pairs(g[s : s + n], size[s : s + n]):
                     left.append(a)
                     right.append(b)
                     held += len(a)
@@ -215,7 +255,7 @@ def shared_rows(rows: DataFrame) -> DataFrame:
             if held:
                 yield _counted(left, right)
 
-    dealt = rows.repartition("token").sortWithinPartitions("token", "g")
+    dealt = rows.repartition(F.shiftright("token", 8)).sortWithinPartitions("token", "g")
     return dealt.mapInArrow(scan, "a long, b long, n long").groupBy("a", "b").agg(F.sum("n").alias("shared"))
 
 
@@ -232,9 +272,9 @@ def _counted(left: list[np.ndarray], right: list[np.ndarray]) -> pa.RecordBatch:
     return pa.RecordBatch.from_arrays([pa.array(a[first]), pa.array(b[first]), pa.array(np.diff(np.append(first, len(a))))], names=["a", "b", "n"])
 
 
-def verified(docs: DataFrame, text: str, pairs: DataFrame) -> DataFrame:
-    """The pairs (a, b) of class ids whose sets link, compared on the texts."""
-    wanted = key_filter(pairs.select(F.explode(F.array("a", "b")).alias("c")).distinct(), "c")
+def class_texts(docs: DataFrame, text: str, wanted: DataFrame) -> DataFrame:
+    """(cid, body): one packed text of each wanted class (and of a few others that pass the filter)."""
+    wanted = key_filter(wanted, "c")
 
     def bodies(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         seen: set[int] = set()
@@ -245,7 +285,15 @@ def verified(docs: DataFrame, text: str, pairs: DataFrame) -> DataFrame:
                 texts = batch.column(0).slice(a, b - a).take(pa.array(rows)).to_pylist()
                 yield pa.RecordBatch.from_arrays([pa.array(ids[rows]), pa.array([pack_text(t) for t in texts], pa.binary())], names=["cid", "body"])
 
-    texts = saved(docs.select(text).mapInArrow(bodies, "cid long, body binary").dropDuplicates(["cid"]), "class-texts")
+    return saved(docs.select(text).mapInArrow(bodies, "cid long, body binary").dropDuplicates(["cid"]), "class-texts")
+
+
+def _ends(pairs: DataFrame) -> DataFrame:
+    return pairs.select(F.explode(F.array("a", "b")).alias("c")).distinct()
+
+
+def verified(texts: DataFrame, pairs: DataFrame) -> DataFrame:
+    """The pairs (a, b) of class ids whose sets link, compared on the texts."""
     both = pairs.join(texts.select(F.col("cid").alias("a"), F.col("body").alias("x")), "a").join(texts.select(F.col("cid").alias("b"), F.col("body").alias("y")), "b").select("a", "b", "x", "y")
 
     def compare(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -268,11 +316,23 @@ def verified(docs: DataFrame, text: str, pairs: DataFrame) -> DataFrame:
     return saved(both.mapInArrow(compare, "a long, b long"), "links")
 
 
-def centre_pairs(classes: DataFrame) -> DataFrame:
-    """(a, b): a class and the centre of a min-hash bucket that it is in, if their smallest tokens agree."""
-    placed = classes.filter("n > 0").select("cid", F.posexplode("keys").alias("i", "h"))
-    centres = saved(placed.groupBy("i", "h").agg(F.min("cid").alias("b"), F.max("cid").alias("top")).filter("b <> top").drop("top"), "centres")
-    pairs = placed.join(centres, ["i", "h"]).filter("cid <> b").select(F.col("cid").alias("a"), "b").distinct()
+def apart(pairs: DataFrame, labels: DataFrame, a: str = "a", b: str = "b") -> DataFrame:
+    """The pairs whose ends aren't yet known to be connected."""
+    side = lambda c: labels.select(F.col("node").alias(c), F.col("label").alias(f"label_{c}"))
+    both = pairs.join(side(a), a, "left").join(side(b), b, "left")
+    return both.filter(F.coalesce(f"label_{a}", a) != F.coalesce(f"label_{b}", b)).select(pairs.columns)
+
+
+def centre_pairs(classes: DataFrame, which: tuple[int, ...]) -> DataFrame:
+    """(a, b): a class and the centre of a min-hash bucket that it is in, if their smallest tokens agree.
+
+    Each of the min-hashes prefers other centres, so that a class has several chances.
+    """
+    placed = classes.filter("n > 0").select("cid", F.posexplode("keys").alias("i", "h")).filter(F.col("i").isin(*which))
+    turn = F.element_at(F.array(*[F.lit(t) for t in TURNS]), F.col("i") + 1)
+    turned = placed.withColumn("t", F.col("cid").bitwiseXOR(turn))
+    centres = saved(turned.groupBy("i", "h").agg(F.min("t").alias("t"), F.max("t").alias("top")).filter("t <> top").select("i", "h", F.col("t").bitwiseXOR(turn).alias("b")), "centres")
+    pairs = placed.join(centres, ["i", "h"]).filter("cid <> b").select(F.least("cid", "b").alias("a"), F.greatest("cid", "b").alias("b")).distinct()
     side = lambda c, low, n: classes.select(F.col("cid").alias(c), F.col("low").alias(low), F.col("n").alias(n))
     both = pairs.join(side("a", "la", "na"), "a").join(side("b", "lb", "nb"), "b")
     near = F.size(F.array_intersect("la", "lb")) >= HOPEFUL * F.least(F.size("la"), F.size("lb"))
@@ -280,7 +340,7 @@ def centre_pairs(classes: DataFrame) -> DataFrame:
 
 
 def opened(shared: DataFrame, members: DataFrame) -> DataFrame:
-    """(a, b) pairs of classes in those pairs of groups that may hold a link."""
+    """(a, b, single): the pairs of groups that may hold a link, and whether both are single classes."""
     groups = saved(members.groupBy("g").agg(F.count("*").alias("m"), F.min("n").alias("lo"), F.max("n").alias("hi")), "groups")
     side = lambda g: groups.select(F.col("g").alias(g), *[F.col(c).alias(f"{c}_{g}") for c in ("m", "lo", "hi")])
     both = shared.join(side("a"), "a").join(side("b"), "b")
@@ -290,11 +350,44 @@ def opened(shared: DataFrame, members: DataFrame) -> DataFrame:
     # |x & y| <= shared + what lies behind the prefix that ends first; a link needs 75/175 of both sizes
     overlap = F.col("shared") + F.greatest(least(F.col("lo_a")), least(F.col("lo_b"))) - 1
     enough = (100 + PERCENT) * overlap >= PERCENT * (F.col("lo_a") + F.col("lo_b"))
-    passing = saved(both.filter(sizes & (~single | enough)).select("a", "b", single.alias("single")), "opened")
-    inside = lambda g, c: members.select(F.col("g").alias(g), F.col("cid").alias(c), F.col("n").alias("n" + c))
-    many = passing.filter("not single").join(inside("a", "x"), "a").join(inside("b", "y"), "b")
-    many = many.filter(100 * F.least("nx", "ny") >= PERCENT * F.greatest("nx", "ny")).select(F.col("x").alias("a"), F.col("y").alias("b"))
-    return saved(passing.filter("single").select("a", "b").unionByName(many), "opened-pairs")
+
+    def least_shared(small: str, large: str) -> Column:
+        """The rows that sets of the groups share at least, if the larger one is from `large`."""
+        x, y = F.greatest(F.col(f"lo_{small}"), PERCENT / 100 * F.col(f"hi_{large}")), F.col(f"hi_{large}")
+        return F.when(y >= F.col(f"lo_{small}"), PERCENT / (100 + PERCENT) * (x + y) - PERCENT / 100 * y)
+
+    possible = F.col("shared") + 1e-6 >= F.least(least_shared("a", "b"), least_shared("b", "a"))
+    passing = saved(both.filter(sizes & F.when(single, enough).otherwise(possible)).select("a", "b", single.alias("single")), "opened")
+    return passing
+
+
+def group_links(docs: DataFrame, text: str, passing: DataFrame, members: DataFrame, links: DataFrame) -> DataFrame:
+    """All links found, those between opened groups included.
+
+    One link connects two groups, and the rest between them changes nothing. So each pair of
+    groups is first tried with a few members of either side, twice; only groups that are still
+    apart are compared in full.
+    """
+    alone = passing.filter("single").select("a", "b")
+    open_ = passing.filter("not single").select("a", "b")
+    sized = members.join(passing.filter("not single").select(F.explode(F.array("a", "b")).alias("g")).distinct(), "g", "left_semi")
+    sized = saved(sized.join(sized.groupBy("g").agg(F.count("*").alias("m")), "g"), "open-members")
+    texts = class_texts(docs, text, _ends(alone).unionByName(sized.select(F.col("cid").alias("c"))))
+    links = links.unionByName(verified(texts, alone))
+    # a group answers to any of its members' label
+    first = sized.groupBy("g").agg(F.min("cid").alias("node"))
+    for few in (*FEW, None):
+        labels = components(links)
+        of_groups = first.join(labels, "node", "left").select(F.col("g").alias("node"), F.coalesce("label", "node").alias("label"))
+        open_ = saved(apart(open_, of_groups), "open-groups")
+        if open_.isEmpty():
+            break
+        chosen = sized if few is None else sized.filter(F.pmod(F.xxhash64("cid"), F.ceil(F.col("m") / few)) == 0)
+        inside = lambda g, c, chosen=chosen: chosen.select(F.col("g").alias(g), F.col("cid").alias(c), F.col("n").alias("n" + c))
+        many = open_.join(inside("a", "x"), "a").join(inside("b", "y"), "b")
+        many = many.filter(100 * F.least("nx", "ny") >= PERCENT * F.greatest("nx", "ny")).select(F.col("x").alias("a"), F.col("y").alias("b"))
+        links = links.unionByName(verified(texts, saved(many, "opened-pairs")))
+    return links
 
 
 def jaccard_components(docs: DataFrame, key: str = "doc_id", text: str = "text") -> DataFrame:
@@ -302,14 +395,16 @@ def jaccard_components(docs: DataFrame, key: str = "doc_id", text: str = "text")
     spark = docs.sparkSession
     signed = saved(signatures(docs, key, text), "signatures")
     classes = saved(signed.filter("n > 0").groupBy("cid").agg(F.min(key).alias("least"), F.first("n").alias("n"), F.first("keys").alias("keys"), F.first("low").alias("low")), "classes")
-    links = verified(docs, text, saved(centre_pairs(classes), "centre-pairs"))
+    near, more = (saved(centre_pairs(classes, which), "centre-pairs") for which in ((0, 1), (2, 3)))
+    texts = class_texts(docs, text, _ends(near.unionByName(more)))
+    links = verified(texts, near)
+    links = links.unionByName(verified(texts, apart(more, components(links))))
     grouped = components(links)
     members = saved(classes.select("cid", "n").join(grouped.withColumnRenamed("node", "cid"), "cid", "left").select("cid", "n", F.coalesce("label", "cid").alias("g")), "members")
     total = classes.agg(F.coalesce(F.sum("n"), F.lit(0)).alias("t")).first()["t"]
     heavy = spark.sparkContext.broadcast(frequent_tokens(docs, text, total))
-    prefix = prefixes(docs, text, heavy).join(members.select("cid", "g"), "cid")
-    shared = saved(shared_rows(matrix(prefix)), "shared-rows")
-    links = links.unionByName(verified(docs, text, opened(shared, members)))
+    shared = saved(shared_rows(matrix(grouped_prefixes(docs, text, heavy, grouped))), "shared-rows")
+    links = group_links(docs, text, opened(shared, members), members, links)
     labels = components(links).withColumnRenamed("node", "cid")
     rooted = classes.select("cid", "least").join(labels, "cid", "left").withColumn("label", F.coalesce("label", "cid"))
     smallest = rooted.groupBy("label").agg(F.min("least").alias("component_id"))
