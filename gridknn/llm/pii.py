@@ -127,10 +127,11 @@ def context_spans(found: DataFrame, docs: DataFrame, text: str = "text", specifi
     for i in range(rounds):
         weighed = edges.join(belief, "instance").groupBy("pattern").agg(F.avg("belief").alias("confidence"), F.count_if("seed").alias("seeded"))
         trusted = weighed.filter((F.col("confidence") >= confident) & (F.col("seeded") >= support))
-        doubt = F.exp(F.sum(F.log1p(-F.least("confidence", F.lit(0.999)))))
-        derived = edges.join(trusted, "pattern").groupBy("instance").agg(F.greatest(F.max(F.col("seed").cast("double")), 1 - doubt).alias("belief"))
-        belief = saved(derived, f"pii-belief-{i}")
-    sure = belief.filter(F.col("belief") >= confident).select("instance")
+        doubt = F.exp(F.sum(F.log1p(-F.least(F.coalesce("confidence", F.lit(0.0)), F.lit(0.999)))))
+        # every instance stays, also those that nothing speaks for: a confidence is the mean over all of them
+        derived = edges.join(trusted.select("pattern", "confidence"), "pattern", "left").groupBy("instance").agg(F.max(F.col("seed").cast("double")).alias("own"), (1 - doubt).alias("passed"))
+        belief = saved(derived.select("instance", "passed", F.greatest("own", "passed").alias("belief")), f"pii-belief-{i}")
+    sure = belief.filter(F.col("passed") >= confident).select("instance")
     return rows.filter(~F.col("taken")).join(cues, "pattern", "left_semi").join(sure, "instance", "left_semi").select("row", "s", "e")
 
 

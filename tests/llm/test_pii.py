@@ -58,6 +58,16 @@ def test_contexts_discover_unseen_identifiers(spark):
     assert spans[12] == f"context:{at}:{at + len('cust-778812x')}"
 
 
+def test_a_refused_cue_stays_refused(spark):
+    """`blend:` shares five addresses with the trusted `mailbox:`, but stands before 60 other tokens."""
+    trusted = [f"some mailbox: user{i}@host.example and more" for i in range(12)]
+    shared = [f"some blend: user{i}@host.example and more" for i in range(5)]
+    clean = [f"some blend: lot-{4000 + i}x and more" for i in range(60)]
+    spans = check(spark, [*trusted, *shared, *clean, "in mailbox: cust-778812x again"])
+    assert not [i for i in range(17, 77) if "context" in spans[i]]
+    assert "context" in spans[77]
+
+
 def test_empty_table_and_masking(spark):
     assert pii.find_personal_data(spark.createDataFrame([], "doc_id long, text string")).collect() == []
     docs = spark.createDataFrame([(1, "mail a@b.cd or 1.2.3.4!"), (2, None), (3, "none")], "doc_id long, text string")
