@@ -3,16 +3,24 @@
 Counts of all words of the training rows are gathered. Words whose share of the training
 tokens is at least SHARE (of which there can be no more than 1 / SHARE) get a number and
 unigram arcs from the root state; the counts of all others stay in a table that documents'
-words are joined with. N-grams of numbered words whose share is at least CONTEXT_SHARE are
-found level by level (an n-gram is no more frequent than its parts) and become states:
-absolute discounting gives their arcs, and what it leaves goes to a failure arc to the state
-of the shorter context, weighted so that each state's probabilities sum to one. One
-left-to-right traversal carries the state of each document and adds up log-probabilities; a
-batch's documents step together. At a word without a number the failure arcs lead to the
-root, and its unigram probability comes from the join.
-
-Shares, not counts, decide, so the model behaves alike at every size, and the automaton has
-at most 1 / SHARE + 2 / CONTEXT_SHARE arcs. Words are told apart by a 64-bit hash.
+words are joined with. The model's n-grams are all bigrams and trigrams that occur at least
+LEAST times, of whatever words. Absolute discounting gives their arcs, and what it leaves goes
+to a failure arc to the shorter context, weighted so that each context's probabilities sum to
+one. N-grams of numbered words whose share is at least CONTEXT_SHARE are found level by level
+(an n-gram is no more frequent than its parts) and become states of a broadcast automaton;
+all others stay in tables. One left-to-right traversal of the automaton carries the state of
+each document and adds up log-probabilities; a batch's documents step together. At a word
+without a number the failure arcs lead to the root, and its unigram probability comes from
+the join.
+
+With W a context's failure weight (log10; 0 if it has no arcs), the log-probability of c after
+a, b is that of c alone, plus W(b), plus W(ab), plus what the arc of bc gains over failing at
+b, plus what the arc of abc gains over failing at ab. Each term belongs to one n-gram, so
+those that the automaton lacks are added by a join of the document's n-grams with the tables.
+
+The shares only divide the work: scores don't depend on them. The automaton has at most
+1 / SHARE + 2 / CONTEXT_SHARE arcs, the tables grow with the input. Words, pairs and triples
+are told apart by 64-bit hashes.
 
 Null text: empty, one token (the end). Rows with a null key count as training rows. Repeated
 rows train and are scored as rows of their own. Extra columns are not read. Without training
@@ -31,11 +39,13 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from . import textscan as ts
+from .keyfilter import key_filter, passes
 from .storage import saved
 
-SHARE, CONTEXT_SHARE, DISCOUNT, ORDER = 1e-6, 1e-5, 0.5, 3
+SHARE, CONTEXT_SHARE, DISCOUNT, ORDER, LEAST = 1e-6, 1e-5, 0.5, 3, 2
 FOLDS, HELD_OUT = 5, 1
 END = np.uint64(0xE5D0C0DE00000001)
+START = np.uint64(0xE5D0C0DE00000002)
 BITS = 20
 COLD = -1
 
@@ -167,6 +177,7 @@ class Automaton:
         self.log = np.log10(np.concatenate([p2, p3]))[order]
         self.root_log, self.root_to = np.log10(p1), one_state[:-1]
         self.begin = int(one_state[v.start])
+        self.ones, self.twos, self.pairs, self.triples = ones, twos, pairs[0], triples[0]
 
     def step(self, state: np.ndarray, word: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
         """Next states and added log-probabilities; a cold word adds only the failure arcs' weights."""
@@ -210,6 +221,127 @@ class Automaton:
         return out
 
 
+def _mixed(a: np.ndarray, b: np.ndarray) -> np.ndarray:
+    x = a * np.uint64(0x9E3779B97F4A7C15) + b
+    x = (x ^ (x >> np.uint64(32))) * np.uint64(0xD6E8FEB86659FD93)
+    return x ^ (x >> np.uint64(29))
+
+
+def _pairs_of(tokens: np.ndarray, first: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Left words, right words and keys of the pairs of each row: as many as tokens, the first with the start."""
+    left = np.concatenate([tokens[:1], tokens[:-1]])
+    left[first[:-1]] = START
+    return left, tokens, _mixed(left, tokens)
+
+
+def _triples_of(pairs: np.ndarray, first: np.ndarray) -> np.ndarray:
+    """Places of the second pairs of the rows' triples."""
+    inner = np.ones(len(pairs), bool)
+    inner[first[:-1]] = False
+    return np.flatnonzero(inner)
+
+
+def _gram_counts(train: DataFrame, text: str, pairs=None) -> DataFrame:
+    """(k, a, b, c) of pairs that occur LEAST times; with a filter of those, of triples, a and b being pairs."""
+
+    def scan(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for _, _, tokens, first in _token_blocks(batch.column(0)):
+                a, b, k = _pairs_of(tokens, first)
+                if pairs is not None:
+                    at = _triples_of(k, first)
+                    held = passes(pairs.value, k)
+                    at = at[held[at] & held[at - 1]]
+                    a, b = k[at - 1], k[at]
+                    k = _mixed(a, b)
+                k, at, c = np.unique(k, return_index=True, return_counts=True)
+                yield pa.RecordBatch.from_arrays([pa.array(x.view(np.int64)) for x in (k, a[at], b[at], c)], names=["k", "a", "b", "c"])
+
+    found = train.select(text).mapInArrow(scan, "k long, a long, b long, c long")
+    return found.groupBy("k").agg(F.first("a").alias("a"), F.first("b").alias("b"), F.sum("c").alias("c")).filter(F.col("c") >= LEAST)
+
+
+def _looked_up(df: DataFrame, facts: DataFrame, key: str, often) -> DataFrame:
+    """df joined with facts, whose often needed rows (few by a bound) are broadcast."""
+    many = F.broadcast(facts.filter(often))
+    return df.join(many, key).unionByName(df.join(F.broadcast(facts.filter(often).select(key)), key, "left_anti").join(facts.filter(~often), key))
+
+
+def gram_tables(train: DataFrame, text: str, counts: DataFrame, n: int, v: int, texts: int) -> tuple[DataFrame, DataFrame, DataFrame]:
+    """words (w, seen, w1), pairs (k, c, gain, w2) and triples (k, c, gain): failure weights and what arcs gain over failing."""
+    least = max(LEAST, int(np.ceil(CONTEXT_SHARE * n)))
+    pairs = saved(_gram_counts(train, text), "pair-counts")
+    triples = saved(_gram_counts(train, text, key_filter(pairs, "k")), "triple-counts")
+    p1 = (F.col("cb") + 0.5) / F.lit(n + 0.5 * (v + 1))
+    ended = _looked_up(pairs, counts.select(F.col("w").alias("b"), F.col("c").alias("cb")), "b", F.col("cb") >= least)
+    start = train.sparkSession.createDataFrame([(int(START.view(np.int64)), texts)], "w long, c long")
+    left = ended.groupBy("a").agg(F.sum(F.col("c") - DISCOUNT).alias("spent"), F.sum(p1).alias("below"))
+    seen = counts.unionByName(start).select(F.col("w").alias("a"), F.col("c").alias("seen"))
+    words = saved(left.join(seen, "a").select("a", "seen", F.log10((1 - F.col("spent") / F.col("seen")) / (1 - F.col("below"))).alias("w1")), "word-weights")
+    p2 = F.log10((F.col("c") - DISCOUNT) / F.col("seen"))
+    arcs = saved(_looked_up(ended, words, "a", F.col("seen") >= least).select("k", "c", p2.alias("p2"), (p2 - F.col("w1") - F.log10(p1)).alias("gain")), "pair-arcs")
+    ended = _looked_up(triples, arcs.select(F.col("k").alias("b"), F.col("c").alias("cb"), "p2"), "b", F.col("cb") >= least)
+    left = ended.groupBy("a").agg(F.sum(F.col("c") - DISCOUNT).alias("spent"), F.sum(F.pow(F.lit(10.0), F.col("p2"))).alias("below"))
+    seen = arcs.select(F.col("k").alias("a"), F.col("c").alias("seen"))
+    contexts = saved(left.join(seen, "a").select("a", "seen", F.log10((1 - F.col("spent") / F.col("seen")) / (1 - F.col("below"))).alias("w2")), "pair-weights")
+    gain = F.log10((F.col("c") - DISCOUNT) / F.col("seen")) - F.col("w2") - F.col("p2")
+    longer = saved(_looked_up(ended, contexts, "a", F.col("seen") >= least).select("k", "c", gain.alias("gain")), "triple-arcs")
+    both = arcs.select("k", "c", "gain").join(contexts.select(F.col("a").alias("k"), "w2"), "k", "left")
+    return words.withColumnRenamed("a", "w"), saved(both, "pair-terms"), longer
+
+
+@dataclass
+class Rest:
+    """What the automaton lacks: terms of the start and the numbered words, of frequent n-grams (sorted keys), and a filter of the others."""
+
+    start: float
+    words: np.ndarray
+    keys: np.ndarray
+    terms: np.ndarray
+    others: np.ndarray
+
+
+def _at(keys: np.ndarray, terms: np.ndarray, wanted: np.ndarray) -> np.ndarray:
+    """Terms of the wanted keys (0 if there is none); keys are sorted."""
+    if not len(keys):
+        return np.zeros(len(wanted))
+    at = np.minimum(np.searchsorted(keys, wanted), len(keys) - 1)
+    return np.where(keys[at] == wanted, terms[at], 0.0)
+
+
+def complete(vocabulary: Vocabulary, automaton: Automaton, words: DataFrame, pairs: DataFrame, triples: DataFrame) -> tuple[Rest, DataFrame]:
+    """Gives the automaton's failure arcs the whole model's weights; returns what it lacks, and the rare n-grams' (k, term)."""
+    n = vocabulary.total
+    least = max(LEAST, int(np.ceil(CONTEXT_SHARE * n)))
+
+    def sorted_columns(df: DataFrame) -> list[np.ndarray]:
+        found = df.toArrow()
+        key, *more = (found.column(i).to_numpy() for i in range(found.num_columns))
+        key = key.view(np.uint64)
+        order = np.argsort(key)
+        return [key[order], *(x[order] for x in more)]
+
+    numbered = (F.col("seen") >= max(1, int(np.ceil(SHARE * n)))) | (F.col("w") == int(START.view(np.int64)))
+    of_word = _at(*sorted_columns(words.filter(numbered).select("w", "w1")), np.append(vocabulary.hashes, START))
+    k2, gain2, w2 = sorted_columns(pairs.filter(F.col("c") >= least).select("k", "gain", F.coalesce("w2", F.lit(0.0))))
+    k3, gain3 = sorted_columns(triples.filter(F.col("c") >= least).select("k", "gain"))
+    hashes, mask = np.append(vocabulary.hashes, START), (1 << BITS) - 1
+    keyed = lambda pair: _mixed(hashes[pair >> BITS], hashes[pair & mask])
+    ones, twos = automaton.ones, keyed(automaton.twos)
+    automaton.weight[1 : 1 + len(ones)] = of_word[ones]
+    automaton.weight[1 + len(ones) :] = _at(k2, w2, twos)
+    of_word[ones] = 0
+    first, last = automaton.triples >> BITS, (automaton.triples >> BITS & mask) << BITS | automaton.triples & mask
+    lacks2 = np.where(np.isin(k2, keyed(automaton.pairs)), 0, gain2) + np.where(np.isin(k2, twos), 0, w2)
+    lacks3 = np.where(np.isin(k3, _mixed(keyed(first), keyed(last))), 0, gain3)
+    keys, terms = np.concatenate([k2, k3]), np.concatenate([lacks2, lacks3])
+    order = np.argsort(keys)
+    order = order[terms[order] != 0]
+    rare = F.col("c") < least
+    others = saved(pairs.filter(rare).select("k", (F.col("gain") + F.coalesce("w2", F.lit(0.0))).alias("term")).unionByName(triples.filter(rare).select("k", F.col("gain").alias("term"))), "rare-terms")
+    return Rest(float(of_word[-1]), of_word[:-1], keys[order], terms[order], key_filter(others, "k").value), others
+
+
 def build(train: DataFrame, text: str, counts: DataFrame) -> tuple[Vocabulary, Automaton]:
     sums = counts.agg(F.coalesce(F.sum("c"), F.lit(0)).alias("n"), F.count("*").alias("v")).first()
     n = sums["n"]
@@ -231,16 +363,20 @@ def score_documents(docs: DataFrame, key: str = "doc_id", text: str = "text") ->
     train = docs.filter(~held)
     counts = saved(word_counts(train, text), "word-counts")
     vocabulary, automaton = build(train, text, counts)
-    model = docs.sparkSession.sparkContext.broadcast((vocabulary, automaton))
+    texts = counts.filter(F.col("w") == int(END.view(np.int64))).agg(F.coalesce(F.sum("c"), F.lit(0)).alias("n")).first()["n"]
+    word_terms, pairs, triples = gram_tables(train, text, counts, vocabulary.total, vocabulary.distinct, texts)
+    lacking, others = complete(vocabulary, automaton, word_terms, pairs, triples)
+    model = docs.sparkSession.sparkContext.broadcast((vocabulary, automaton, lacking))
     cold = T.ArrayType(T.StructType([T.StructField("w", T.LongType()), T.StructField("tf", T.LongType())]))
-    schema = T.StructType([T.StructField("row", T.LongType()), T.StructField(key, docs.schema[key].dataType), T.StructField("held_out", T.BooleanType()), T.StructField("n_tokens", T.LongType()), T.StructField("numbered", T.LongType()), T.StructField("base", T.DoubleType()), T.StructField("walk", T.DoubleType()), T.StructField("cold", cold)])
+    schema = T.StructType([T.StructField("row", T.LongType()), T.StructField(key, docs.schema[key].dataType), T.StructField("held_out", T.BooleanType()), T.StructField("n_tokens", T.LongType()), T.StructField("numbered", T.LongType()), T.StructField("base", T.DoubleType()), T.StructField("walk", T.DoubleType()), T.StructField("cold", cold), T.StructField("grams", T.ArrayType(T.LongType()))])
 
     def scan(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        vocabulary, automaton = model.value
+        vocabulary, automaton, lacking = model.value
         for batch in batches:
             if not batch.num_rows:
                 continue
             numbers, sizes, rare_counts, rare, times = [], [], [], [], []
+            gram_counts, grams, added = [], [], []
             for _, _, tokens, first in _token_blocks(batch.column(3)):
                 n = vocabulary.numbers(tokens)
                 numbers.append(n.astype(np.int32))
@@ -253,6 +389,17 @@ def score_documents(docs: DataFrame, key: str = "doc_id", text: str = "text") ->
                 rare.append(w[new])
                 times.append(np.diff(np.append(new, len(w))))
                 rare_counts.append(np.bincount(rows[new], minlength=len(first) - 1))
+                _, _, k2 = _pairs_of(tokens, first)
+                at3 = _triples_of(k2, first)
+                k3 = _mixed(k2[at3 - 1], k2[at3])
+                term = _at(lacking.keys, lacking.terms, k2) + np.where(n >= 0, np.append(lacking.words, 0.0)[n], 0.0)
+                term[at3] += _at(lacking.keys, lacking.terms, k3)
+                added.append(np.add.reduceat(term, first[:-1]) + lacking.start)
+                row = np.repeat(np.arange(len(first) - 1), np.diff(first))
+                in2, in3 = passes(lacking.others, k2), passes(lacking.others, k3)
+                row, k = np.concatenate([row[in2], row[at3[in3]]]), np.concatenate([k2[in2], k3[in3]])
+                grams.append(k[np.argsort(row, kind="stable")])
+                gram_counts.append(np.bincount(row, minlength=len(first) - 1))
             words = np.concatenate(numbers).astype(np.int64)
             first = np.concatenate([[0], np.cumsum(np.concatenate(sizes))])
             known = words >= 0
@@ -262,21 +409,23 @@ def score_documents(docs: DataFrame, key: str = "doc_id", text: str = "text") ->
                 pa.array(np.concatenate([[0], np.cumsum(np.concatenate(rare_counts))]).astype(np.int32)),
                 pa.StructArray.from_arrays([pa.array(np.concatenate(rare).view(np.int64)), pa.array(np.concatenate(times))], ["w", "tf"]),
             )
-            out = [pa.array(np.diff(first)), pa.array(np.add.reduceat(known.astype(np.int64), first[:-1])), pa.array(np.add.reduceat(unigram, first[:-1])), pa.array(walked), lists]
+            listed = pa.ListArray.from_arrays(pa.array(np.concatenate([[0], np.cumsum(np.concatenate(gram_counts))]).astype(np.int32)), pa.array(np.concatenate(grams).view(np.int64)))
+            out = [pa.array(np.diff(first)), pa.array(np.add.reduceat(known.astype(np.int64), first[:-1])), pa.array(np.add.reduceat(unigram, first[:-1])), pa.array(walked + np.concatenate(added)), lists, listed]
             yield pa.RecordBatch.from_arrays([*batch.columns[:3], *out], names=schema.names)
 
     rows = saved(docs.select(F.monotonically_increasing_id().alias("row"), F.col(key), held.alias("held_out"), F.col(text)).mapInArrow(scan, schema), "walked")
     n, v = float(vocabulary.total), float(vocabulary.distinct)
     c = F.coalesce(F.col("c"), F.lit(0))
-    rare = rows.select("row", F.explode("cold").alias("x")).select("row", "x.w", "x.tf").join(counts, "w", "left")
-    rest = rare.groupBy("row").agg(F.sum(F.when(c > 0, F.col("tf")).otherwise(0)).alias("rare_known"), F.sum(F.col("tf") * F.log10((c + 0.5) / F.lit(n + 0.5 * (v + 1)))).alias("rare_base"))
+    rare = rows.select("row", F.explode("cold").alias("x")).select("row", "x.w", "x.tf").join(counts, "w", "left").join(word_terms.filter(F.col("seen") < max(1, int(np.ceil(SHARE * n)))).select("w", "w1"), "w", "left")
+    rest = rare.groupBy("row").agg(F.sum(F.when(c > 0, F.col("tf")).otherwise(0)).alias("rare_known"), F.sum(F.col("tf") * F.log10((c + 0.5) / F.lit(n + 0.5 * (v + 1)))).alias("rare_base"), F.sum(F.col("tf") * F.coalesce("w1", F.lit(0.0))).alias("rare_walk"))
+    longer = rows.select("row", F.explode("grams").alias("k")).join(others, "k").groupBy("row").agg(F.sum("term").alias("rare_grams"))
     zero = lambda c: F.coalesce(F.col(c), F.lit(0))
-    return rows.join(rest, "row", "left").select(
+    return rows.join(rest, "row", "left").join(longer, "row", "left").select(
         key,
         "held_out",
         "n_tokens",
         (F.col("numbered") + zero("rare_known")).cast("long").alias("n_known"),
         F.lit(int(n)).cast("long").alias("train_tokens"),
         (F.col("base") + zero("rare_base")).alias("base_score"),
-        (F.col("walk") + zero("rare_base")).alias("score"),
+        (F.col("walk") + zero("rare_base") + zero("rare_walk") + zero("rare_grams")).alias("score"),
     )

@@ -85,6 +85,41 @@ def test_traversal_equals_word_by_word(spark, monkeypatch):
         assert got == pytest.approx(total)
 
 
+@pytest.mark.parametrize("share,context", [(1e-6, 1e-5), (0.002, 0.01), (2.0, 2.0)])
+def test_every_repeated_ngram_counts(spark, monkeypatch, share, context):
+    """Scores are those of the model of all n-grams that occur twice, however few of them the automaton holds."""
+    monkeypatch.setattr(lm, "SHARE", share)
+    monkeypatch.setattr(lm, "CONTEXT_SHARE", context)
+    rows = corpus()
+    c1, c2, c3 = Counter(), Counter(), Counter()
+    for k, t in rows:
+        if not held(k):
+            w = ["<s>", *words(t)]
+            c1.update(w)
+            c2.update(zip(w, w[1:], strict=False))
+            c3.update(zip(w, w[1:], w[2:], strict=False))
+    n, v = sum(c1.values()) - c1["<s>"], len(c1) - 1
+    c2, c3 = ({g: c for g, c in x.items() if c >= 2} for x in (c2, c3))
+    p1 = lambda c: (c1[c] + 0.5) / (n + 0.5 * (v + 1))
+
+    def p2(b, c):
+        if (b, c) in c2:
+            return (c2[b, c] - 0.5) / c1[b]
+        arcs = [g[1] for g in c2 if g[0] == b]
+        return p1(c) * (1 - sum(p2(b, x) for x in arcs)) / (1 - sum(map(p1, arcs)))
+
+    def p3(a, b, c):
+        if (a, b, c) in c3:
+            return (c3[a, b, c] - 0.5) / c2[a, b]
+        arcs = [g[2] for g in c3 if g[:2] == (a, b)]
+        return p2(b, c) * (1 - sum(p3(a, b, x) for x in arcs)) / (1 - sum(p2(b, x) for x in arcs))
+
+    for r in collect(spark, rows):
+        w = ["<s>", *words(dict(rows)[r.doc_id])]
+        want = math.log10(p2(*w[:2])) + sum(math.log10(p3(*g)) for g in zip(w, w[1:], w[2:], strict=False))
+        assert r.score == pytest.approx(want, abs=1e-7), w
+
+
 def test_odd_tables(spark):
     assert collect(spark, []) == []
     only_held = [(k, "a b") for k in range(200) if held(k)][:3]
