@@ -30,8 +30,11 @@ IP = r"(?:(?<![0-9])|\G)[0-9]++\.[0-9]++\.[0-9]++\.[0-9]++"
 CARD = r"[0-9](?:[\x20-]?+[0-9])++"
 PHONE = r"\+[0-9][\x20().0-9-]+[0-9]"
 OCTET = r"0*(?:25[0-5]|2[0-4][0-9]|1[0-9][0-9]|[0-9]{1,2})"
-#: A word, one blank, and a token of 6 to 40 characters with a digit.
-CANDIDATE = r"(?<!\S)\S{2,30}[\x20\t](?=\S*[0-9])[A-Za-z0-9][A-Za-z0-9@._+/-]{4,38}[A-Za-z0-9](?!\S)"
+#: A token of at least 6 characters with a digit, after opening and before closing punctuation.
+OPENING = r"[\x22'(\[{<]*+"
+CANDIDATE = rf"(?<!\S){OPENING}(?=\S*[0-9])[A-Za-z0-9][A-Za-z0-9@._+/-]{{5,}}(?<=[A-Za-z0-9])(?=[.,;:!?\x22')\]}}>]*+(?!\S))"
+#: The word before the one that the text's end is in.
+BEFORE = r"(?<!\S)(\S++)\s++\S*+\z"
 
 
 def _digits(match: Column) -> Column:
@@ -76,25 +79,27 @@ EXACT = (
 
 
 def _located(df: DataFrame, text: str, name: str, pattern: str, likely, valid) -> DataFrame:
-    """df with the array `name` of (s, e, v): places and texts of valid matches.
+    """df with the array `name` of (s, e, v, w): places and texts of valid matches, and the words before them.
 
     The gaps between matches (split) and the matches themselves alternate, so their running
-    lengths are the places.
+    lengths are the places. A word before is empty at the text's start.
     """
     t = F.col(text)
     found = df.withColumn("__m", F.when(likely(t), F.regexp_extract_all(t, F.lit(pattern), F.lit(0))))
     found = found.withColumn("__g", F.when(F.exists("__m", valid), F.split(t, pattern, -1)))
-    kind = "struct<s:int,e:int,v:string>"
+    kind = "struct<s:int,e:int,v:string,w:string>"
 
     def step(acc: Column, x: Column) -> Column:
         start = acc["at"] + F.length(x["__g"])
         end = start + F.length(x["__m"])
-        span = F.array(F.struct(start.alias("s"), end.alias("e"), x["__m"].alias("v")).cast(kind))
-        return F.struct(end.alias("at"), F.when(valid(x["__m"]), F.concat(acc["spans"], span)).otherwise(acc["spans"]).alias("spans"))
+        led = F.concat(acc["tail"], x["__g"])
+        span = F.array(F.struct(start.alias("s"), end.alias("e"), x["__m"].alias("v"), F.lower(F.regexp_extract(led, BEFORE, 1)).alias("w")).cast(kind))
+        tail = F.regexp_extract(F.concat(led, x["__m"]), r"(?<!\S)\S++\z", 0)
+        return F.struct(end.alias("at"), tail.alias("tail"), F.when(valid(x["__m"]), F.concat(acc["spans"], span)).otherwise(acc["spans"]).alias("spans"))
 
     none = F.array().cast(f"array<{kind}>")
     zipped = F.arrays_zip(F.slice("__g", F.lit(1), F.size("__m")).alias("__g"), F.col("__m").alias("__m"))
-    spans = F.aggregate(zipped, F.struct(F.lit(0).alias("at"), none.alias("spans")), step, lambda acc: acc["spans"])
+    spans = F.aggregate(zipped, F.struct(F.lit(0).alias("at"), F.lit("").alias("tail"), none.alias("spans")), step, lambda acc: acc["spans"])
     return found.withColumn(name, F.coalesce(F.when(F.col("__g").isNotNull(), spans), none)).drop("__m", "__g")
 
 
@@ -104,8 +109,12 @@ def exact_spans(docs: DataFrame, key: str = "doc_id", text: str = "text") -> Dat
     for name, pattern, likely, valid in EXACT:
         df = _located(df, "t", name, pattern, likely, valid)
     df = _located(df, "t", "c", CANDIDATE, lambda t: t.rlike("[0-9]"), _always)
-    word = lambda c: F.regexp_extract(c["v"], r"^(\S+)", 1)
-    c = F.transform("c", lambda c: F.struct((c["s"] + F.length(word(c)) + 1).alias("s"), c["e"].alias("e"), F.substring(c["v"], F.length(word(c)) + 2, F.lit(64)).alias("v"), F.lower(word(c)).alias("w")))
+    token = lambda c: F.regexp_replace(c["v"], "^" + OPENING, "")
+    c = F.transform(F.filter("c", lambda c: c["w"] != ""), lambda c: F.struct((c["e"] - F.length(token(c))).alias("s"), c["e"].alias("e"), token(c).alias("v"), c["w"].alias("w")))
+    # an exact identifier is a candidate as a whole, not each of its parts
+    exact = F.concat(*[F.col(n) for n, *_ in EXACT])
+    parts = F.filter(c, lambda c: ~F.exists(exact, lambda b: (b["s"] <= c["s"]) & (b["e"] >= c["e"])))
+    c = F.concat(parts, F.filter(exact, lambda b: b["w"] != ""))
     return df.select("row", "k", *[n for n, *_ in EXACT], c.alias("candidates"))
 
 

@@ -68,6 +68,17 @@ def test_a_refused_cue_stays_refused(spark):
     assert "context" in spans[77]
 
 
+def test_candidates_in_any_surroundings(spark):
+    texts = ["account AB-123456.", "account\n(AB-123456), so", "account  \"AB-123456\"!", "account " + "a1" * 40, "ID AB1234 CD5678", "AB-123456 first", "tel +1 (555) 010-9999 now"]
+    docs = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
+    got = {r.k: sorted((r.s, r.v, r.w) for r in r.candidates) for r in pii.exact_spans(docs).collect()}
+    at = [(8, "AB-123456", "account"), (9, "AB-123456", "account"), (10, "AB-123456", "account")]
+    assert [got[i] for i in range(3)] == [[x] for x in at]
+    assert got[3] == [(8, "a1" * 40, "account")]
+    assert got[4] == [(3, "AB1234", "id"), (10, "CD5678", "ab1234")] and got[5] == []
+    assert got[6] == [(4, "+1 (555) 010-9999", "tel")]
+
+
 def test_empty_table_and_masking(spark):
     assert pii.find_personal_data(spark.createDataFrame([], "doc_id long, text string")).collect() == []
     docs = spark.createDataFrame([(1, "mail a@b.cd or 1.2.3.4!"), (2, None), (3, "none")], "doc_id long, text string")
