@@ -53,7 +53,7 @@ EXTRA = (
     Rule("stripe", r"[rs]k_live_[A-Za-z0-9]{16,}"),
     Rule("jwt", r"eyJ[A-Za-z0-9_-]{8,}\.eyJ[A-Za-z0-9_-]{8,}\.[A-Za-z0-9_-]{8,}"),
     Rule("pem", r"-----BEGIN [A-Z ]{0,40}PRIVATE KEY-----"),
-    Rule("url", r"[a-z][a-z0-9+.-]{1,15}://[^\s:@/]{1,64}:[^\s:@/]{3,64}@[A-Za-z0-9.-]+", True),
+    Rule("url", r"[a-z][a-z0-9+.-]{1,15}://[^\s:@/]+:[^\s:@/]{3,}@[A-Za-z0-9.-]+", True),
 )
 RULES = BASE + EXTRA
 

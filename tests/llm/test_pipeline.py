@@ -50,3 +50,9 @@ def test_trigram_queries():
     assert secrets.trigram_query("[0-9a-f]{16,}") == secrets.ALL
     assert secrets.trigram_query("abcd") == ("and", ("tri", b"abc"), ("tri", b"bcd"))
     assert secrets.trigram_query("(foo|ba)x?") == secrets.ALL
+
+
+def test_long_credentials_in_urls(spark):
+    text = f"see https://{'u' * 90}:{'p' * 200}@host.example/x"
+    docs = spark.createDataFrame([(1, text)], "doc_id long, text string")
+    assert f"url:4:{text.index('/x')}" in secrets.scan_secrets(docs).first().spans.split(",")
