@@ -23,6 +23,7 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from . import textscan as ts
+from .storage import saved
 
 WINDOW = 13
 #: A document is contaminated when at least one word in SHARE is hit.
@@ -151,16 +152,17 @@ def slices(benchmark: DataFrame, item_key: str, text: str, max_bytes: int) -> li
 def decontaminate(docs: DataFrame, benchmark: DataFrame, key: str = "doc_id", text: str = "text", item_key: str = "item_id", item_text: str = "text", window: int = WINDOW, share: int = SHARE, max_bytes: int = MAX_BROADCAST_BYTES) -> DataFrame:
     """One row per document: key, n_words, n_hit, n_items, items_sha256, contaminated, items.
 
-    With a benchmark over max_bytes the slices' spans are united per document, for which key
-    has to be unique.
+    With a benchmark over max_bytes the slices' spans are united per row, by a stored number.
     """
     parts = slices(benchmark, item_key, item_text, max_bytes)
+    if len(parts) > 1:
+        docs = saved(docs.select(F.struct(F.monotonically_increasing_id().alias("row"), F.col(key).alias("k")).alias(key), text), "numbered-documents")
     found = [hit_spans(docs, p, key, text, window) for p in parts]
     if len(found) == 1:
         hit = F.aggregate(F.zip_with("hit_last", "hit_first", lambda b, a: b - a), F.lit(0).cast("long"), lambda s, x: s + x)
         rows = found[0].select(key, "n_words", hit.alias("n_hit"), "items")
     else:
-        rows = _united(found, key)
+        rows = _united(found, key).withColumn(key, F.col(key)["k"])
     digest = F.sha2(F.concat_ws(",", "items"), 256)
     return rows.select(key, "n_words", "n_hit", F.size("items").cast("long").alias("n_items"), digest.alias("items_sha256"), ((F.col("n_hit") > 0) & (F.col("n_hit") * share >= F.col("n_words"))).alias("contaminated"), "items")
 

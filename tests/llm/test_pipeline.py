@@ -56,3 +56,12 @@ def test_long_credentials_in_urls(spark):
     text = f"see https://{'u' * 90}:{'p' * 200}@host.example/x"
     docs = spark.createDataFrame([(1, text)], "doc_id long, text string")
     assert f"url:4:{text.index('/x')}" in secrets.scan_secrets(docs).first().spans.split(",")
+
+
+def test_sliced_benchmark_judges_each_row(spark):
+    words = [f"w{i}" for i in range(60)]
+    bench = spark.createDataFrame([(i, " ".join(words[15 * i : 15 * i + 15])) for i in range(4)], "item_id long, text string")
+    rows = [(7, " ".join(words[:15])), (7, " ".join(words[15:30]) + " and more"), (None, "nothing"), (None, " ".join(words[30:60]))]
+    docs = spark.createDataFrame(rows, "doc_id long, text string")
+    shown = lambda limit: sorted(map(str, decontam.decontaminate(docs, bench, max_bytes=limit).collect()))
+    assert len(shown(60)) == 4 and shown(60) == shown(1 << 20)
