@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .storage import saved
+from .storage import discard, saved
 
 
 def components(edges: DataFrame, a: str = "a", b: str = "b") -> DataFrame:
@@ -20,10 +20,12 @@ def components(edges: DataFrame, a: str = "a", b: str = "b") -> DataFrame:
     while True:
         seen = both.join(labels.select(F.col("node").alias("v"), F.col("label").alias("l")), "v").groupBy("u").agg(F.min("l").alias("best"))
         near = saved(labels.join(seen.withColumnRenamed("u", "node"), "node").select("node", "label", F.least("label", "best").alias("best")), "near")
-        hooks = saved(near.groupBy("label").agg(F.min("best").alias("hook")), "hooks")
+        hooks = near.groupBy("label").agg(F.min("best").alias("hook"))
         hooked = saved(near.join(hooks, "label").select("node", F.least("best", "hook").alias("label"), F.col("label").alias("old")), "hooked")
         jump = hooked.select(F.col("node").alias("label"), F.col("label").alias("next"))
         after = saved(hooked.join(jump, "label", "left").select("node", F.coalesce("next", "label").alias("label"), "old"), "labels")
+        discard(near, hooked, labels)
+        labels = after
         if after.filter("label <> old").isEmpty():
+            discard(both)
             return after.select("node", "label")
-        labels = after.select("node", "label")

@@ -7,7 +7,9 @@
 3. The matrix of tokens and groups holds, for each group, the union of its members' prefix
    tokens: the first quarter of a set (and one more) in an order that puts frequent tokens
    last. Sets that link share a token of both prefixes, so only groups that share a matrix
-   row can hold a link. The number of shared rows bounds the overlap of their members.
+   row can hold a link. A row also has the place of the token in its set: what lies behind
+   the first common token bounds the overlap, and a row counts only if that bound reaches
+   what a link needs at the two sizes. (A later row could not count if the first doesn't.)
 4. Only pairs of groups that the bound lets pass are opened, and the sets in them compared
    exactly on the texts. Components of all links give the classes of near duplicates.
 
@@ -27,7 +29,7 @@ import numpy as np
 import pyarrow as pa
 import xxhash
 from pyspark.broadcast import Broadcast
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
@@ -35,21 +37,22 @@ from . import textscan as ts
 from .components import components
 from .fingerprints import pack_text, unpack_text
 from .keyfilter import key_filter, passes
-from .storage import saved
+from .storage import discard, saved
 
 WORDS, PERCENT = 5, 75
 CENTRES, LOW = 4, 12
 #: What class ids are combined with, so that each min-hash orders centres anew.
 TURNS = (0, 0x4000000000000000, -0x7FFFFFFFFFFFFFFF - 1, -0x4000000000000000)
-HEAVY, HEAVY_LEAST = 2_000_000, 8
+HEAVY, HEAVY_LEAST = 4_000_000, 4
 #: A pair goes to its centre for comparison if the smallest LOW tokens agree this much.
 HOPEFUL = 0.4
 SLICE = 400
-#: Members of either group that are tried first, round by round.
-FEW = (2, 6)
-#: Size classes of the matrix, and how many of them two linked sets can lie apart.
-SIZE_STEP = 0.06
-SIZE_REACH = int(np.ceil(np.log(100 / PERCENT) / SIZE_STEP)) + 1
+#: Members of either group that are tried before they are opened, about.
+FEW = 4
+#: Classes that a task remembers having met.
+REMEMBERED = 200_000
+#: Matrix rows that are looked at together, unless one token has more.
+ROWS = 500_000
 #: Tokens that are counted together before their repetitions are handed on: 16 MB.
 TOGETHER = 2_000_000
 
@@ -110,10 +113,12 @@ def signatures(docs: DataFrame, key: str, text: str) -> DataFrame:
 
 
 def _once(ids: np.ndarray, n: np.ndarray, seen: set[int]) -> np.ndarray:
-    """Rows whose class this task hasn't met yet."""
+    """Rows whose class this task hasn't met lately; what is remembered is bounded, so classes may come again."""
     rows = []
     for i in np.flatnonzero(n > 0):
         if (c := int(ids[i])) not in seen:
+            if len(seen) >= REMEMBERED:
+                seen.clear()
             seen.add(c)
             rows.append(i)
     return np.array(rows, np.int64)
@@ -154,8 +159,8 @@ def _least_common(n: np.ndarray) -> np.ndarray:
     return (PERCENT * n + 99) // 100
 
 
-def prefixes(docs: DataFrame, text: str, heavy: Broadcast, marked: Broadcast, wanted: bool) -> DataFrame:
-    """cid, n, tokens: size and prefix (at least once) of the classes that pass the filter, or that don't."""
+def prefixes(docs: DataFrame, text: str, heavy: Broadcast) -> DataFrame:
+    """cid, n, tokens: size and prefix, in order, of every class (at least once)."""
 
     def scan(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         known, rank = heavy.value
@@ -163,7 +168,7 @@ def prefixes(docs: DataFrame, text: str, heavy: Broadcast, marked: Broadcast, wa
         for batch in batches:
             for _, _, tokens, first, ids in _set_blocks(batch.column(0)):
                 n = np.diff(first)
-                rows = _once(ids, n * (passes(marked.value, ids) == wanted), seen)
+                rows = _once(ids, n, seen)
                 if not len(rows):
                     continue
                 n = n[rows]
@@ -180,83 +185,118 @@ def prefixes(docs: DataFrame, text: str, heavy: Broadcast, marked: Broadcast, wa
 
 
 def grouped_prefixes(docs: DataFrame, text: str, heavy: Broadcast, grouped: DataFrame) -> DataFrame:
-    """Prefixes with their group; only classes that may have others in their group are joined for it."""
-    marked = key_filter(grouped, "node")
-    joined = prefixes(docs, text, heavy, marked, True).join(grouped.withColumnRenamed("node", "cid"), "cid", "left")
-    alone = prefixes(docs, text, heavy, marked, False)
-    return joined.select(F.coalesce("label", "cid").alias("g"), "n", "tokens").unionByName(alone.select(F.col("cid").alias("g"), "n", "tokens"))
-
+    """cid, g, many, n, tokens: prefixes with their group, and whether it has other members."""
+    joined = prefixes(docs, text, heavy).join(grouped.withColumnRenamed("node", "cid"), "cid", "left")
+    return joined.select("cid", F.coalesce("label", "cid").alias("g"), F.col("label").isNotNull().alias("many"), "n", "tokens")
 
-def _size_class(n: np.ndarray) -> np.ndarray:
-    """A byte that rises with the logarithm of the set's size."""
-    return np.minimum(np.floor(np.log(np.maximum(n, 1)) / SIZE_STEP), 255).astype(np.int64)
 
+def _overlap_left(n: np.ndarray, place: np.ndarray) -> np.ndarray:
+    """100 + PERCENT times the sizes that a partner may have at most, if the first common token is at that place.
 
-def matrix(prefix: DataFrame) -> DataFrame:
-    """(token, g) rows of classes' prefixes with their group, each once in a batch at least.
-
-    The token's low byte gives way to the size class of the set, so that equal tokens lie
-    together by size and sets of unlike sizes needn't be paired.
+    Sets of n and m elements link if (100 + PERCENT) * common >= PERCENT * (n + m), and no more
+    than n - place elements are left to be common.
     """
+    return (100 + PERCENT) * (n - place) - PERCENT * n
 
-    def scan(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            lists = batch.column(1)
-            sizes = np.diff(lists.offsets.to_numpy())
-            groups = np.repeat(batch.column(0).to_numpy(), sizes)
-            tokens = lists.flatten().to_numpy() & ~np.int64(255) | np.repeat(_size_class(batch.column(2).to_numpy()), sizes)
-            order = np.lexsort((groups, tokens))
-            tokens, groups = tokens[order], groups[order]
-            new = np.ones(len(tokens), bool)
-            new[1:] = (tokens[1:] != tokens[:-1]) | (groups[1:] != groups[:-1])
-            yield pa.RecordBatch.from_arrays([pa.array(tokens[new]), pa.array(groups[new])], names=["token", "g"])
 
-    return prefix.select("g", "tokens", "n").mapInArrow(scan, "token long, g long")
+#: Columns of matrix rows: owner (a group or a class) and its side; rows of one side needn't meet.
+ROW = ("token", "owner", "side", "n", "room", "many")
 
 
-def shared_rows(rows: DataFrame) -> DataFrame:
-    """(a, b, shared): how many matrix rows two groups share, a < b."""
+def matrix(prefix: DataFrame, owner: str, side: str) -> DataFrame:
+    """ROW columns: a group's row of a token has the smallest size of the sets that bear it, and the
+    largest partner (times PERCENT) that their places leave room for."""
 
-    def pairs(groups: np.ndarray, sizes: np.ndarray) -> Iterator[tuple[np.ndarray, np.ndarray]]:
-        ends = np.searchsorted(sizes, sizes + SIZE_REACH, "right")
-        for i in range(len(groups) - 1):
-            others = groups[i + 1 : ends[i]]
-            others = others[others != groups[i]]
-            yield np.minimum(groups[i], others), np.maximum(groups[i], others)
+    def scan(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            lists = batch.column(4)
+            sizes = np.diff(lists.offsets.to_numpy())
+            owner, side, many, n = (np.repeat(batch.column(i).to_numpy(zero_copy_only=False), sizes) for i in range(4))
+            if len(n):
+                rows = _united([lists.flatten().to_numpy(), owner, side, n, _overlap_left(n, ts.ragged(sizes)), many])
+                yield pa.RecordBatch.from_arrays([pa.array(x) for x in rows], names=ROW)
+
+    return prefix.select(F.col(owner).alias("o"), F.col(side).alias("s"), "many", "n", "tokens").mapInArrow(scan, "token long, owner long, side long, n long, room long, many boolean")
+
+
+def _united(columns: list[np.ndarray]) -> list[np.ndarray]:
+    """Matrix rows by token and owner, those of one token and owner made one."""
+    order = np.lexsort((columns[1], columns[0]))
+    token, owner, side, n, room, many = (x[order] for x in columns)
+    first = np.flatnonzero(np.concatenate([[True], (token[1:] != token[:-1]) | (owner[1:] != owner[:-1])]))
+    return [token[first], owner[first], side[first], np.minimum.reduceat(n, first), np.maximum.reduceat(room, first), many[first]]
+
+
+def _largest_side(token: np.ndarray, side: np.ndarray) -> np.ndarray:
+    """Which rows are on the side that has most rows of their token (the others of a tie are not)."""
+    order = np.lexsort((side, token))
+    t, s = token[order], side[order]
+    run = np.flatnonzero(np.concatenate([[True], (t[1:] != t[:-1]) | (s[1:] != s[:-1])]))
+    size = np.diff(np.append(run, len(t)))
+    best = np.lexsort((-size, t[run]))
+    best = best[np.concatenate([[True], t[run][best][1:] != t[run][best][:-1]])]
+    top = np.zeros(len(run), bool)
+    top[best] = True
+    out = np.empty(len(t), bool)
+    out[order] = np.repeat(top, size)
+    return out
+
+
+def _meeting(token: np.ndarray, side: np.ndarray, n: np.ndarray, room: np.ndarray) -> Iterator[tuple[np.ndarray, np.ndarray]]:
+    """Places (i, j) of rows of one token and two sides whose bounds let their sets link.
+
+    Rows lie by token and size. Each row meets the next one, then the one after it, for as long
+    as the token is the same and the sizes fit, and likewise backwards; all rows take each step
+    together. Rows of a token's largest side only wait to be met, so a side that bears a token
+    thousands of times costs nothing within itself.
+    """
+    begins = np.flatnonzero(~_largest_side(token, side))
+    for way in (1, -1):
+        i, step = begins, way
+        while len(i):
+            i = i[(i + step < len(token)) & (i + step >= 0)]
+            j = i + step
+            fits = (PERCENT * n[j] <= room[i]) if way > 0 else (100 * n[j] >= PERCENT * n[i])
+            i = i[(token[i] == token[j]) & fits]
+            j = i + step
+            both = (PERCENT * n[i] <= room[j]) & (PERCENT * n[j] <= room[i]) & (side[i] != side[j])
+            yield i[both], j[both]
+            step += way
+
+
+def qualifying(rows: DataFrame) -> DataFrame:
+    """(a, b, single): owners that share a matrix row which leaves room for a link, a < b, and whether both are single classes."""
+
+    def pairs(token: np.ndarray, owner: np.ndarray, side: np.ndarray, n: np.ndarray, room: np.ndarray, many: np.ndarray) -> Iterator[pa.RecordBatch]:
+        held, size = [], 0
+        for i, j in _meeting(token, side, n, room):
+            held.append((np.minimum(owner[i], owner[j]), np.maximum(owner[i], owner[j]), ~(many[i] | many[j])))
+            size += len(i)
+            if size > ROWS:
+                yield _distinct(held)
+                held, size = [], 0
+        if size:
+            yield _distinct(held)
 
     def scan(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        token0, g0 = np.zeros(0, np.int64), np.zeros(0, np.int64)
+        held: list[tuple[np.ndarray, ...]] = []
         for batch in _with_end(batches):
-            token = np.concatenate([token0, batch.column(0).to_numpy()]) if batch else token0
-            g = np.concatenate([g0, batch.column(1).to_numpy()]) if batch else g0
-            if not len(token):
+            if batch:
+                if batch.num_rows:
+                    held.append(tuple(c.to_numpy(zero_copy_only=False) for c in batch.columns))
+                if not held or held[0][0][0] == held[-1][0][-1] or sum(len(h[0]) for h in held) < ROWS:
+                    continue
+            if not held:
                 continue
-            new = np.ones(len(token), bool)
-            new[1:] = (token[1:] != token[:-1]) | (g[1:] != g[:-1])
-            token, g = token[new], g[new]
-            size, word = token & 255, token >> 8
-            starts = np.flatnonzero(np.concatenate([[True], word[1:] != word[:-1]]))
-            done = starts[-1] if batch else len(token)
-            token0, g0 = token[done:], g[done:]
-            ends = np.append(starts[1:], len(token))
-            keep = (ends <= done) & (ends - starts > 1)
-            starts, sizes = starts[keep], (ends - starts)[keep]
-            two = starts[sizes == 2]
-            two = two[(size[two + 1] - size[two] <= SIZE_REACH) & (g[two] != g[two + 1])]
-            left, right, held = [np.minimum(g[two], g[two + 1])], [np.maximum(g[two], g[two + 1])], len(two)
-            for s, n in zip(starts[sizes > 2].tolist(), sizes[sizes > 2].tolist(), strict=True):
-                for a, b in pairs(g[s : s + n], size[s : s + n]):
-                    left.append(a)
-                    right.append(b)
-                    held += len(a)
-                    if held > 500_000:
-                        yield _counted(left, right)
-                        left, right, held = [], [], 0
-            if held:
-                yield _counted(left, right)
-
-    dealt = rows.repartition(F.shiftright("token", 8)).sortWithinPartitions("token", "g")
-    return dealt.mapInArrow(scan, "a long, b long, n long").groupBy("a", "b").agg(F.sum("n").alias("shared"))
+            columns = _united([np.concatenate(x) for x in zip(*held, strict=True)])
+            token, n = columns[0], columns[3]
+            done = int(np.searchsorted(token, token[-1])) if batch else len(token)
+            held = [tuple(c[done:] for c in columns)]
+            order = np.lexsort((n[:done], token[:done]))
+            yield from pairs(*(c[:done][order] for c in columns))
+
+    dealt = rows.repartition("token").sortWithinPartitions("token")
+    return dealt.mapInArrow(scan, "a long, b long, single boolean").groupBy("a", "b").agg(F.first("single").alias("single"))
 
 
 def _with_end(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch | None]:
@@ -264,12 +304,12 @@ def _with_end(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch | No
     yield None
 
 
-def _counted(left: list[np.ndarray], right: list[np.ndarray]) -> pa.RecordBatch:
-    a, b = np.concatenate(left), np.concatenate(right)
+def _distinct(held: list[tuple[np.ndarray, np.ndarray, np.ndarray]]) -> pa.RecordBatch:
+    a, b, single = (np.concatenate(x) for x in zip(*held, strict=True))
     order = np.lexsort((b, a))
-    a, b = a[order], b[order]
+    a, b, single = a[order], b[order], single[order]
     first = np.flatnonzero(np.concatenate([[True], (a[1:] != a[:-1]) | (b[1:] != b[:-1])])) if len(a) else np.zeros(0, np.int64)
-    return pa.RecordBatch.from_arrays([pa.array(a[first]), pa.array(b[first]), pa.array(np.diff(np.append(first, len(a))))], names=["a", "b", "n"])
+    return pa.RecordBatch.from_arrays([pa.array(a[first]), pa.array(b[first]), pa.array(single[first])], names=["a", "b", "single"])
 
 
 def class_texts(docs: DataFrame, text: str, wanted: DataFrame) -> DataFrame:
@@ -339,54 +379,35 @@ def centre_pairs(classes: DataFrame, which: tuple[int, ...]) -> DataFrame:
     return both.filter(near & (100 * F.least("na", "nb") >= PERCENT * F.greatest("na", "nb"))).select("a", "b")
 
 
-def opened(shared: DataFrame, members: DataFrame) -> DataFrame:
-    """(a, b, single): the pairs of groups that may hold a link, and whether both are single classes."""
-    groups = saved(members.groupBy("g").agg(F.count("*").alias("m"), F.min("n").alias("lo"), F.max("n").alias("hi")), "groups")
-    side = lambda g: groups.select(F.col("g").alias(g), *[F.col(c).alias(f"{c}_{g}") for c in ("m", "lo", "hi")])
-    both = shared.join(side("a"), "a").join(side("b"), "b")
-    sizes = (100 * F.col("hi_b") >= PERCENT * F.col("lo_a")) & (100 * F.col("hi_a") >= PERCENT * F.col("lo_b"))
-    single = (F.col("m_a") == 1) & (F.col("m_b") == 1)
-    least = lambda n: F.floor((PERCENT * n + 99) / 100)
-    # |x & y| <= shared + what lies behind the prefix that ends first; a link needs 75/175 of both sizes
-    overlap = F.col("shared") + F.greatest(least(F.col("lo_a")), least(F.col("lo_b"))) - 1
-    enough = (100 + PERCENT) * overlap >= PERCENT * (F.col("lo_a") + F.col("lo_b"))
-
-    def least_shared(small: str, large: str) -> Column:
-        """The rows that sets of the groups share at least, if the larger one is from `large`."""
-        x, y = F.greatest(F.col(f"lo_{small}"), PERCENT / 100 * F.col(f"hi_{large}")), F.col(f"hi_{large}")
-        return F.when(y >= F.col(f"lo_{small}"), PERCENT / (100 + PERCENT) * (x + y) - PERCENT / 100 * y)
-
-    possible = F.col("shared") + 1e-6 >= F.least(least_shared("a", "b"), least_shared("b", "a"))
-    passing = saved(both.filter(sizes & F.when(single, enough).otherwise(possible)).select("a", "b", single.alias("single")), "opened")
-    return passing
-
-
-def group_links(docs: DataFrame, text: str, passing: DataFrame, members: DataFrame, links: DataFrame) -> DataFrame:
+def group_links(docs: DataFrame, text: str, passing: DataFrame, prefix: DataFrame, members: DataFrame, links: DataFrame) -> DataFrame:
     """All links found, those between opened groups included.
 
     One link connects two groups, and the rest between them changes nothing. So each pair of
-    groups is first tried with a few members of either side, twice; only groups that are still
-    apart are compared in full.
+    groups is first tried with a few members of either side. Groups that are still apart are
+    opened: their members become rows of a matrix of their own, in which those of one component
+    don't meet, and all pairs that its bounds let pass are compared.
     """
     alone = passing.filter("single").select("a", "b")
     open_ = passing.filter("not single").select("a", "b")
-    sized = members.join(passing.filter("not single").select(F.explode(F.array("a", "b")).alias("g")).distinct(), "g", "left_semi")
-    sized = saved(sized.join(sized.groupBy("g").agg(F.count("*").alias("m")), "g"), "open-members")
+    inside = saved(members.join(open_.select(F.explode(F.array("a", "b")).alias("g")).distinct(), "g", "left_semi"), "inside-open")
+    sized = saved(inside.join(inside.groupBy("g").agg(F.count("*").alias("m"), F.min("cid").alias("first")), "g"), "open-members")
     texts = class_texts(docs, text, _ends(alone).unionByName(sized.select(F.col("cid").alias("c"))))
     links = links.unionByName(verified(texts, alone))
+    few = sized.filter(F.pmod(F.xxhash64("cid"), F.ceil(F.col("m") / FEW)) == 0)
+    of = lambda g, c: few.select(F.col("g").alias(g), F.col("cid").alias(c), F.col("n").alias("n" + c))
+    tried = open_.join(of("a", "x"), "a").join(of("b", "y"), "b").filter(100 * F.least("nx", "ny") >= PERCENT * F.greatest("nx", "ny"))
+    links = links.unionByName(verified(texts, saved(tried.select(F.col("x").alias("a"), F.col("y").alias("b")), "tried-pairs")))
+    labels = components(links)
     # a group answers to any of its members' label
-    first = sized.groupBy("g").agg(F.min("cid").alias("node"))
-    for few in (*FEW, None):
-        labels = components(links)
-        of_groups = first.join(labels, "node", "left").select(F.col("g").alias("node"), F.coalesce("label", "node").alias("label"))
-        open_ = saved(apart(open_, of_groups), "open-groups")
-        if open_.isEmpty():
-            break
-        chosen = sized if few is None else sized.filter(F.pmod(F.xxhash64("cid"), F.ceil(F.col("m") / few)) == 0)
-        inside = lambda g, c, chosen=chosen: chosen.select(F.col("g").alias(g), F.col("cid").alias(c), F.col("n").alias("n" + c))
-        many = open_.join(inside("a", "x"), "a").join(inside("b", "y"), "b")
-        many = many.filter(100 * F.least("nx", "ny") >= PERCENT * F.greatest("nx", "ny")).select(F.col("x").alias("a"), F.col("y").alias("b"))
-        links = links.unionByName(verified(texts, saved(many, "opened-pairs")))
+    sided = sized.join(labels.select(F.col("node").alias("first"), "label"), "first", "left").select("g", "cid", F.coalesce("label", "first").alias("side"))
+    sided = saved(sided, "open-sides")
+    of_groups = sided.groupBy(F.col("g").alias("node")).agg(F.min("side").alias("label"))
+    still = saved(apart(open_, of_groups), "open-groups")
+    ends = still.select(F.explode(F.array("a", "b")).alias("g")).distinct()
+    opened = prefix.join(sided.join(ends, "g", "left_semi").select("cid", "side"), "cid")
+    pairs = qualifying(matrix(opened, "cid", "side")).select("a", "b")
+    links = links.unionByName(verified(texts, saved(pairs, "opened-pairs")))
+    discard(texts, prefix)
     return links
 
 
@@ -399,12 +420,14 @@ def jaccard_components(docs: DataFrame, key: str = "doc_id", text: str = "text")
     texts = class_texts(docs, text, _ends(near.unionByName(more)))
     links = verified(texts, near)
     links = links.unionByName(verified(texts, apart(more, components(links))))
+    discard(texts)
     grouped = components(links)
     members = saved(classes.select("cid", "n").join(grouped.withColumnRenamed("node", "cid"), "cid", "left").select("cid", "n", F.coalesce("label", "cid").alias("g")), "members")
     total = classes.agg(F.coalesce(F.sum("n"), F.lit(0)).alias("t")).first()["t"]
     heavy = spark.sparkContext.broadcast(frequent_tokens(docs, text, total))
-    shared = saved(shared_rows(matrix(grouped_prefixes(docs, text, heavy, grouped))), "shared-rows")
-    links = group_links(docs, text, opened(shared, members), members, links)
+    prefix = saved(grouped_prefixes(docs, text, heavy, grouped), "prefixes")
+    passing = saved(qualifying(matrix(prefix, "g", "g")), "qualifying")
+    links = group_links(docs, text, passing, prefix, members, links)
     labels = components(links).withColumnRenamed("node", "cid")
     rooted = classes.select("cid", "least").join(labels, "cid", "left").withColumn("label", F.coalesce("label", "cid"))
     smallest = rooted.groupBy("label").agg(F.min("least").alias("component_id"))

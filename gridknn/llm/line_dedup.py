@@ -44,7 +44,6 @@ class Lines:
     """
 
     def __init__(self, data: np.ndarray, offsets: np.ndarray, least: int = LEAST, breaks: np.ndarray | None = None):
-        n = len(data)
         breaks = np.flatnonzero(data == 10) if breaks is None else breaks
         owner = np.searchsorted(offsets, breaks, "right") - 1
         self.counts = np.bincount(owner, minlength=len(offsets) - 1) + 1
@@ -68,10 +67,7 @@ class Lines:
         self.counted = points[self.key_end] - points[self.key_start] >= least
         low = ts.LOWER[data]
         self.h1 = ts.hash_spans(low, self.key_start, self.key_end).view(np.int64)
-        up, down = _second.get(n + 1)
-        total = np.zeros(n + 1, np.uint64)
-        np.cumsum((low.astype(np.uint64) + np.uint64(1)) * up[:n], out=total[1:])
-        self.h2 = ts.mix((total[self.key_end] - total[self.key_start]) * down[self.key_start]).view(np.int64)
+        self.h2 = ts.hash_spans(low, self.key_start, self.key_end, _second).view(np.int64)
 
 
 def line_keys(docs: DataFrame, key: str = "doc_id", text: str = "text", least: int = LEAST) -> DataFrame:

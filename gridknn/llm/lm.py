@@ -10,8 +10,9 @@ one. N-grams of numbered words whose share is at least CONTEXT_SHARE are found l
 (an n-gram is no more frequent than its parts) and become states of a broadcast automaton;
 all others stay in tables. One left-to-right traversal of the automaton carries the state of
 each document and adds up log-probabilities; a batch's documents step together. At a word
-without a number the failure arcs lead to the root, and its unigram probability comes from
-the join.
+without a number the failure arcs lead to the root. The same scan emits a row for each word
+and n-gram that the automaton lacks; one join finds their terms, and a sum by document adds
+them to what the traversal gave.
 
 With W a context's failure weight (log10; 0 if it has no arcs), the log-probability of c after
 a, b is that of c alone, plus W(b), plus W(ab), plus what the arc of bc gains over failing at
@@ -40,9 +41,11 @@ from pyspark.sql import types as T
 
 from . import textscan as ts
 from .keyfilter import key_filter, passes
-from .storage import saved
+from .storage import discard, saved
 
-SHARE, CONTEXT_SHARE, DISCOUNT, ORDER, LEAST = 1e-6, 1e-5, 0.5, 3, 2
+SHARE, CONTEXT_SHARE, DISCOUNT, LEAST = 1e-6, 1e-6, 0.5, 2
+#: Tokens whose n-grams are counted together before they are handed on.
+TOGETHER = 1_000_000
 FOLDS, HELD_OUT = 5, 1
 END = np.uint64(0xE5D0C0DE00000001)
 START = np.uint64(0xE5D0C0DE00000002)
@@ -101,39 +104,6 @@ class Vocabulary:
         return (count + 0.5) / (self.total + 0.5 * (self.distinct + 1))
 
 
-def _ngrams(vocabulary: Vocabulary, column: pa.Array, known: np.ndarray | None, frequent: np.ndarray) -> Iterator[np.ndarray]:
-    """Packed bigrams of frequent words, or trigrams whose two bigrams are known."""
-    for _, _, tokens, first in _token_blocks(column):
-        n = vocabulary.numbers(tokens)
-        n = np.where(frequent[n], n, COLD)  # the last entry, false, is that of COLD
-        n = np.insert(n, first[:-1], vocabulary.start)  # a start before each row
-        ends = np.zeros(len(n), bool)
-        ends[first[1:] + np.arange(1, len(first)) - 1] = True
-        pair = (n[:-1] >= 0) & (n[1:] >= 0) & ~ends[:-1]
-        key = n[:-1] << BITS | n[1:]
-        if known is None:
-            yield key[pair]
-        else:
-            at = np.minimum(np.searchsorted(known, key), max(len(known) - 1, 0))
-            held = pair & (known[at] == key) if len(known) else np.zeros(len(key), bool)
-            both = held[:-1] & held[1:]
-            yield (key[:-1] << BITS | n[2:])[both]
-
-
-def ngram_counts(train: DataFrame, text: str, vocabulary, known: np.ndarray | None, frequent: np.ndarray, least: int) -> tuple[np.ndarray, np.ndarray]:
-    shared = train.sparkSession.sparkContext.broadcast((known, frequent))
-
-    def scan(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        known, frequent = shared.value
-        for batch in batches:
-            found = list(_ngrams(vocabulary.value, batch.column(0), known, frequent))
-            if found:
-                k, c = np.unique(np.concatenate(found), return_counts=True)
-                yield pa.RecordBatch.from_arrays([pa.array(k), pa.array(c)], names=["k", "c"])
-
-    return _collected(train.select(text).mapInArrow(scan, "k long, c long").groupBy("k").agg(F.sum("c").alias("c")).filter(F.col("c") >= least), "k")
-
-
 class Automaton:
     """States: 0 the root, then one for each context. Arcs (state, word) lead to a state with a log10 weight."""
 
@@ -244,21 +214,36 @@ def _triples_of(pairs: np.ndarray, first: np.ndarray) -> np.ndarray:
 def _gram_counts(train: DataFrame, text: str, pairs=None) -> DataFrame:
     """(k, a, b, c) of pairs that occur LEAST times; with a filter of those, of triples, a and b being pairs."""
 
+    def counted(held: list[tuple[np.ndarray, np.ndarray]]) -> pa.RecordBatch:
+        a, b = (np.concatenate(x) for x in zip(*held, strict=True))
+        _, at, c = np.unique(_mixed(a, b), return_index=True, return_counts=True)
+        return pa.RecordBatch.from_arrays([pa.array(x.view(np.int64)) for x in (a[at], b[at], c)], names=["a", "b", "c"])
+
     def scan(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        held, size = [], 0
         for batch in batches:
             for _, _, tokens, first in _token_blocks(batch.column(0)):
                 a, b, k = _pairs_of(tokens, first)
                 if pairs is not None:
                     at = _triples_of(k, first)
-                    held = passes(pairs.value, k)
-                    at = at[held[at] & held[at - 1]]
+                    some = passes(pairs.value, k)
+                    at = at[some[at] & some[at - 1]]
                     a, b = k[at - 1], k[at]
-                    k = _mixed(a, b)
-                k, at, c = np.unique(k, return_index=True, return_counts=True)
-                yield pa.RecordBatch.from_arrays([pa.array(x.view(np.int64)) for x in (k, a[at], b[at], c)], names=["k", "a", "b", "c"])
+                held.append((a, b))
+                size += len(a)
+                if size > TOGETHER:
+                    yield counted(held)
+                    held, size = [], 0
+        if held:
+            yield counted(held)
+
+    def keyed(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            a, b = (batch.column(i).to_numpy().view(np.uint64) for i in (0, 1))
+            yield pa.RecordBatch.from_arrays([pa.array(_mixed(a, b).view(np.int64)), *batch.columns], names=["k", "a", "b", "c"])
 
-    found = train.select(text).mapInArrow(scan, "k long, a long, b long, c long")
-    return found.groupBy("k").agg(F.first("a").alias("a"), F.first("b").alias("b"), F.sum("c").alias("c")).filter(F.col("c") >= LEAST)
+    found = train.select(text).mapInArrow(scan, "a long, b long, c long").groupBy("a", "b").agg(F.sum("c").alias("c"))
+    return found.filter(F.col("c") >= LEAST).mapInArrow(keyed, "k long, a long, b long, c long")
 
 
 def _looked_up(df: DataFrame, facts: DataFrame, key: str, often) -> DataFrame:
@@ -267,11 +252,15 @@ def _looked_up(df: DataFrame, facts: DataFrame, key: str, often) -> DataFrame:
     return df.join(many, key).unionByName(df.join(F.broadcast(facts.filter(often).select(key)), key, "left_anti").join(facts.filter(~often), key))
 
 
-def gram_tables(train: DataFrame, text: str, counts: DataFrame, n: int, v: int, texts: int) -> tuple[DataFrame, DataFrame, DataFrame]:
+def ngrams(train: DataFrame, text: str) -> tuple[DataFrame, DataFrame]:
+    """The model's pairs and triples (k, a, b, c)."""
+    pairs = saved(_gram_counts(train, text), "pair-counts")
+    return pairs, saved(_gram_counts(train, text, key_filter(pairs, "k")), "triple-counts")
+
+
+def gram_tables(train: DataFrame, pairs: DataFrame, triples: DataFrame, counts: DataFrame, n: int, v: int, texts: int) -> tuple[DataFrame, DataFrame, DataFrame]:
     """words (w, seen, w1), pairs (k, c, gain, w2) and triples (k, c, gain): failure weights and what arcs gain over failing."""
     least = max(LEAST, int(np.ceil(CONTEXT_SHARE * n)))
-    pairs = saved(_gram_counts(train, text), "pair-counts")
-    triples = saved(_gram_counts(train, text, key_filter(pairs, "k")), "triple-counts")
     p1 = (F.col("cb") + 0.5) / F.lit(n + 0.5 * (v + 1))
     ended = _looked_up(pairs, counts.select(F.col("w").alias("b"), F.col("c").alias("cb")), "b", F.col("cb") >= least)
     start = train.sparkSession.createDataFrame([(int(START.view(np.int64)), texts)], "w long, c long")
@@ -286,8 +275,9 @@ def gram_tables(train: DataFrame, text: str, counts: DataFrame, n: int, v: int,
     contexts = saved(left.join(seen, "a").select("a", "seen", F.log10((1 - F.col("spent") / F.col("seen")) / (1 - F.col("below"))).alias("w2")), "pair-weights")
     gain = F.log10((F.col("c") - DISCOUNT) / F.col("seen")) - F.col("w2") - F.col("p2")
     longer = saved(_looked_up(ended, contexts, "a", F.col("seen") >= least).select("k", "c", gain.alias("gain")), "triple-arcs")
-    both = arcs.select("k", "c", "gain").join(contexts.select(F.col("a").alias("k"), "w2"), "k", "left")
-    return words.withColumnRenamed("a", "w"), saved(both, "pair-terms"), longer
+    both = saved(arcs.select("k", "c", "gain").join(contexts.select(F.col("a").alias("k"), "w2"), "k", "left"), "pair-terms")
+    discard(arcs, contexts)
+    return words.withColumnRenamed("a", "w"), both, longer
 
 
 @dataclass
@@ -309,8 +299,9 @@ def _at(keys: np.ndarray, terms: np.ndarray, wanted: np.ndarray) -> np.ndarray:
     return np.where(keys[at] == wanted, terms[at], 0.0)
 
 
-def complete(vocabulary: Vocabulary, automaton: Automaton, words: DataFrame, pairs: DataFrame, triples: DataFrame) -> tuple[Rest, DataFrame]:
-    """Gives the automaton's failure arcs the whole model's weights; returns what it lacks, and the rare n-grams' (k, term)."""
+def complete(vocabulary: Vocabulary, automaton: Automaton, counts: DataFrame, words: DataFrame, pairs: DataFrame, triples: DataFrame) -> tuple[Rest, DataFrame]:
+    """Gives the automaton's failure arcs the whole model's weights; returns what it lacks, and the
+    terms (k, term, base, known) of the words without a number and the n-grams that are looked up by a join."""
     n = vocabulary.total
     least = max(LEAST, int(np.ceil(CONTEXT_SHARE * n)))
 
@@ -338,94 +329,120 @@ def complete(vocabulary: Vocabulary, automaton: Automaton, words: DataFrame, pai
     order = np.argsort(keys)
     order = order[terms[order] != 0]
     rare = F.col("c") < least
-    others = saved(pairs.filter(rare).select("k", (F.col("gain") + F.coalesce("w2", F.lit(0.0))).alias("term")).unionByName(triples.filter(rare).select("k", F.col("gain").alias("term"))), "rare-terms")
-    return Rest(float(of_word[-1]), of_word[:-1], keys[order], terms[order], key_filter(others, "k").value), others
+    rows = pairs.filter(rare).select("k", (F.col("gain") + F.coalesce("w2", F.lit(0.0))).alias("term")).unionByName(triples.filter(rare).select("k", F.col("gain").alias("term")))
+    marked = key_filter(rows, "k").value
+    base = F.log10((F.col("c") + 0.5) / F.lit(n + 0.5 * (vocabulary.distinct + 1)))
+    cold = counts.filter(F.col("c") < max(1, int(np.ceil(SHARE * n)))).withColumn("base", base).join(words.select("w", "w1"), "w", "left")
+    rows = rows.select("k", "term", F.lit(0.0).alias("base"), F.lit(0).alias("known")).unionByName(cold.select(F.col("w").alias("k"), (F.col("base") + F.coalesce("w1", F.lit(0.0))).alias("term"), "base", F.lit(1).alias("known")))
+    return Rest(float(of_word[-1]), of_word[:-1], keys[order], terms[order], marked), saved(rows, "rare-terms")
 
 
-def build(train: DataFrame, text: str, counts: DataFrame) -> tuple[Vocabulary, Automaton]:
+def build(train: DataFrame, text: str, counts: DataFrame, grams: tuple[DataFrame, DataFrame] | None = None) -> tuple[Vocabulary, Automaton]:
+    """The numbered words, and the automaton of the n-grams of numbered words that are frequent enough."""
+    pairs, triples = grams or ngrams(train, text)
     sums = counts.agg(F.coalesce(F.sum("c"), F.lit(0)).alias("n"), F.count("*").alias("v")).first()
     n = sums["n"]
     hashes, c = _collected(counts.filter(F.col("c") >= max(1, int(np.ceil(SHARE * n)))), "w")
     vocabulary = Vocabulary(hashes.view(np.uint64), c, n, sums["v"])
-    least = max(2, int(np.ceil(CONTEXT_SHARE * n)))
-    frequent = np.append(c >= least, False)
-    shared = train.sparkSession.sparkContext.broadcast(vocabulary)
+    least = max(LEAST, int(np.ceil(CONTEXT_SHARE * n)))
     at_end = np.searchsorted(vocabulary.hashes, END)
     texts = int(c[at_end]) if at_end < len(c) and vocabulary.hashes[at_end] == END else 0
-    pairs = ngram_counts(train, text, shared, None, frequent, least)
-    triples = ngram_counts(train, text, shared, pairs[0], frequent, least) if ORDER > 2 and len(pairs[0]) else (pairs[0][:0], pairs[1][:0])
-    return vocabulary, Automaton(vocabulary, pairs, triples, texts)
+
+    def frequent(df: DataFrame) -> list[np.ndarray]:
+        found = df.filter(F.col("c") >= least).select("k", "a", "b", "c").toArrow()
+        k, a, b, c = (found.column(i).to_numpy() for i in range(4))
+        return [k.view(np.uint64), a.view(np.uint64), b.view(np.uint64), c]
+
+    def packed(a: np.ndarray, b: np.ndarray, c: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        key = a << BITS | b
+        order = np.argsort(key)
+        return key[order], c[order]
+
+    k, a, b, c2 = frequent(pairs)
+    left = np.where(a == START, vocabulary.start, vocabulary.numbers(a))
+    right = vocabulary.numbers(b)
+    held = (left >= 0) & (right >= 0)
+    k, left, right, c2 = k[held], left[held], right[held], c2[held]
+    by_key = np.argsort(k)
+
+    def pair_of(key: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """Places of pairs (any, where there is none), and whether they are held."""
+        if not len(k):
+            return np.zeros(len(key), np.int64), np.zeros(len(key), bool)
+        at = by_key[np.minimum(np.searchsorted(k, key, sorter=by_key), len(k) - 1)]
+        return at, k[at] == key
+
+    _, a, b, c3 = frequent(triples)
+    (i, first), (j, second) = pair_of(a), pair_of(b)
+    both = first & second
+    i, j, c3 = i[both], j[both], c3[both]
+    return vocabulary, Automaton(vocabulary, packed(left, right, c2), packed(left[i] << BITS | right[i], right[j], c3), texts)
 
 
 def score_documents(docs: DataFrame, key: str = "doc_id", text: str = "text") -> DataFrame:
     """key, held_out, n_tokens, n_known, train_tokens, base_score, score of every document."""
-    held = F.coalesce(F.crc32(F.col(key).cast("string").cast("binary")) % FOLDS == HELD_OUT, F.lit(False))
-    train = docs.filter(~held)
+    held = lambda k: F.coalesce(F.crc32(F.col(k).cast("string").cast("binary")) % FOLDS == HELD_OUT, F.lit(False))
+    train = docs.filter(~held(key))
     counts = saved(word_counts(train, text), "word-counts")
-    vocabulary, automaton = build(train, text, counts)
+    pairs, triples = ngrams(train, text)
+    vocabulary, automaton = build(train, text, counts, (pairs, triples))
     texts = counts.filter(F.col("w") == int(END.view(np.int64))).agg(F.coalesce(F.sum("c"), F.lit(0)).alias("n")).first()["n"]
-    word_terms, pairs, triples = gram_tables(train, text, counts, vocabulary.total, vocabulary.distinct, texts)
-    lacking, others = complete(vocabulary, automaton, word_terms, pairs, triples)
+    word_terms, pair_terms, triple_terms = gram_tables(train, pairs, triples, counts, vocabulary.total, vocabulary.distinct, texts)
+    discard(pairs, triples)
+    lacking, others = complete(vocabulary, automaton, counts, word_terms, pair_terms, triple_terms)
+    discard(pair_terms, triple_terms, counts)
+    n, v = float(vocabulary.total), float(vocabulary.distinct)
+    unseen = float(np.log10(0.5 / (n + 0.5 * (v + 1))))
+    rows = parts_of_scores(docs, key, text, vocabulary, automaton, lacking).join(others, "k", "left")
+    # tf is 0 in a document's own row and in those of n-grams; a word that isn't found is an unseen one
+    word = F.col("tf") > 0
+    known, base, term = (F.coalesce(F.col(c), F.lit(0)) for c in ("known", "base", "term"))
+    missing = F.when(F.col("known").isNull(), F.lit(unseen)).otherwise(0.0)
+    summed = rows.groupBy("row").agg(
+        F.max(key).alias(key),
+        F.sum("n_tokens").alias("n_tokens"),
+        F.sum(F.col("numbered") + F.when(word, F.col("tf") * known).otherwise(0)).cast("long").alias("n_known"),
+        F.sum(F.col("unigram") + F.when(word, F.col("tf") * (base + missing)).otherwise(0.0)).alias("base_score"),
+        F.sum(F.col("walk") + F.when(word, F.col("tf") * (term + missing)).otherwise(term)).alias("score"),
+    )
+    return summed.select(key, held(key).alias("held_out"), "n_tokens", "n_known", F.lit(int(n)).cast("long").alias("train_tokens"), "base_score", "score")
+
+
+def parts_of_scores(docs: DataFrame, key: str, text: str, vocabulary: Vocabulary, automaton: Automaton, lacking: Rest) -> DataFrame:
+    """From one scan: a row of each document, with what the automaton gives it, and one for each of its
+    words without a number (k, tf) and each of its n-grams that may be among the others (k, tf 0)."""
     model = docs.sparkSession.sparkContext.broadcast((vocabulary, automaton, lacking))
-    cold = T.ArrayType(T.StructType([T.StructField("w", T.LongType()), T.StructField("tf", T.LongType())]))
-    schema = T.StructType([T.StructField("row", T.LongType()), T.StructField(key, docs.schema[key].dataType), T.StructField("held_out", T.BooleanType()), T.StructField("n_tokens", T.LongType()), T.StructField("numbered", T.LongType()), T.StructField("base", T.DoubleType()), T.StructField("walk", T.DoubleType()), T.StructField("cold", cold), T.StructField("grams", T.ArrayType(T.LongType()))])
+    schema = T.StructType([T.StructField("row", T.LongType()), T.StructField(key, docs.schema[key].dataType), *(T.StructField(c, T.LongType()) for c in ("n_tokens", "numbered")), *(T.StructField(c, T.DoubleType()) for c in ("unigram", "walk")), T.StructField("k", T.LongType()), T.StructField("tf", T.LongType())])
 
     def scan(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         vocabulary, automaton, lacking = model.value
         for batch in batches:
-            if not batch.num_rows:
-                continue
-            numbers, sizes, rare_counts, rare, times = [], [], [], [], []
-            gram_counts, grams, added = [], [], []
-            for _, _, tokens, first in _token_blocks(batch.column(3)):
-                n = vocabulary.numbers(tokens)
-                numbers.append(n.astype(np.int32))
-                sizes.append(np.diff(first))
-                at = np.flatnonzero(n < 0)
-                rows, w = np.searchsorted(first, at, "right") - 1, tokens[at]
-                order = np.lexsort((w, rows))
-                rows, w = rows[order], w[order]
-                new = np.flatnonzero(np.concatenate([[True], (rows[1:] != rows[:-1]) | (w[1:] != w[:-1])])) if len(w) else np.zeros(0, np.int64)
-                rare.append(w[new])
-                times.append(np.diff(np.append(new, len(w))))
-                rare_counts.append(np.bincount(rows[new], minlength=len(first) - 1))
+            at_row = batch.column(0).to_numpy()
+            for x, y, tokens, first in _token_blocks(batch.column(2)):
+                row = at_row[x:y]
+                words = vocabulary.numbers(tokens)
+                known = words >= 0
+                owner = np.repeat(np.arange(y - x), np.diff(first))
                 _, _, k2 = _pairs_of(tokens, first)
                 at3 = _triples_of(k2, first)
                 k3 = _mixed(k2[at3 - 1], k2[at3])
-                term = _at(lacking.keys, lacking.terms, k2) + np.where(n >= 0, np.append(lacking.words, 0.0)[n], 0.0)
-                term[at3] += _at(lacking.keys, lacking.terms, k3)
-                added.append(np.add.reduceat(term, first[:-1]) + lacking.start)
-                row = np.repeat(np.arange(len(first) - 1), np.diff(first))
-                in2, in3 = passes(lacking.others, k2), passes(lacking.others, k3)
-                row, k = np.concatenate([row[in2], row[at3[in3]]]), np.concatenate([k2[in2], k3[in3]])
-                grams.append(k[np.argsort(row, kind="stable")])
-                gram_counts.append(np.bincount(row, minlength=len(first) - 1))
-            words = np.concatenate(numbers).astype(np.int64)
-            first = np.concatenate([[0], np.cumsum(np.concatenate(sizes))])
-            known = words >= 0
-            unigram = np.where(known, automaton.root_log[np.maximum(words, 0)] if len(automaton.root_log) else 0.0, 0.0)
-            walked = automaton.traverse(words, first)
-            lists = pa.ListArray.from_arrays(
-                pa.array(np.concatenate([[0], np.cumsum(np.concatenate(rare_counts))]).astype(np.int32)),
-                pa.StructArray.from_arrays([pa.array(np.concatenate(rare).view(np.int64)), pa.array(np.concatenate(times))], ["w", "tf"]),
-            )
-            listed = pa.ListArray.from_arrays(pa.array(np.concatenate([[0], np.cumsum(np.concatenate(gram_counts))]).astype(np.int32)), pa.array(np.concatenate(grams).view(np.int64)))
-            out = [pa.array(np.diff(first)), pa.array(np.add.reduceat(known.astype(np.int64), first[:-1])), pa.array(np.add.reduceat(unigram, first[:-1])), pa.array(walked + np.concatenate(added)), lists, listed]
-            yield pa.RecordBatch.from_arrays([*batch.columns[:3], *out], names=schema.names)
-
-    rows = saved(docs.select(F.monotonically_increasing_id().alias("row"), F.col(key), held.alias("held_out"), F.col(text)).mapInArrow(scan, schema), "walked")
-    n, v = float(vocabulary.total), float(vocabulary.distinct)
-    c = F.coalesce(F.col("c"), F.lit(0))
-    rare = rows.select("row", F.explode("cold").alias("x")).select("row", "x.w", "x.tf").join(counts, "w", "left").join(word_terms.filter(F.col("seen") < max(1, int(np.ceil(SHARE * n)))).select("w", "w1"), "w", "left")
-    rest = rare.groupBy("row").agg(F.sum(F.when(c > 0, F.col("tf")).otherwise(0)).alias("rare_known"), F.sum(F.col("tf") * F.log10((c + 0.5) / F.lit(n + 0.5 * (v + 1)))).alias("rare_base"), F.sum(F.col("tf") * F.coalesce("w1", F.lit(0.0))).alias("rare_walk"))
-    longer = rows.select("row", F.explode("grams").alias("k")).join(others, "k").groupBy("row").agg(F.sum("term").alias("rare_grams"))
-    zero = lambda c: F.coalesce(F.col(c), F.lit(0))
-    return rows.join(rest, "row", "left").join(longer, "row", "left").select(
-        key,
-        "held_out",
-        "n_tokens",
-        (F.col("numbered") + zero("rare_known")).cast("long").alias("n_known"),
-        F.lit(int(n)).cast("long").alias("train_tokens"),
-        (F.col("base") + zero("rare_base")).alias("base_score"),
-        (F.col("walk") + zero("rare_base") + zero("rare_walk") + zero("rare_grams")).alias("score"),
-    )
+                gained = _at(lacking.keys, lacking.terms, k2) + np.where(known, np.append(lacking.words, 0.0)[words], 0.0)
+                gained[at3] += _at(lacking.keys, lacking.terms, k3)
+                unigram = np.where(known, automaton.root_log[np.maximum(words, 0)] if len(automaton.root_log) else 0.0, 0.0)
+                walk = automaton.traverse(words, first) + np.add.reduceat(gained, first[:-1]) + lacking.start
+                cold = np.flatnonzero(~known)
+                order = np.lexsort((tokens[cold], owner[cold]))
+                cold_row, cold_word = owner[cold][order], tokens[cold][order]
+                new = np.flatnonzero(np.concatenate([[True], (cold_row[1:] != cold_row[:-1]) | (cold_word[1:] != cold_word[:-1])])) if len(cold) else np.zeros(0, np.int64)
+                in2, in3 = np.flatnonzero(passes(lacking.others, k2)), np.flatnonzero(passes(lacking.others, k3))
+                rows = np.concatenate([row, row[cold_row[new]], row[owner[in2]], row[owner[at3[in3]]]])
+                k = np.concatenate([ts.mix(row.view(np.uint64) + np.uint64(1)), cold_word[new], k2[in2], k3[in3]])
+                tf = np.zeros(len(rows), np.int64)
+                tf[len(row) : len(row) + len(new)] = np.diff(np.append(new, len(cold)))
+                more = len(rows) - len(row)
+                filled = lambda a: pa.array(np.concatenate([a, np.zeros(more, a.dtype)]))  # noqa: B023, E731
+                keys = pa.concat_arrays([batch.column(1).slice(x, y - x), pa.nulls(more, batch.column(1).type)])
+                out = [pa.array(rows), keys, filled(np.diff(first)), filled(np.add.reduceat(known.astype(np.int64), first[:-1])), filled(np.add.reduceat(unigram, first[:-1])), filled(walk), pa.array(k.view(np.int64)), pa.array(tf)]
+                yield pa.RecordBatch.from_arrays(out, names=schema.names)
+
+    return docs.select(F.monotonically_increasing_id().alias("row"), F.col(key), F.col(text)).mapInArrow(scan, schema)

@@ -1,13 +1,24 @@
-"""Where intermediate tables go: the folder that all executors share."""
+"""Where intermediate tables go: the folder that all executors share.
+
+The same few lines as in gridknn.sources.shared: this subpackage is an optional part that
+nothing else imports, so that the rest stays whole without it.
+"""
 
 from __future__ import annotations
 
 import os
 import tempfile
 import uuid
+from contextlib import contextmanager
 
 from pyspark.sql import DataFrame, SparkSession
 
+#: Bytes of an Arrow batch, so that a Python worker and the JVM hold few rows of text at a time.
+BATCH = "spark.sql.execution.arrow.maxBytesPerBatch"
+BATCH_BYTES = 4 << 20
+#: Removes the shuffle files of a query when it has ended.
+CLEANUP = "spark.sql.classic.shuffleDependency.fileCleanup.enabled"
+
 
 def shared_dir(spark: SparkSession) -> str:
     """spark.checkpoint.dir; only where it is unset (tests) a temporary folder of this machine."""
@@ -17,12 +28,47 @@ def shared_dir(spark: SparkSession) -> str:
     return found.rstrip("/")
 
 
-def saved(df: DataFrame, name: str) -> DataFrame:
-    """df written once as Parquet in the shared folder and read again: cuts lineage, survives lost executors."""
-    path = f"{shared_dir(df.sparkSession)}/{name}-{uuid.uuid4().hex}"
-    df.write.parquet(path)
-    return df.sparkSession.read.schema(df.schema).parquet(path)
+def small_batches(spark: SparkSession) -> None:
+    """Arrow batches of at most BATCH_BYTES from now on, unless the session sets a size itself."""
+    unset = "64m"
+    if spark.conf.get(BATCH, unset) == unset:
+        spark.conf.set(BATCH, str(BATCH_BYTES))
+
+
+@contextmanager
+def _shuffles_removed(spark: SparkSession):
+    before = spark.conf.get(CLEANUP, "false")
+    spark.conf.set(CLEANUP, "true")
+    try:
+        yield
+    finally:
+        spark.conf.set(CLEANUP, before)
+
+
+def saved(df: DataFrame, name: str, partition_by: str | None = None) -> DataFrame:
+    """df written once as Parquet in the shared folder and read again: cuts lineage, survives lost executors.
+
+    The write is a query of its own that is never run again, so its shuffle files go with it.
+    """
+    spark = df.sparkSession
+    small_batches(spark)
+    path = f"{shared_dir(spark)}/{name}-{uuid.uuid4().hex}"
+    with _shuffles_removed(spark):
+        (df.write.partitionBy(partition_by) if partition_by else df.write).parquet(path)
+    out = spark.read.schema(df.schema).parquet(path)
+    out._saved_at = path
+    return out
+
+
+def discard(*tables: DataFrame | None) -> None:
+    """Removes saved tables that no later plan reads; others are left alone."""
+    for df in tables:
+        if path := getattr(df, "_saved_at", None):
+            jvm = df.sparkSession._jvm
+            at = jvm.org.apache.hadoop.fs.Path(path)
+            at.getFileSystem(df.sparkSession._jsparkSession.sessionState().newHadoopConf()).delete(at, True)
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
+    small_batches(spark)
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")

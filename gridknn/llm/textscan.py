@@ -16,6 +16,8 @@ import pyarrow.compute as pc
 BYTE_BASE = np.uint64(0x9E3779B97F4A7C55)
 WORD_BASE = np.uint64(0xD6E8FEB86659FD93)
 BLOCK_BYTES = 1 << 19
+#: Bytes (or words) that are hashed at a time; tables of powers are no longer than this and a bit.
+SEGMENT = 1 << 20
 
 #: Bytes as they are, but A-Z turned to a-z.
 LOWER = np.arange(256, dtype=np.uint8)
@@ -123,18 +125,48 @@ class Words:
         return b" ".join(self.data[s:e].tobytes() for s, e in zip(self.start[i:j], self.end[i:j], strict=True))
 
 
-def hash_spans(data: np.ndarray, start: np.ndarray, end: np.ndarray) -> np.ndarray:
-    """64-bit hashes of data[start:end] for each span."""
-    up, down = _bytes.get(len(data) + 1)
+def _sums(data: np.ndarray, start: np.ndarray, end: np.ndarray, powers: Powers) -> np.ndarray:
+    up, down = powers.get(len(data) + 1)
     total = np.zeros(len(data) + 1, np.uint64)
     np.cumsum((data.astype(np.uint64) + np.uint64(1)) * up[: len(data)], out=total[1:])
-    return mix((total[end] - total[start]) * down[start])
+    return (total[end] - total[start]) * down[start]
+
+
+def _long_sum(data: np.ndarray, powers: Powers) -> int:
+    """The same sum for one long span, piece by piece."""
+    total, ends = 0, np.zeros(1, np.int64)
+    for at in range(0, len(data), SEGMENT):
+        piece = data[at : at + SEGMENT]
+        total += int(_sums(piece, ends, ends + len(piece), powers)[0]) * pow(powers.base, at, 1 << 64)
+    return total & (1 << 64) - 1
+
+
+def hash_spans(data: np.ndarray, start: np.ndarray, end: np.ndarray, powers: Powers = _bytes) -> np.ndarray:
+    """64-bit hashes of data[start:end] for each span; start has to rise.
+
+    A sum starts with the power 0 wherever its span lies, so data can be hashed in overlapping
+    segments: a span belongs to the first segment that holds its start in the first half.
+    """
+    if len(data) <= SEGMENT:
+        return mix(_sums(data, start, end, powers))
+    out, half = np.empty(len(start), np.uint64), SEGMENT // 2
+    edges = np.searchsorted(start, np.arange(0, len(data) + half, half))
+    for i, (a, b) in enumerate(zip(edges[:-1].tolist(), edges[1:].tolist(), strict=True)):
+        if a < b:
+            stop = np.minimum(end[a:b] - i * half, SEGMENT)
+            out[a:b] = _sums(data[i * half : i * half + SEGMENT], start[a:b] - i * half, np.minimum(stop, len(data) - i * half), powers)
+    for k in np.flatnonzero(end - start > half):
+        out[k] = _long_sum(data[start[k] : end[k]], powers)
+    return mix(out)
 
 
 def hash_windows(words: np.ndarray, size: int) -> np.ndarray:
     """Hashes of every `size` consecutive word hashes (rows are not told apart)."""
     if len(words) < size:
         return np.zeros(0, np.uint64)
+    if len(words) > SEGMENT:
+        parts = [hash_windows(words[i : i + SEGMENT], size) for i in range(0, len(words) - size + 1, SEGMENT - size + 1)]
+        return np.concatenate(parts)
     up, down = _words.get(len(words) + 1)
     total = np.zeros(len(words) + 1, np.uint64)
     np.cumsum(words * up[: len(words)], out=total[1:])
