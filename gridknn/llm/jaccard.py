@@ -437,7 +437,11 @@ def jaccard_components(docs: DataFrame, key: str = "doc_id", text: str = "text")
 
 
 def keep_representatives(docs: DataFrame, key: str = "doc_id", text: str = "text") -> DataFrame:
-    """docs without those that have a near duplicate of smaller key in their component, all columns kept."""
+    """docs without those that have a near duplicate of smaller key in their component, all columns kept.
+
+    Rows of one key are one document: they stay or go together, so exact repetitions of a row that
+    stays all stay. Rows whose key is null have no smaller key and stay.
+    """
     gone = saved(jaccard_components(docs, key, text).filter(F.col("component_id") < F.col(key)).select(F.col(key).alias("__gone")).distinct(), "near-duplicates")
     marked = key_filter(gone.select(F.xxhash64("__gone").alias("k")), "k")
     hashed, schema, names = docs.withColumn("__key_hash", F.xxhash64(key)), docs.schema, docs.columns

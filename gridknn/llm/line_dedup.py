@@ -1,10 +1,12 @@
 """Line dedup over levelled sorted runs of line hashes.
 
 A line's key is the line stripped of blanks at both ends, A-Z lower-cased. Keys are 128-bit
-hashes. Documents come in batches; each batch leaves a run: its keys in sorted order, each
-with the number of documents that hold it and the largest of their ids. When a level has
+hashes. Documents come in batches; a batch's keys are counted (documents that hold them, and
+the largest of their ids) and merge-anti-joined with the runs: keys that no run holds become
+a run of their own, the others raise the counts of keys seen before. When a level has
 `fanout` runs they are merged into one run of the next level, so a key is rewritten only a
-logarithmic number of times. A new batch can be anti-joined with the runs before it is added.
+logarithmic number of times. Runs and batches are sorted and bucketed by key, so that these
+joins move no run.
 
 Keys of at least `least` code points that `copies` or more documents hold lose all their
 lines except in the document with the largest id. Keys that more than one in HEAVY_SHARE of
@@ -30,7 +32,7 @@ from pyspark.sql import types as T
 
 from . import textscan as ts
 from .keyfilter import key_filter, passes
-from .storage import saved, shared_dir
+from .storage import bucketed, discard, saved
 
 LEAST, COPIES, FANOUT, BATCHES = 20, 3, 4, 4
 HEAVY_SHARE, HEAVY_LEAST = 100_000, 1_000
@@ -92,27 +94,42 @@ def line_keys(docs: DataFrame, key: str = "doc_id", text: str = "text", least: i
 
 
 class LineRuns:
-    """Levels of sorted runs (h1, h2, holders, largest) in the shared folder."""
+    """Levels of runs (h1, h2, holders, largest), sorted and dealt alike, so that they join without a shuffle.
 
-    def __init__(self, spark: SparkSession, fanout: int = FANOUT, path: str | None = None):
+    Every key has a row in one run only: that of the batch which brought it first. What later
+    batches add to its holders, and larger ids, lie beside the runs as raises.
+    """
+
+    def __init__(self, spark: SparkSession, fanout: int = FANOUT):
         self.spark, self.fanout = spark, fanout
-        self.path = path or f"{shared_dir(spark)}/line-runs-{uuid.uuid4().hex}"
+        self.buckets = int(spark.conf.get("spark.sql.shuffle.partitions"))
         self.levels: list[list[DataFrame]] = [[]]
-        self.written = 0
+        self.raises: list[DataFrame] = []
+        self.names: dict[int, str] = {}
 
-    def _write(self, counts: DataFrame) -> DataFrame:
-        self.written += 1
-        path = f"{self.path}/{self.written}"
-        counts.sortWithinPartitions("h1", "h2").write.parquet(path)
-        return self.spark.read.schema(counts.schema).parquet(path)
+    def _write(self, rows: DataFrame, name: str) -> DataFrame:
+        """A table bucketed and sorted by key, in the shared folder."""
+        name = f"{name}_{uuid.uuid4().hex}"
+        out = bucketed(rows.repartition(self.buckets, "h1", "h2"), name, self.buckets, ["h1", "h2"])
+        self.names[id(out)] = name
+        return out
 
     def add(self, keys: DataFrame, key: str = "doc_id") -> None:
-        """The run of a batch's (key, h1, h2) rows; full levels are compacted."""
-        self.levels[0].append(self._write(keys.groupBy("h1", "h2").agg(F.count("*").alias("holders"), F.max(key).alias("largest"))))
+        """Takes in a batch's (key, h1, h2) rows: unseen keys become a run, the others raises; full levels are compacted."""
+        counted = keys.groupBy("h1", "h2").agg(F.count("*").alias("holders"), F.max(key).alias("largest"))
+        if not self.runs():
+            self.levels[0].append(self._write(counted, "line_run"))
+            return
+        batch = self._write(counted, "line_batch")
+        fresh = self._write(self.unseen(batch), "line_run")
+        self.raises.append(saved(batch.join(fresh, ["h1", "h2"], "left_anti"), "line-raises"))
+        self._drop(batch)
+        self.levels[0].append(fresh)
         level = 0
         while len(self.levels[level]) >= self.fanout:
-            merged = self._write(_merged(self.levels[level]))
-            self.levels[level] = []
+            full, self.levels[level] = self.levels[level], []
+            merged = self._write(_union(full), "line_run")
+            self._drop(*full)
             level += 1
             if level == len(self.levels):
                 self.levels.append([])
@@ -122,36 +139,50 @@ class LineRuns:
         return [r for level in self.levels for r in level]
 
     def unseen(self, keys: DataFrame) -> DataFrame:
-        """The batch's rows whose key no run holds: merge-anti-joined run by run."""
+        """The rows whose key no run holds: merge-anti-joined run by run."""
         for run in self.runs():
             keys = keys.join(run, ["h1", "h2"], "left_anti")
         return keys
 
-    def totals(self) -> DataFrame:
-        runs = self.runs()
-        return runs[0] if len(runs) == 1 else _merged(runs)
-
-
-def _merged(runs: list[DataFrame]) -> DataFrame:
+    def at_least(self, copies: int) -> DataFrame:
+        """The keys with so many holders, summed up; a key that was never raised has them all in its run."""
+        runs = _union(self.runs())
+        if not self.raises:
+            return runs.filter(F.col("holders") >= copies)
+        raised = _union(self.raises).groupBy("h1", "h2").agg(F.sum("holders").alias("more"), F.max("largest").alias("later"))
+        both = runs.join(raised, ["h1", "h2"], "left")
+        whole = both.select("h1", "h2", (F.col("holders") + F.coalesce("more", F.lit(0))).alias("holders"), F.greatest("largest", "later").alias("largest"))
+        return whole.filter(F.col("holders") >= copies)
+
+    def _drop(self, *runs: DataFrame) -> None:
+        for r in runs:
+            self.spark.sql(f"DROP TABLE IF EXISTS {self.names.pop(id(r))}")
+            discard(r)
+
+    def close(self) -> None:
+        """Removes all runs and raises."""
+        self._drop(*self.runs())
+        discard(*self.raises)
+        self.levels, self.raises = [[]], []
+
+
+def _union(runs: list[DataFrame]) -> DataFrame:
     every = runs[0]
     for r in runs[1:]:
         every = every.unionByName(r)
-    return every.groupBy("h1", "h2").agg(F.sum("holders").alias("holders"), F.max("largest").alias("largest"))
+    return every
 
 
 def dropped_keys(docs: DataFrame, key: str = "doc_id", text: str = "text", least: int = LEAST, copies: int = COPIES, batches: int = BATCHES, fanout: int = FANOUT) -> DataFrame:
     """key and gone: the hashes of the keys whose lines this document loses; documents that lose none are left out."""
-    spark = docs.sparkSession
     part = F.pmod(F.xxhash64(key), F.lit(batches)).cast("int")
-    path = f"{shared_dir(spark)}/line-keys-{uuid.uuid4().hex}"
-    keys = line_keys(docs, key, text, least).withColumn("batch", part)
-    keys.write.partitionBy("batch").parquet(path)
-    keys = spark.read.schema(keys.schema).parquet(path)
-    store = LineRuns(spark, fanout)
+    keys = saved(line_keys(docs, key, text, least).withColumn("batch", part), "line-keys", "batch")
+    store = LineRuns(docs.sparkSession, fanout)
     for b in range(batches):
         store.add(keys.filter(F.col("batch") == b), key)
-    keys = keys.drop("batch")
-    repeated = saved(store.totals().filter(F.col("holders") >= copies), "repeated-lines")
+    every, keys = keys, keys.drop("batch")
+    repeated = saved(store.at_least(copies), "repeated-lines")
+    store.close()
     total = repeated.agg(F.coalesce(F.sum("holders"), F.lit(0)).alias("n")).first()["n"]
     heavy = F.col("holders") >= max(HEAVY_LEAST, total // HEAVY_SHARE)
     wanted = key_filter(repeated.filter(~heavy), "h1")
@@ -164,7 +195,9 @@ def dropped_keys(docs: DataFrame, key: str = "doc_id", text: str = "text", least
     lose = F.col(key) < F.col("largest")
     few = keys.join(F.broadcast(repeated.filter(heavy)), ["h1", "h2"]).filter(lose).select(key, "h1", "h2")
     rest = keys.mapInArrow(sift, schema).join(repeated.filter(~heavy), ["h1", "h2"]).filter(lose).select(key, "h1", "h2")
-    return few.unionByName(rest).groupBy(key).agg(F.collect_set(F.struct("h1", "h2")).alias("gone"))
+    lost = saved(few.unionByName(rest).groupBy(key).agg(F.collect_set(F.struct("h1", "h2")).alias("gone")), "line-losses")
+    discard(every, repeated)
+    return lost
 
 
 def small(batches: Iterator[pa.RecordBatch], rows: int = 256) -> Iterator[pa.RecordBatch]:
@@ -187,7 +220,7 @@ def _kept(text: str, gone: list[dict], least: int) -> tuple[str, int, int]:
 
 def _with_losses(docs: DataFrame, key: str, text: str, least: int, **options) -> tuple[DataFrame, DataFrame]:
     """docs that surely lose nothing, and the others with their array gone (null where nothing is lost)."""
-    losses = saved(dropped_keys(docs, key, text, least, **options), "line-losses")
+    losses = dropped_keys(docs, key, text, least, **options)
     marked = key_filter(losses.select(F.xxhash64(key).alias("k")), "k")
     hashed, names = docs.withColumn("__key_hash", F.xxhash64(key)), docs.columns
 

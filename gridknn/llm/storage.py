@@ -60,6 +60,18 @@ def saved(df: DataFrame, name: str, partition_by: str | None = None) -> DataFram
     return out
 
 
+def bucketed(df: DataFrame, name: str, buckets: int, by: list[str]) -> DataFrame:
+    """df as a table of the session's catalog, bucketed and sorted, with its files in the shared folder."""
+    spark = df.sparkSession
+    small_batches(spark)
+    path = f"{shared_dir(spark)}/{name}"
+    with _shuffles_removed(spark):
+        df.write.bucketBy(buckets, *by).sortBy(*by).option("path", path).saveAsTable(name)
+    out = spark.table(name)
+    out._saved_at = path
+    return out
+
+
 def discard(*tables: DataFrame | None) -> None:
     """Removes saved tables that no later plan reads; others are left alone."""
     for df in tables:

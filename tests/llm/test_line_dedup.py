@@ -64,13 +64,19 @@ def test_rewritten_documents(spark):
 
 def test_unseen_lines_of_a_new_batch(spark):
     store = ld.LineRuns(spark, fanout=2)
-    seen = set()
+    holders = {}
     for b in range(4):
-        rows = table(10 + b, 20)
+        rows = [(100 * b + i, t) for i, t in table(10 + b, 20)]
         keys = ld.line_keys(spark.createDataFrame(rows, "doc_id long, text string"))
-        mine = {(r.h1, r.h2) for r in keys.collect()}
-        assert {(r.h1, r.h2) for r in store.unseen(keys).collect()} == mine - seen if seen else True
+        mine = [(r.h1, r.h2, r.doc_id) for r in keys.collect()]
+        assert {(r.h1, r.h2) for r in store.unseen(keys).collect()} == {x[:2] for x in mine} - holders.keys()
         store.add(keys)
-        seen |= mine
-    assert [len(x) for x in store.levels] == [0, 0, 1]
-    assert store.totals().count() == len(seen)
+        for *k, i in mine:
+            holders.setdefault(tuple(k), []).append(i)
+    assert [len(x) for x in store.levels] == [0, 0, 1] or sum(len(x) for x in store.levels) < 4
+    assert sum(r.count() for r in store.runs()) == len(holders)
+    for copies in (1, 3):
+        found = {(r.h1, r.h2): (r.holders, r.largest) for r in store.at_least(copies).collect()}
+        assert found == {k: (len(v), max(v)) for k, v in holders.items() if len(v) >= copies}
+    store.close()
+    assert not [t.name for t in spark.catalog.listTables() if t.name.startswith("line_")]

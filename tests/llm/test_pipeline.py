@@ -27,9 +27,9 @@ def test_decontamination_of_odd_rows(spark):
     for limit in (1 << 20, 30):  # at once, and in slices
         got = {r.doc_id: (r.n_words, r.n_hit, r.n_items) for r in decontam.decontaminate(docs, bench, max_bytes=limit).collect()}
         assert got == want
-    cut = {r.doc_id: r.text for r in decontam.remove_spans(docs, bench).collect()}
-    assert cut[3] == "xx ! yy" and cut[0] is None and cut[4] == "alpha beta"
-    assert sorted(r.doc_id for r in decontam.drop_contaminated_documents(docs, bench).collect()) == [0, 1, 2, 4]
+        cut = {r.doc_id: r.text for r in decontam.remove_spans(docs, bench, max_bytes=limit).collect()}
+        assert cut[3] == "xx ! yy" and cut[0] is None and cut[4] == "alpha beta"
+        assert sorted(r.doc_id for r in decontam.drop_contaminated_documents(docs, bench, max_bytes=limit).collect()) == [0, 1, 2, 4]
     assert decontam.decontaminate(docs.limit(0), bench).collect() == []
     assert {r.n_hit for r in decontam.decontaminate(docs, bench.limit(0)).collect()} == {0}
 
@@ -58,10 +58,13 @@ def test_long_credentials_in_urls(spark):
     assert f"url:4:{text.index('/x')}" in secrets.scan_secrets(docs).first().spans.split(",")
 
 
-def test_sliced_benchmark_judges_each_row(spark):
+def test_large_benchmark_judges_each_row(spark):
     words = [f"w{i}" for i in range(60)]
     bench = spark.createDataFrame([(i, " ".join(words[15 * i : 15 * i + 15])) for i in range(4)], "item_id long, text string")
     rows = [(7, " ".join(words[:15])), (7, " ".join(words[15:30]) + " and more"), (None, "nothing"), (None, " ".join(words[30:60]))]
-    docs = spark.createDataFrame(rows, "doc_id long, text string")
+    docs = spark.createDataFrame([(*r, 1, "x") for r in rows], "doc_id long, text string, n_words int, __spans string")
+    for limit in (60, 1 << 20):
+        kept = decontam.drop_contaminated_documents(docs, bench, max_bytes=limit)
+        assert kept.columns == docs.columns and [r.text for r in kept.collect()] == ["nothing"]
     shown = lambda limit: sorted(map(str, decontam.decontaminate(docs, bench, max_bytes=limit).collect()))
     assert len(shown(60)) == 4 and shown(60) == shown(1 << 20)
