@@ -13,8 +13,8 @@
 4. Only pairs of groups that the bound lets pass are opened, and the sets in them compared
    exactly on the texts. Components of all links give the classes of near duplicates.
 
-The frequent tokens are estimated (any order gives the same links); their list is bounded
-by HEAVY entries because a token in it occurs in at least one HEAVY-th of all set elements.
+Tokens are counted over all sets, and those that most sets hold, at most HEAVY of them, give
+the order; any order gives the same links, so the bound costs time and no link.
 
 Null, empty or blank text: no shingles, linked with nothing. Repeated rows are one class.
 Rows whose id is null belong to their component like all others, but don't name it.
@@ -43,7 +43,7 @@ WORDS, PERCENT = 5, 75
 CENTRES, LOW = 4, 12
 #: What class ids are combined with, so that each min-hash orders centres anew.
 TURNS = (0, 0x4000000000000000, -0x7FFFFFFFFFFFFFFF - 1, -0x4000000000000000)
-HEAVY, HEAVY_LEAST = 4_000_000, 4
+HEAVY, HEAVY_LEAST = 4_000_000, 2
 #: A pair goes to its centre for comparison if the smallest LOW tokens agree this much.
 HOPEFUL = 0.4
 SLICE = 400
@@ -55,6 +55,8 @@ REMEMBERED = 200_000
 ROWS = 500_000
 #: Tokens that are counted together before their repetitions are handed on: 16 MB.
 TOGETHER = 2_000_000
+#: Tokens of a slice of the hashes, about.
+SLICE_TOKENS = 4_000_000
 
 
 def shingle_sets(data: np.ndarray, offsets: np.ndarray, size: int = WORDS) -> tuple[np.ndarray, np.ndarray]:
@@ -92,9 +94,50 @@ def _lists(values: np.ndarray, counts: np.ndarray) -> pa.ListArray:
     return pa.ListArray.from_arrays(pa.array(np.concatenate([[0], np.cumsum(counts)]).astype(np.int32)), pa.array(values.view(np.int64)))
 
 
+def parities(tokens: np.ndarray, n: np.ndarray) -> pa.Array:
+    """For each set whether an odd number of its tokens fall into each of 2 n buckets or more, as bits.
+
+    Two sets of n and m elements differ in at least as many elements as their bits differ, so
+    (n + m - differing bits) / 2 bounds what they have in common. Buckets are a power of two,
+    and a longer row of bits folds to a shorter one.
+    """
+    bits = 1 << np.ceil(np.log2(np.maximum(2 * n, 64))).astype(np.int64)
+    ends = np.cumsum(bits)
+    place = np.repeat(ends - bits, n) + (tokens & np.repeat(bits - 1, n).astype(np.uint64)).astype(np.int64)
+    odd = np.bincount(place, minlength=int(ends[-1]) if len(ends) else 0) & 1
+    offsets = np.concatenate([[0], ends // 8]).astype(np.int32)
+    return pa.Array.from_buffers(pa.binary(), len(n), [None, pa.py_buffer(offsets.tobytes()), pa.py_buffer(np.packbits(odd.astype(np.uint8), bitorder="little").tobytes())])
+
+
+def _differing(x: bytes, y: bytes) -> int:
+    """Differing bits of two rows of parities, the longer one folded."""
+    if len(x) < len(y):
+        x, y = y, x
+    a, size = int.from_bytes(x, "little"), len(x)
+    while size > len(y):
+        size //= 2
+        a = (a >> 8 * size) ^ (a & (1 << 8 * size) - 1)
+    return (a ^ int.from_bytes(y, "little")).bit_count()
+
+
+def promising(pairs: DataFrame, classes: DataFrame) -> DataFrame:
+    """The pairs (a, b) of class ids that may link, by the bound that sizes and parities give."""
+    side = lambda c: classes.select(F.col("cid").alias(c), F.col("n").alias("n" + c), F.col("parity").alias("p" + c))
+    both = pairs.join(side("a"), "a").join(side("b"), "b").select("a", "b", "na", "nb", "pa", "pb")
+
+    def scan(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            n = batch.column(2).to_numpy() + batch.column(3).to_numpy()
+            differing = np.array([_differing(x, y) for x, y in zip(batch.column(4).to_pylist(), batch.column(5).to_pylist(), strict=True)], np.int64)
+            common = (n - differing) // 2
+            yield batch.select(["a", "b"]).filter(pa.array((100 + PERCENT) * common >= PERCENT * n))
+
+    return both.mapInArrow(scan, "a long, b long")
+
+
 def signatures(docs: DataFrame, key: str, text: str) -> DataFrame:
-    """key, n, cid, keys (min-hashes), low (smallest tokens) of every row."""
-    schema = T.StructType([T.StructField(key, docs.schema[key].dataType), T.StructField("n", T.LongType()), T.StructField("cid", T.LongType()), T.StructField("keys", T.ArrayType(T.LongType())), T.StructField("low", T.ArrayType(T.LongType()))])
+    """key, n, cid, keys (min-hashes), low (smallest tokens), parity (see parities) of every row."""
+    schema = T.StructType([T.StructField(key, docs.schema[key].dataType), T.StructField("n", T.LongType()), T.StructField("cid", T.LongType()), T.StructField("keys", T.ArrayType(T.LongType())), T.StructField("low", T.ArrayType(T.LongType())), T.StructField("parity", T.BinaryType())])
 
     def scan(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -107,7 +150,7 @@ def signatures(docs: DataFrame, key: str, text: str) -> DataFrame:
                         keys[:, i] = np.minimum.reduceat(ts.mix(tokens ^ np.uint64(i * 0x5851F42D4C957F2D & (1 << 64) - 1)), first[:-1][full])
                 lowest = np.minimum(n, LOW)
                 low = tokens[np.repeat(first[:-1], lowest) + ts.ragged(lowest)]
-                yield pa.RecordBatch.from_arrays([batch.column(0).slice(a, b - a), pa.array(n), pa.array(ids), _lists(keys.ravel(), full * CENTRES), _lists(low, lowest)], names=schema.names)
+                yield pa.RecordBatch.from_arrays([batch.column(0).slice(a, b - a), pa.array(n), pa.array(ids), _lists(keys.ravel(), full * CENTRES), _lists(low, lowest), parities(tokens, n)], names=schema.names)
 
     return docs.select(key, text).mapInArrow(scan, schema)
 
@@ -124,18 +167,27 @@ def _once(ids: np.ndarray, n: np.ndarray, seen: set[int]) -> np.ndarray:
     return np.array(rows, np.int64)
 
 
-def frequent_tokens(docs: DataFrame, text: str, total: int) -> tuple[np.ndarray, np.ndarray]:
-    """Sorted tokens that repeat at least so often that no more than HEAVY can, and a rank of their frequency."""
+def token_totals(docs: DataFrame, text: str, total: int) -> DataFrame:
+    """(token, n) of the tokens that two sets hold at least.
+
+    Tokens travel as sorted arrays, one for each slice of the hashes, and slices are summed in
+    numpy: a row of each token in each task would cost several times the space and time. The
+    number of slices follows the total, so that a slice's arrays stay small at any size.
+    """
+    bits = max(4, int(np.ceil(np.log2(max(1, total) / SLICE_TOKENS))))
 
-    def repeated(held: list[np.ndarray]) -> pa.RecordBatch:
+    def sliced(held: list[np.ndarray]) -> pa.RecordBatch:
         values, counts = np.unique(np.concatenate(held), return_counts=True)
-        again = counts > 1
-        return pa.RecordBatch.from_arrays([pa.array(values[again].view(np.int64)), pa.array(counts[again])], names=["token", "n"])
+        edges = np.searchsorted(values, np.arange(1, 1 << bits, dtype=np.uint64) << np.uint64(64 - bits))
+        edges = np.concatenate([[0], edges, [len(values)]])
+        some = np.flatnonzero(np.diff(edges))
+        blobs = lambda x: pa.array([x[edges[i] : edges[i + 1]].tobytes() for i in some], pa.binary())
+        return pa.RecordBatch.from_arrays([pa.array(some), blobs(values), blobs(counts.astype(np.uint32))], names=["slice", "tokens", "counts"])
 
     def scan(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        seen: set[int] = set()
+        held, size = [], 0
         for batch in batches:
-            seen: set[int] = set()
-            held, size = [np.zeros(0, np.uint64)], 0
             for _, _, tokens, first, ids in _set_blocks(batch.column(0)):
                 n = np.diff(first)
                 rows = _once(ids, n, seen)
@@ -143,15 +195,54 @@ def frequent_tokens(docs: DataFrame, text: str, total: int) -> tuple[np.ndarray,
                     held.append(tokens[np.repeat(first[:-1][rows], n[rows]) + ts.ragged(n[rows])])
                     size += len(held[-1])
                 if size > TOGETHER:
-                    yield repeated(held)
-                    held, size = held[:1], 0
-            yield repeated(held)
-
-    least = max(HEAVY_LEAST, -(-total // HEAVY))
-    found = docs.select(text).mapInArrow(scan, "token long, n long").groupBy("token").agg(F.sum("n").alias("n")).filter(F.col("n") >= least).toArrow()
+                    yield sliced(held)
+                    held, size = [], 0
+        if held:
+            yield sliced(held)
+
+    def summed(held: list[tuple[bytes, bytes]]) -> pa.RecordBatch:
+        values = np.concatenate([np.frombuffer(t, np.uint64) for t, _ in held])
+        counts = np.concatenate([np.frombuffer(c, np.uint32) for _, c in held]).astype(np.int64)
+        order = np.argsort(values, kind="stable")
+        values, counts = values[order], counts[order]
+        first = np.flatnonzero(np.concatenate([[True], values[1:] != values[:-1]]))
+        counts = np.add.reduceat(counts, first)
+        keep = counts > 1
+        return pa.RecordBatch.from_arrays([pa.array(values[first][keep].view(np.int64)), pa.array(counts[keep])], names=["token", "n"])
+
+    def merge(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        now, held = -1, []
+        for batch in batches:
+            for s, t, c in zip(*(x.to_pylist() for x in batch.columns), strict=True):
+                if s != now and held:
+                    yield summed(held)
+                    held = []
+                now = s
+                held.append((t, c))
+        if held:
+            yield summed(held)
+
+    sent = docs.select(text).mapInArrow(scan, "slice long, tokens binary, counts binary")
+    return sent.repartition("slice").sortWithinPartitions("slice").mapInArrow(merge, "token long, n long")
+
+
+def frequent_tokens(docs: DataFrame, text: str, total: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Sorted tokens that most sets hold, no more than HEAVY of them, a rank of their frequency, and
+    a filter of fixed size of all tokens that two sets hold at least."""
+    totals = saved(token_totals(docs, text, total), "token-totals")
+    rank = F.floor(F.log2("n")).cast("int")
+    held, least = 0, 64
+    for r in totals.groupBy(rank.alias("r")).agg(F.count("*").alias("m")).orderBy(F.col("r").desc()).collect():  # at most 64 rows
+        held += r["m"]
+        if held > HEAVY:
+            break
+        least = r["r"]
+    found = totals.filter((rank >= least) & (F.col("n") >= HEAVY_LEAST)).select("token", rank.alias("r")).toArrow()
+    shared = key_filter(totals, "token").value
+    discard(totals)
     tokens = found.column("token").to_numpy().view(np.uint64)
     order = np.argsort(tokens)
-    return tokens[order], (1 + np.log2(np.maximum(found.column("n").to_numpy()[order], 1))).astype(np.uint8)
+    return tokens[order], (1 + found.column("r").to_numpy()[order]).astype(np.uint8), shared
 
 
 def _least_common(n: np.ndarray) -> np.ndarray:
@@ -160,10 +251,11 @@ def _least_common(n: np.ndarray) -> np.ndarray:
 
 
 def prefixes(docs: DataFrame, text: str, heavy: Broadcast) -> DataFrame:
-    """cid, n, tokens: size and prefix, in order, of every class (at least once)."""
+    """cid, n, tokens, places: size and prefix of every class (at least once), with the tokens' places in
+    the order; tokens that no other set holds can't be shared and are left out."""
 
     def scan(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        known, rank = heavy.value
+        known, rank, shared = heavy.value
         seen: set[int] = set()
         for batch in batches:
             for _, _, tokens, first, ids in _set_blocks(batch.column(0)):
@@ -178,16 +270,19 @@ def prefixes(docs: DataFrame, text: str, heavy: Broadcast) -> DataFrame:
                     at = np.minimum(np.searchsorted(known, mine), len(known) - 1)
                     late = np.where(known[at] == mine, rank[at], 0).astype(np.int64)
                     mine = mine[np.argsort(owner << 8 | late, kind="stable")]
-                size = n - _least_common(n) + 1
-                yield pa.RecordBatch.from_arrays([pa.array(ids[rows]), pa.array(n), _lists(mine[ts.ragged(n) < size[owner]], size)], names=["cid", "n", "tokens"])
+                place = ts.ragged(n)
+                keep = (place <= (n - _least_common(n))[owner]) & passes(shared, mine)
+                size = np.bincount(owner[keep], minlength=len(n))
+                some = size > 0
+                yield pa.RecordBatch.from_arrays([pa.array(ids[rows][some]), pa.array(n[some]), _lists(mine[keep], size[some]), _lists(place[keep], size[some])], names=["cid", "n", "tokens", "places"])
 
-    return docs.select(text).mapInArrow(scan, "cid long, n long, tokens array<long>")
+    return docs.select(text).mapInArrow(scan, "cid long, n long, tokens array<long>, places array<long>")
 
 
 def grouped_prefixes(docs: DataFrame, text: str, heavy: Broadcast, grouped: DataFrame) -> DataFrame:
-    """cid, g, many, n, tokens: prefixes with their group, and whether it has other members."""
+    """cid, g, many, n, tokens, places: prefixes with their group, and whether it has other members."""
     joined = prefixes(docs, text, heavy).join(grouped.withColumnRenamed("node", "cid"), "cid", "left")
-    return joined.select("cid", F.coalesce("label", "cid").alias("g"), F.col("label").isNotNull().alias("many"), "n", "tokens")
+    return joined.select("cid", F.coalesce("label", "cid").alias("g"), F.col("label").isNotNull().alias("many"), "n", "tokens", "places")
 
 
 def _overlap_left(n: np.ndarray, place: np.ndarray) -> np.ndarray:
@@ -213,10 +308,10 @@ def matrix(prefix: DataFrame, owner: str, side: str) -> DataFrame:
             sizes = np.diff(lists.offsets.to_numpy())
             owner, side, many, n = (np.repeat(batch.column(i).to_numpy(zero_copy_only=False), sizes) for i in range(4))
             if len(n):
-                rows = _united([lists.flatten().to_numpy(), owner, side, n, _overlap_left(n, ts.ragged(sizes)), many])
+                rows = _united([lists.flatten().to_numpy(), owner, side, n, _overlap_left(n, batch.column(5).flatten().to_numpy()), many])
                 yield pa.RecordBatch.from_arrays([pa.array(x) for x in rows], names=ROW)
 
-    return prefix.select(F.col(owner).alias("o"), F.col(side).alias("s"), "many", "n", "tokens").mapInArrow(scan, "token long, owner long, side long, n long, room long, many boolean")
+    return prefix.select(F.col(owner).alias("o"), F.col(side).alias("s"), "many", "n", "tokens", "places").mapInArrow(scan, "token long, owner long, side long, n long, room long, many boolean")
 
 
 def _united(columns: list[np.ndarray]) -> list[np.ndarray]:
@@ -379,7 +474,7 @@ def centre_pairs(classes: DataFrame, which: tuple[int, ...]) -> DataFrame:
     return both.filter(near & (100 * F.least("na", "nb") >= PERCENT * F.greatest("na", "nb"))).select("a", "b")
 
 
-def group_links(docs: DataFrame, text: str, passing: DataFrame, prefix: DataFrame, members: DataFrame, links: DataFrame) -> DataFrame:
+def group_links(docs: DataFrame, text: str, classes: DataFrame, passing: DataFrame, prefix: DataFrame, members: DataFrame, links: DataFrame) -> DataFrame:
     """All links found, those between opened groups included.
 
     One link connects two groups, and the rest between them changes nothing. So each pair of
@@ -387,7 +482,7 @@ def group_links(docs: DataFrame, text: str, passing: DataFrame, prefix: DataFram
     opened: their members become rows of a matrix of their own, in which those of one component
     don't meet, and all pairs that its bounds let pass are compared.
     """
-    alone = passing.filter("single").select("a", "b")
+    alone = saved(promising(passing.filter("single").select("a", "b"), classes), "promising-pairs")
     open_ = passing.filter("not single").select("a", "b")
     inside = saved(members.join(open_.select(F.explode(F.array("a", "b")).alias("g")).distinct(), "g", "left_semi"), "inside-open")
     sized = saved(inside.join(inside.groupBy("g").agg(F.count("*").alias("m"), F.min("cid").alias("first")), "g"), "open-members")
@@ -396,7 +491,7 @@ def group_links(docs: DataFrame, text: str, passing: DataFrame, prefix: DataFram
     few = sized.filter(F.pmod(F.xxhash64("cid"), F.ceil(F.col("m") / FEW)) == 0)
     of = lambda g, c: few.select(F.col("g").alias(g), F.col("cid").alias(c), F.col("n").alias("n" + c))
     tried = open_.join(of("a", "x"), "a").join(of("b", "y"), "b").filter(100 * F.least("nx", "ny") >= PERCENT * F.greatest("nx", "ny"))
-    links = links.unionByName(verified(texts, saved(tried.select(F.col("x").alias("a"), F.col("y").alias("b")), "tried-pairs")))
+    links = links.unionByName(verified(texts, saved(promising(tried.select(F.col("x").alias("a"), F.col("y").alias("b")), classes), "tried-pairs")))
     labels = components(links)
     # a group answers to any of its members' label
     sided = sized.join(labels.select(F.col("node").alias("first"), "label"), "first", "left").select("g", "cid", F.coalesce("label", "first").alias("side"))
@@ -406,7 +501,7 @@ def group_links(docs: DataFrame, text: str, passing: DataFrame, prefix: DataFram
     ends = still.select(F.explode(F.array("a", "b")).alias("g")).distinct()
     opened = prefix.join(sided.join(ends, "g", "left_semi").select("cid", "side"), "cid")
     pairs = qualifying(matrix(opened, "cid", "side")).select("a", "b")
-    links = links.unionByName(verified(texts, saved(pairs, "opened-pairs")))
+    links = links.unionByName(verified(texts, saved(promising(pairs, classes), "opened-pairs")))
     discard(texts, prefix)
     return links
 
@@ -415,7 +510,7 @@ def jaccard_components(docs: DataFrame, key: str = "doc_id", text: str = "text")
     """key, n_shingles, component_id (the smallest key reachable by links) of every row."""
     spark = docs.sparkSession
     signed = saved(signatures(docs, key, text), "signatures")
-    classes = saved(signed.filter("n > 0").groupBy("cid").agg(F.min(key).alias("least"), F.first("n").alias("n"), F.first("keys").alias("keys"), F.first("low").alias("low")), "classes")
+    classes = saved(signed.filter("n > 0").groupBy("cid").agg(F.min(key).alias("least"), F.first("n").alias("n"), F.first("keys").alias("keys"), F.first("low").alias("low"), F.first("parity").alias("parity")), "classes")
     near, more = (saved(centre_pairs(classes, which), "centre-pairs") for which in ((0, 1), (2, 3)))
     texts = class_texts(docs, text, _ends(near.unionByName(more)))
     links = verified(texts, near)
@@ -427,7 +522,7 @@ def jaccard_components(docs: DataFrame, key: str = "doc_id", text: str = "text")
     heavy = spark.sparkContext.broadcast(frequent_tokens(docs, text, total))
     prefix = saved(grouped_prefixes(docs, text, heavy, grouped), "prefixes")
     passing = saved(qualifying(matrix(prefix, "g", "g")), "qualifying")
-    links = group_links(docs, text, passing, prefix, members, links)
+    links = group_links(docs, text, classes, passing, prefix, members, links)
     labels = components(links).withColumnRenamed("node", "cid")
     rooted = classes.select("cid", "least").join(labels, "cid", "left").withColumn("label", F.coalesce("label", "cid"))
     smallest = rooted.groupBy("label").agg(F.min("least").alias("component_id"))

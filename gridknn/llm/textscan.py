@@ -7,6 +7,7 @@ sets; callers that need certainty compare the bytes.
 
 from __future__ import annotations
 
+import ctypes
 from collections.abc import Iterator
 
 import numpy as np
@@ -91,6 +92,25 @@ def row_blocks(offsets: np.ndarray, limit: int = BLOCK_BYTES) -> Iterator[tuple[
         last = min(max(last, first + 1), rows)
         yield first, last
         first = last
+    release()
+
+
+def release() -> None:
+    """Gives the memory of freed arrays back to the system, so that a worker doesn't keep its largest block."""
+    pa.default_memory_pool().release_unused()
+    if _libc is not None:
+        _libc.malloc_trim(0)
+
+
+def _opened_libc() -> ctypes.CDLL | None:
+    try:
+        libc = ctypes.CDLL(None)
+        return libc if hasattr(libc, "malloc_trim") else None
+    except OSError:
+        return None
+
+
+_libc = _opened_libc()
 
 
 class Words:
