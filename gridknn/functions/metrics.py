@@ -15,8 +15,8 @@ SLACK, SLACK_ABS = 1e-9, 1e-12
 class Metric:
     """A norm of per-axis differences, summed in axis order."""
 
-    def __init__(self, name: str, combine: Callable[[Sequence[Column]], Column]):
-        self.name, self.combine = name, combine
+    def __init__(self, name: str, p: float, combine: Callable[[Sequence[Column]], Column]):
+        self.name, self.p, self.combine = name, p, combine
 
     def dist(self, a: Sequence[Column], b: Sequence[Column]) -> Column:
         return self.combine([x - y for x, y in zip(a, b, strict=True)])
@@ -36,13 +36,13 @@ def _greatest(parts: Sequence[Column]) -> Column:
     return parts[0] if len(parts) == 1 else F.greatest(*parts)
 
 
-EUCLIDEAN = Metric("euclidean", lambda d: F.sqrt(_sum([x * x for x in d])))
-MANHATTAN = Metric("manhattan", lambda d: _sum([F.abs(x) for x in d]))
-CHEBYSHEV = Metric("chebyshev", lambda d: _greatest([F.abs(x) for x in d]))
+EUCLIDEAN = Metric("euclidean", 2, lambda d: F.sqrt(_sum([x * x for x in d])))
+MANHATTAN = Metric("manhattan", 1, lambda d: _sum([F.abs(x) for x in d]))
+CHEBYSHEV = Metric("chebyshev", float("inf"), lambda d: _greatest([F.abs(x) for x in d]))
 
 
 def minkowski(p: float) -> Metric:
-    return Metric(f"minkowski{p:g}", lambda d: F.pow(_sum([F.pow(F.abs(x), F.lit(float(p))) for x in d]), F.lit(1.0 / p)))
+    return Metric(f"minkowski{float(p)!r}", float(p), lambda d: F.pow(_sum([F.pow(F.abs(x), F.lit(float(p))) for x in d]), F.lit(1.0 / p)))
 
 
 def metric(which: str | Metric) -> Metric:

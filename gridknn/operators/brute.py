@@ -7,11 +7,8 @@ from pyspark.sql import functions as F
 
 from .local import lists, train_blocks, unify
 
-#: Query rows a block of training points is paired with stay apart by this many slices.
-SLICES = 16
 
-
-def all_knn(query: DataFrame, train: DataFrame, d: int, k: int, which: str = "euclidean", physical: str = "blocked", exclude_self: bool = False) -> DataFrame:
+def all_knn(query: DataFrame, train: DataFrame, d: int, k: int, which: str = "euclidean", physical: str = "arrow", exclude_self: bool = False) -> DataFrame:
     """pid, nn: exact by construction.
 
     The training points become blocks of bounded size; each query meets each of them by an
@@ -22,4 +19,4 @@ def all_knn(query: DataFrame, train: DataFrame, d: int, k: int, which: str = "eu
     dealt = train.withColumn("cell", F.pmod(F.xxhash64("tid"), F.lit(parts)).cast("long"))
     blocks = train_blocks(dealt, d)
     fanned = query.withColumn("cell", F.explode(F.sequence(F.lit(0).cast("long"), F.lit(parts - 1).cast("long"))))
-    return unify(lists(fanned, blocks, d, k, which, physical, exclude_self=exclude_self, keep_empty=True), k, [])
+    return unify(lists(fanned, blocks, d, k, which, physical, exclude_self=exclude_self, keep_empty=True), k, [], wide=parts > 64)

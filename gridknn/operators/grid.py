@@ -113,8 +113,8 @@ def bounds(train: DataFrame, query: DataFrame, d: int) -> tuple[tuple[float, ...
     return tuple(row[f"lo{i}"] or 0.0 for i in range(d)), tuple(row[f"hi{i}"] or 0.0 for i in range(d))
 
 
-def suggest(n_train: int, d: int, per_cell: float = 8.0) -> GridSpec | None:
+def suggest(n_train: int, d: int, per_cell: float = 8.0, lo: Sequence[float] | None = None, hi: Sequence[float] | None = None) -> GridSpec | None:
     """A power-of-two grid of about per_cell training points a cell; None where brute force is the better choice."""
     if d >= 8 or n_train < 4 * per_cell:
         return None
-    return GridSpec.pow2(d, max(1, round(math.log2(n_train / per_cell) / d)))
+    return GridSpec.pow2(d, min(60 // d, max(1, round(math.log2(n_train / per_cell) / d))), lo, hi)

@@ -14,10 +14,14 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from ..functions.metrics import SLACK, SLACK_ABS, metric
+from ..functions.metrics import SLACK, SLACK_ABS, Metric, metric
 from ..sources.shared import stored
 
 CHUNK = 4096
+#: Distances that are held at once.
+MATRIX = 1 << 20
+#: Groups of lists that are united first where a query may have very many.
+WIDE = 64
 NN = "array<struct<dist:double,tid:bigint,cls:string>>"
 PHYSICAL = ("pairs", "blocked", "arrow")
 
@@ -35,15 +39,26 @@ def chunks(counts: DataFrame) -> int:
     return -(-(counts.agg(F.max("n").alias("m")).first()["m"] or 0) // CHUNK) or 1
 
 
-def train_blocks(train: DataFrame, d: int, parts: int | None = None) -> DataFrame:
-    """cell, chunk, pts: the training points as rows of bounded arrays, stored and read by every later probe."""
-    parts = parts or chunks(train.groupBy("cell").agg(F.count("*").alias("n")))
+def _chunked(points: DataFrame, counts: DataFrame, id: str) -> DataFrame:
+    """points with the column chunk: as many chunks for each cell as its own points need."""
+    parts = F.ceil(F.col("n") / CHUNK)
+    return points.join(counts.select("cell", "n"), "cell").withColumn("chunk", F.pmod(F.xxhash64(id), parts).cast("int")).drop("n")
+
+
+def train_blocks(train: DataFrame, d: int, counts: DataFrame | None = None) -> DataFrame:
+    """cell, chunk, pts: the training points as rows of bounded arrays by tid, stored and read by every later probe."""
+    counts = train.groupBy("cell").agg(F.count("*").alias("n")) if counts is None else counts
     point = F.struct("tid", *[F.col(f"t{i}") for i in range(d)], "cls")
-    chunk = F.pmod(F.xxhash64("tid"), F.lit(parts)).cast("int")
-    return stored(train.withColumn("chunk", chunk).groupBy("cell", "chunk").agg(F.collect_list(point).alias("pts")), "train-blocks")
+    return stored(_chunked(train, counts, "tid").groupBy("cell", "chunk").agg(F.sort_array(F.collect_list(point)).alias("pts")), "train-blocks")
+
 
+def query_blocks(queries: DataFrame, names: list[str]) -> DataFrame:
+    """cell, qs: queries of a cell in bounded arrays, so that a block of points is sent once for each of them."""
+    counts = queries.groupBy("cell").agg(F.count("*").alias("n"))
+    return _chunked(queries, counts, "pid").groupBy("cell", "chunk").agg(F.collect_list(F.struct(*names)).alias("qs")).select("cell", "qs")
 
-def lists(queries: DataFrame, blocks: DataFrame, d: int, k: int, which: str = "euclidean", physical: str = "blocked", within: bool = False, exclude_self: bool = False, keep_empty: bool = False) -> DataFrame:
+
+def lists(queries: DataFrame, blocks: DataFrame, d: int, k: int, which: str = "euclidean", physical: str = "arrow", within: bool = False, exclude_self: bool = False, keep_empty: bool = False) -> DataFrame:
     """pid, q0.., nn: for each (query, cell) row the k best of that cell's points, one row for each chunk.
 
     within: only points no farther than the query's r. keep_empty: queries of cells without
@@ -54,7 +69,11 @@ def lists(queries: DataFrame, blocks: DataFrame, d: int, k: int, which: str = "e
     m = metric(which)
     q = [F.col(f"q{i}") for i in range(d)]
     names = ["pid", *[f"q{i}" for i in range(d)]] + (["r"] if within else [])
-    joined = queries.select(*names, "cell").join(blocks, "cell", "left" if keep_empty else "inner")
+    how = "left" if keep_empty else "inner"
+    if physical == "arrow":
+        joined = query_blocks(queries.select(*names, "cell"), names).join(blocks, "cell", how)
+        return _numpy_lists(joined, queries.select(*names, "cell"), d, k, m, within, exclude_self)
+    joined = queries.select(*names, "cell").join(blocks, "cell", how)
 
     def keep(x: Column) -> Column:
         ok = F.lit(True)
@@ -74,69 +93,86 @@ def lists(queries: DataFrame, blocks: DataFrame, d: int, k: int, which: str = "e
             pairs = pairs.filter("x is not null")
         best = Window.partitionBy("pid", "cell").orderBy(F.col("x.dist").asc_nulls_last(), "x.tid")
         ranked = pairs.withColumn("rank", F.row_number().over(best)).filter(F.col("rank") <= k)
-        first = [F.first(c).alias(c) for c in names[1:]]
-        return ranked.groupBy("pid", "cell").agg(*first, F.array_sort(F.collect_list("x")).alias("nn")).select(*names, "cell", F.col("nn").cast(NN).alias("nn"))
-    return _numpy_lists(joined, names, d, k, m.name, within, exclude_self)
-
-
-def _numpy_dist(name: str, q: np.ndarray, t: np.ndarray) -> np.ndarray:
-    parts = [q[i] - t[i] for i in range(len(q))]
-    if name == "euclidean":
-        total = parts[0] * parts[0]
-        for x in parts[1:]:
-            total = total + x * x
-        return np.sqrt(total)
-    size = [np.abs(x) for x in parts]
-    if name == "manhattan":
-        return sum(size[1:], size[0])
-    if name == "chebyshev":
-        return np.maximum.reduce(size)
-    p = float(name[9:])
-    return sum([x**p for x in size[1:]], size[0] ** p) ** (1 / p)
-
-
-def _numpy_lists(joined: DataFrame, names: list[str], d: int, k: int, name: str, within: bool, exclude_self: bool) -> DataFrame:
-    """The same on Arrow batches: distances and selection in numpy."""
-    fields = joined.select(*names, "cell").schema
-    schema = ", ".join(f"{f.name} {f.dataType.simpleString()}" for f in fields) + f", nn {NN}"
+    first = [F.first(c).alias(c) for c in names[1:]]
+    return ranked.groupBy("pid", "cell").agg(*first, F.array_sort(F.collect_list("x")).alias("nn")).select(*names, "cell", F.col("nn").cast(NN).alias("nn"))
+
+
+def _numpy_dist(m: Metric, q: list[np.ndarray], t: list[np.ndarray]) -> np.ndarray:
+    """Distances of all queries (rows) to all points (columns), summed in the order of the axes."""
+    parts = (a[:, None] - b[None, :] for a, b in zip(q, t, strict=True))
+    if m.p == 2:
+        parts = (x * x for x in parts)
+    else:
+        parts = (np.abs(x) for x in parts)
+        if m.p not in (1, np.inf):
+            parts = (x**m.p for x in parts)
+    total = next(parts)
+    for x in parts:
+        total = np.maximum(total, x) if m.p == np.inf else total + x
+    return np.sqrt(total) if m.p == 2 else total if m.p in (1, np.inf) else total ** (1.0 / m.p)
+
+
+def _nearest(dist: np.ndarray, k: int, allowed: np.ndarray | None) -> tuple[np.ndarray, np.ndarray]:
+    """Rows and columns of the k smallest of each row, by row and distance; ties go to the smaller column."""
+    if allowed is not None:
+        dist = np.where(allowed, dist, np.inf)
+    near = dist < np.inf if allowed is not None else np.ones(dist.shape, bool)
+    if dist.shape[1] > k:
+        near &= dist <= np.partition(dist, k - 1, axis=1)[:, k - 1 : k]
+    row, column = np.nonzero(near)
+    order = np.lexsort((column, dist[row, column], row))
+    row, column = row[order], column[order]
+    rank = np.arange(len(row)) - np.searchsorted(row, row)
+    return row[rank < k], column[rank < k]
+
+
+def _numpy_lists(joined: DataFrame, queries: DataFrame, d: int, k: int, m: Metric, within: bool, exclude_self: bool) -> DataFrame:
+    """A block of queries against a block of points in one matrix at a time: no row for each pair, and no copy of points for each query."""
+    names = queries.columns
+    schema = ", ".join(f"{f.name} {f.dataType.simpleString()}" for f in queries.schema) + f", nn {NN}"
     nn_type = pa.list_(pa.struct([("dist", pa.float64()), ("tid", pa.int64()), ("cls", pa.string())]))
-    axes = [f"t{i}" for i in range(d)]
-    columns = [*names, "cell"]
 
     def scan(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            pts = batch.column(len(columns))
-            offsets = pts.offsets.to_numpy()
-            flat = pts.values
-            ts = [flat.field(a).to_numpy(zero_copy_only=False) for a in axes]
-            tid, cls = flat.field("tid").to_numpy(zero_copy_only=False), flat.field("cls")
-            qs = [batch.column(1 + i).to_numpy() for i in range(d)]
-            pid = batch.column(0).to_numpy()
-            r = batch.column(1 + d).to_numpy() if within else None
-            best, dists, sizes = [], [], []
+            qs, pts, cells = batch.column(0), batch.column(1), batch.column(2)
+            flat, points = qs.values, pts.values
+            q = [flat.field(c).to_numpy(zero_copy_only=False) for c in names[:-1]]
+            t = [points.field(f"t{i}").to_numpy(zero_copy_only=False) for i in range(d)]
+            tid, cls = points.field("tid").to_numpy(zero_copy_only=False), points.field("cls")
+            q_at, t_at = qs.offsets.to_numpy(), pts.offsets.to_numpy()
+            found: list[tuple[np.ndarray, ...]] = []
             for row in range(batch.num_rows):
-                a, b = offsets[row], offsets[row + 1]
-                dist = _numpy_dist(name, [q[row] for q in qs], [t[a:b] for t in ts]) if b > a else np.zeros(0)
-                at = np.arange(b - a)
-                if within:
-                    at = at[dist <= r[row] * (1 + SLACK) + SLACK_ABS]
-                if exclude_self:
-                    at = at[tid[a:b][at] != pid[row]]
-                if len(at) > k:
-                    at = at[dist[at] <= np.partition(dist[at], k - 1)[k - 1]]
-                at = at[np.lexsort((tid[a:b][at], dist[at]))][:k]
-                best.append(at + a)
-                dists.append(dist[at])
-                sizes.append(len(at))
-            take = np.concatenate(best) if best else np.zeros(0, np.int64)
-            values = pa.StructArray.from_arrays([pa.array(np.concatenate(dists) if dists else np.zeros(0)), pa.array(tid[take]), cls.take(pa.array(take))], names=["dist", "tid", "cls"])
+                a, b = int(t_at[row]), int(t_at[row + 1])
+                step = max(1, MATRIX // max(1, b - a))
+                for x in range(int(q_at[row]), int(q_at[row + 1]), step):
+                    y = min(x + step, int(q_at[row + 1]))
+                    dist = _numpy_dist(m, [c[x:y] for c in q[1 : 1 + d]], [c[a:b] for c in t])
+                    allowed = dist <= (q[1 + d][x:y] * (1 + SLACK) + SLACK_ABS)[:, None] if within else None
+                    if exclude_self:
+                        other = tid[None, a:b] != q[0][x:y, None]
+                        allowed = other if allowed is None else allowed & other
+                    i, j = _nearest(dist, k, allowed)
+                    found.append((np.bincount(i, minlength=y - x), dist[i, j], j + a))
+            if not found:
+                continue
+            sizes, dists, take = (np.concatenate(c) for c in zip(*found, strict=True))
+            values = pa.StructArray.from_arrays([pa.array(dists), pa.array(tid[take]), cls.take(pa.array(take))], names=["dist", "tid", "cls"])
             nn = pa.ListArray.from_arrays(pa.array(np.concatenate([[0], np.cumsum(sizes)]).astype(np.int32)), values).cast(nn_type)
-            yield pa.RecordBatch.from_arrays([*(batch.column(i) for i in range(len(columns))), nn], names=[*columns, "nn"])
+            asked = slice(int(q_at[0]), int(q_at[-1]))
+            cell = pa.array(np.repeat(cells.to_numpy(), np.diff(q_at)))
+            yield pa.RecordBatch.from_arrays([*(pa.array(c[asked]) for c in q), cell, nn], names=[*names, "nn"])
+
+    empty = F.array().cast(joined.schema["pts"].dataType)
+    return joined.select("qs", F.coalesce("pts", empty).alias("pts"), "cell").mapInArrow(scan, schema)
 
-    return joined.select(*columns, F.coalesce("pts", F.array().cast(joined.schema["pts"].dataType)).alias("pts")).mapInArrow(scan, schema)
 
+def unify(parts: DataFrame, k: int, carry: list[str], wide: bool = False) -> DataFrame:
+    """All lists of a query into one of its k nearest; carry: columns that are equal in all of them.
 
-def unify(parts: DataFrame, k: int, carry: list[str]) -> DataFrame:
-    """All lists of a query into one of its k nearest; carry: columns that are equal in all of them."""
-    flat = F.array_distinct(F.flatten(F.collect_list("nn")))
-    return parts.groupBy("pid").agg(*[F.first(c).alias(c) for c in carry], top(flat, k).alias("nn"))
+    wide: a query may have very many lists, so groups of them are united first.
+    """
+    firsts = [F.first(c).alias(c) for c in carry]
+    flat = top(F.array_distinct(F.flatten(F.collect_list("nn"))), k).alias("nn")
+    if wide:
+        parts = parts.withColumn("part", F.pmod(F.xxhash64("nn"), F.lit(WIDE))).groupBy("pid", "part").agg(*firsts, flat)
+    return parts.groupBy("pid").agg(*firsts, flat)

@@ -45,7 +45,8 @@ def measures(run: Run) -> DataFrame:
         _measure(extra, "pairs_recheck", F.sum("n")),
         _measure(run.probes, "overlaps", F.count("*")),
         _measure(run.balls, "growths", F.sum("growths")),
-        _measure(run.balls, "short_queries", F.count_if(F.size("nn") < F.lit(1)) + F.count_if(F.col("growths") > 0)),
+        _measure(run.own, "short_queries", F.count_if(F.size("nn") < run.k)),
+        _measure(run.balls, "done_queries", F.count_if("done")),
         _measure(run.updates, "updates", F.count("*")),
         _measure(run.counts, "occupied_cells", F.count("*")),
         _measure(run.own, "list_entries", F.sum(F.size("nn"))),

@@ -10,7 +10,7 @@ from pyspark.sql import functions as F
 from ..functions.vote import majority
 from ..operators import brute, merge, probe
 from ..operators.density import cell_counts, with_walls
-from ..operators.grid import GridSpec
+from ..operators.grid import GridSpec, bounds, suggest
 from ..operators.local import PHYSICAL, chunks, lists, train_blocks, unify
 from ..sources.shared import stored
 
@@ -34,6 +34,33 @@ class Run:
     regions: DataFrame | None = None
     extra: list[DataFrame] = field(default_factory=list)
     final: DataFrame | None = None
+    k: int = 0
+
+
+@dataclass
+class Prepared:
+    """A training set whose cells are counted and whose points lie in blocks: made once, searched often."""
+
+    grid: GridSpec
+    train: DataFrame
+    counts: DataFrame
+    blocks: DataFrame
+    split: bool
+
+
+def prepare(train: DataFrame, grid: GridSpec, tight: bool = True) -> Prepared:
+    """What a search needs of its training points (tid, t0.., cls), stored."""
+    placed = grid.assign(train, "t")
+    counts = cell_counts(placed, grid)
+    counts = stored(counts if tight else with_walls(counts, grid), "cell-counts")
+    return Prepared(grid, placed, counts, train_blocks(placed, grid.d, counts), chunks(counts) > 1)
+
+
+def fitted_grid(query: DataFrame, train: DataFrame, per_cell: float = 32.0) -> GridSpec:
+    """A power-of-two grid over the box of both tables, of about per_cell training points a cell."""
+    d = _axes(query, "q")
+    lo, hi = bounds(train, query, d)
+    return suggest(train.count(), d, per_cell, lo, hi) or GridSpec.pow2(d, 1, lo, hi)
 
 
 def _check(d: int, k: int, grid: GridSpec | None, strategy: str, growth: str | None, physical: str) -> None:
@@ -57,51 +84,75 @@ def _kth(nn: Column, k: int) -> Column:
     return F.try_element_at(nn, F.lit(k))["dist"]
 
 
-def search(query: DataFrame, train: DataFrame, k: int, grid: GridSpec | None, metric: str = "euclidean", strategy: str = "grow", growth: str | None = None, step: str = "half_cell", physical: str = "blocked", exclude_self: bool = False, growth_scope: str = "point", tight: bool | None = None) -> Run:
+def search(query: DataFrame, train: DataFrame | Prepared, k: int, grid: GridSpec | None = None, metric: str = "euclidean", strategy: str = "grow", growth: str | None = None, step: str = "half_cell", physical: str = "arrow", exclude_self: bool = False, growth_scope: str = "point", tight: bool | None = None) -> Run:
     """pid and nn (the list) for each query as Run.final, with the stages that led there.
 
-    tight: overlap is tested against the tight boxes of the cells' points instead of the cells'
-    walls; the default, except for the literal reading `touch`.
+    train: training points, or what prepare() made of them (then with its grid). Stages are
+    stored as they are reached, because later ones read them more than once; only the last one
+    is a plan that hasn't run. tight: overlap is tested against the tight boxes of the cells'
+    points instead of the cells' walls; the default, except for the literal reading `touch`.
+    Rows with a null coordinate or id belong in points.validate() first; `merge` leaves them out.
     """
     d = _axes(query, "q")
+    ready = train if isinstance(train, Prepared) else None
+    grid = ready.grid if ready else grid
     _check(d, k, grid, strategy, growth, physical)
     if strategy == "brute":
-        return Run(train=train, query=query, final=brute.all_knn(query, train, d, k, metric, physical, exclude_self))
-    query, train = grid.assign(query, "q"), grid.assign(train, "t")
-    counts = cell_counts(train, grid)
+        return Run(train=train, query=query, k=k, final=brute.all_knn(query, train, d, k, metric, physical, exclude_self))
     tight = growth != "touch" if tight is None else tight
-    run = Run(train=train, query=query, counts=stored(counts if tight else with_walls(counts, grid), "cell-counts"))
+    query = grid.assign(query, "q")
     if strategy == "merge":
-        run.regions = stored(merge.regions(train, query, grid, k), "regions")
-        query, train = merge.relabel(query, run.regions), merge.relabel(train, run.regions)
+        placed = ready.train if ready else grid.assign(train, "t")
+        counts = ready.counts if ready else stored(cell_counts(placed, grid) if tight else with_walls(cell_counts(placed, grid), grid), "cell-counts")
+        run = Run(train=placed, query=query, counts=counts, k=k)
+        run.regions = stored(merge.regions(placed, query, grid, k), "regions")
+        query, united = merge.relabel(query, run.regions), merge.relabel(placed, run.regions)
+        held = stored(united.groupBy("cell").agg(F.count("*").alias("n")), "region-counts")
+        blocks, split = train_blocks(united, d, held), chunks(held) > 1
         growth = "contain"
+    else:
+        ready = ready or prepare(train, grid, tight)
+        run = Run(train=ready.train, query=query, counts=ready.counts, k=k)
+        blocks, split = ready.blocks, ready.split
     # a query point must not count as its own neighbour, so one more may be needed
     wanted = k + 1 if exclude_self else k
-    parts = chunks(run.counts) if strategy == "grow" else chunks(train.groupBy("cell").agg(F.count("*").alias("n")))
-    blocks = train_blocks(train, d, parts)
     coords = [f"q{i}" for i in range(d)]
     first = lists(query, blocks, d, k, metric, physical, exclude_self=exclude_self, keep_empty=True)
-    own = stored(unify(first, k, [*coords, "cell"]) if parts > 1 else first, "own-lists")
+    own = stored(unify(first, k, [*coords, "cell"]) if split else first, "own-lists")
     run.own = own
     full = own.filter(F.size("nn") >= k).withColumn("r", _kth(F.col("nn"), k)).withColumn("growths", F.lit(0).cast("long"))
     short = own.filter(F.size("nn") < k)
     grown = _grow(short, run, grid, k, wanted, metric, growth or "certify", step, growth_scope, blocks, physical, exclude_self)
     # a complete list can only be improved inside its ball; a short one takes all points of the touched cells
     whole = (growth or "certify") in ("touch", "certify") and growth_scope == "point"
-    balls = stored(full.withColumn("limit", F.col("r")).unionByName(grown.withColumn("limit", F.lit(float("inf")) if whole else F.col("r"))), "balls")
-    run.balls = balls
-    probes = _other_cells(balls.select("pid", *coords, "cell", "r", "limit"), run, grid, metric)
-    run.probes = stored(probes, "probes")
-    limited = run.probes.withColumn("r", F.col("limit"))
-    found = lists(limited, blocks, d, k, metric, physical, within=True, exclude_self=exclude_self)
-    run.updates = own.select("pid", "nn").unionByName(found.select("pid", "nn"))
-    final = unify(run.updates, k, [])
+    balls = full.withColumn("limit", F.col("r")).unionByName(grown.withColumn("limit", F.lit(float("inf")) if whole else F.col("r")))
+    # regions have no walls of their own, so merging has no fast exit
+    done = F.lit(False) if strategy == "merge" else (F.col("growths") == 0) & (F.size("nn") >= k) & _inside_own_cell(grid)
+    run.balls = balls = stored(balls.withColumn("done", done), "balls")
+    open_ = balls.filter("not done")
+    run.probes = stored(_other_cells(open_.select("pid", *coords, "cell", "r", "limit"), run, grid, metric), "probes")
+    found = lists(run.probes.withColumn("r", F.col("limit")), blocks, d, k, metric, physical, within=True, exclude_self=exclude_self).select("pid", "nn")
+    run.updates = own.select("pid", "nn").unionByName(found)
+    touched = unify(open_.select("pid", "nn").unionByName(found), k, [])
     if (growth or "certify") in ("certify", "points"):
-        final = _certified(stored(final, "touched-lists"), balls, run, grid, k, metric, blocks, physical, exclude_self)
-    run.final = final
+        touched = _certified(stored(touched, "touched-lists"), balls.filter(F.size("nn") < k), run, grid, k, metric, blocks, physical, exclude_self)
+    run.final = balls.filter("done").select("pid", "nn").unionByName(touched)
     return run
 
 
+def _inside_own_cell(grid: GridSpec) -> Column:
+    """Whether the ball (q0.., r) lies inside the walls of the query's own cell; border cells have no outer walls.
+
+    Points of other cells then differ by more than r on some axis, whatever the metric.
+    """
+    inside = F.lit(True)
+    for i in range(grid.d):
+        x, index = F.col(f"q{i}"), grid.index(i, F.col(f"q{i}"))
+        reach = F.col("r") * (1 + 1e-9) + 1e-12
+        inside = inside & (grid.index(i, x - reach) == index) & (grid.index(i, x + reach) == index)
+    return inside
+
+
 def _grow(short: DataFrame, run: Run, grid: GridSpec, k: int, wanted: int, metric: str, growth: str, step: str, scope: str, blocks: DataFrame, physical: str, exclude_self: bool) -> DataFrame:
     """short with its ball's r and how often it grew."""
     d = grid.d
@@ -148,23 +199,26 @@ def _other_cells(balls: DataFrame, run: Run, grid: GridSpec, metric: str, beyond
 
 
 def _certified(final: DataFrame, balls: DataFrame, run: Run, grid: GridSpec, k: int, metric: str, blocks: DataFrame, physical: str, exclude_self: bool) -> DataFrame:
-    """Lists whose k-th distance passes their ball get one more probe, of the cells in between only."""
+    """Lists whose k-th distance passes their ball get one more probe, of the cells in between only.
+
+    balls: those of short lists; a complete list ends where its ball does.
+    """
     coords = [f"q{i}" for i in range(grid.d)]
     last = F.when(F.size("nn") >= k, _kth(F.col("nn"), k))
     doubtful = final.join(balls.select("pid", *coords, "cell", F.col("r").alias("searched")), "pid").withColumn("r", last).filter(F.col("r") > F.col("searched"))
-    again = _other_cells(doubtful.select("pid", *coords, "cell", "r", "searched"), run, grid, metric, beyond="searched")
+    again = stored(_other_cells(doubtful.select("pid", *coords, "cell", "r", "searched"), run, grid, metric, beyond="searched"), "rechecked")
     run.extra.append(again)
     more = lists(again, blocks, grid.d, k, metric, physical, within=True, exclude_self=exclude_self)
     return unify(final.unionByName(more.select("pid", "nn")), k, [])
 
 
-def all_knn(query: DataFrame, train: DataFrame, k: int, grid: GridSpec | None, **options) -> DataFrame:
+def all_knn(query: DataFrame, train: DataFrame | Prepared, k: int, grid: GridSpec | None = None, **options) -> DataFrame:
     """Long form: pid, rank, tid, dist, cls."""
     nn = search(query, train, k, grid, **options).final
     return nn.select("pid", F.posexplode("nn").alias("rank", "x")).select("pid", (F.col("rank") + 1).alias("rank"), "x.tid", "x.dist", "x.cls")
 
 
-def classify(query: DataFrame, train: DataFrame, k: int, grid: GridSpec | None, tie: str = "nearest", weighted: bool = False, keep_neighbours: bool = False, **options) -> DataFrame:
+def classify(query: DataFrame, train: DataFrame | Prepared, k: int, grid: GridSpec | None = None, tie: str = "nearest", weighted: bool = False, keep_neighbours: bool = False, **options) -> DataFrame:
     """pid, cls_pred, votes, best_rank (and nn). The vote is a projection of the unified lists."""
     nn = search(query, train, k, grid, **options).final
     voted = nn.withColumn("v", majority(F.col("nn"), tie, weighted))

@@ -85,7 +85,7 @@ def _sides(spark: SparkSession, sf_dir: str, name: str) -> tuple[DataFrame, Data
 def _knn_query(name: str, k: int, **options) -> Callable[[SparkSession, str], DataFrame]:
     def run(spark: SparkSession, sf_dir: str) -> DataFrame:
         train, query = _sides(spark, sf_dir, name)
-        grid = GridSpec.quantile(train, [1 << DEFAULT_N[name]] * PROFILES[name].d) if options.get("quantile") else _grid(name)
+        grid = GridSpec.quantile(train, [1 << DEFAULT_N[name]] * PROFILES[name].d) if options.get("quantile") else pipeline.fitted_grid(query, train)
         rows = pipeline.all_knn(query, train, k, grid, **{a: b for a, b in options.items() if a != "quantile"})
         return rows.select("pid", F.col("rank").cast("int").alias("rank"), "tid", _micro())
 
@@ -101,6 +101,7 @@ _add("points_allknn_skew2", _knn_query("skew2", 5, growth="points"), _lists_sql(
 _add("cell_scope_allknn_skew3", _knn_query("skew3", 5, growth_scope="cell"), _lists_sql("skew3", 5))
 _add("quantile_allknn_skew2", _knn_query("skew2", 5, quantile=True), _lists_sql("skew2", 5))
 _add("pairs_allknn_unif2", _knn_query("unif2", 5, physical="pairs"), _lists_sql("unif2", 5))
+_add("blocked_allknn_skew3", _knn_query("skew3", 5, physical="blocked"), _lists_sql("skew3", 5))
 _add("arrow_allknn_skew3", _knn_query("skew3", 5, physical="arrow"), _lists_sql("skew3", 5))
 _add("merge_allknn_unif2", _knn_query("unif2", 5, strategy="merge"), _lists_sql("unif2", 5))
 _add("brute_allknn_unif2", _knn_query("unif2", 5, strategy="brute"), _lists_sql("unif2", 5))
@@ -192,7 +193,7 @@ _add("radius_contain_skew2", _reach(True), _reach_sql(True))
 def _classify(name: str, k: int, **options) -> Callable[[SparkSession, str], DataFrame]:
     def run(spark: SparkSession, sf_dir: str) -> DataFrame:
         train, query = _sides(spark, sf_dir, name)
-        out = pipeline.classify(query, train, k, _grid(name), **options)
+        out = pipeline.classify(query, train, k, pipeline.fitted_grid(query, train), **options)
         return out.select("pid", "cls_pred", F.col("votes").cast("long").alias("votes"), F.col("best_rank").cast("long").alias("best_rank"))
 
     return run
@@ -206,7 +207,7 @@ _add("classify_merge_unif2", _classify("unif2", 5, strategy="merge"), _vote_sql(
 
 def _confusion(spark: SparkSession, sf_dir: str) -> DataFrame:
     train, query = _sides(spark, sf_dir, "skew3")
-    return quality.confusion(pipeline.classify(query, train, 10, _grid("skew3")), PROFILES["skew3"].points(spark, sf_dir))
+    return quality.confusion(pipeline.classify(query, train, 10, pipeline.fitted_grid(query, train)), PROFILES["skew3"].points(spark, sf_dir))
 
 
 _CONFUSION = _vote_sql(_ranked("skew3", 10)) + ", cells AS (SELECT q.cls AS truth, pred.cls_pred AS pred, count(*) AS n FROM q JOIN pred USING (pid) GROUP BY ALL)"

@@ -13,15 +13,16 @@ from pyspark.sql import functions as F
 from pyspark.sql.streaming import StreamingQuery
 
 from ..operators.grid import GridSpec
-from ..plans.pipeline import classify
+from ..plans.pipeline import classify, prepare
 
 
 def classify_stream(stream: DataFrame, train: DataFrame, k: int, grid: GridSpec, sink: Callable[[DataFrame, int], None], checkpoint: str, available_now: bool = True, **options) -> StreamingQuery:
     """Starts the stream (pid, q0.., other columns); sink gets each batch's rows with cls_pred, votes and best_rank."""
     axes = [f"q{i}" for i in range(grid.d)]
+    ready = prepare(train, grid)
 
     def each(batch: DataFrame, number: int) -> None:
-        pred = classify(batch.select("pid", *axes), train, k, grid, **options)
+        pred = classify(batch.select("pid", *axes), ready, k, **options)
         sink(batch.join(pred, "pid", "left"), number)
 
     writer = stream.writeStream.foreachBatch(each).option("checkpointLocation", checkpoint)
