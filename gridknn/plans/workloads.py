@@ -8,10 +8,10 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..operators import merge, quality
-from ..operators.grid import GridSpec
-from ..operators.points import fraction, split
+from ..operators.grid import GridSpec, bounds
+from ..operators.points import fraction, normalise, split
 from . import cost
-from .pipeline import classify, search
+from .pipeline import classify, fitted_grid, search
 from .profiles import DEFAULT_N, PROFILES
 
 KS = (5, 10, 15, 20)
@@ -41,6 +41,19 @@ def measured(spark: SparkSession, sf_dir: str, name: str, k: int, n: int, strate
     return _tagged(cost.measures(search(query, train, k, grid, strategy=strategy)), **tags)
 
 
+def own_cell_pairs(spark, sf_dir, name: str, ns, k: int = 5) -> DataFrame:
+    """n, method, pairs: distances of the own-cell step over the number of slices, from counts alone."""
+    p, out = PROFILES[name], []
+    train, query = p.split(spark, sf_dir)
+    for n in ns:
+        grid = GridSpec.pow2(p.d, n)
+        t, q = grid.assign(train, "t"), grid.assign(query, "q")
+        found = merge.regions(t, q, grid, k)
+        united = cost.primitive_pairs(merge.relabel(q, found), merge.relabel(t, found))
+        out += [_tagged(cost.primitive_pairs(q, t), n=n, method="grow"), _tagged(united, n=n, method="merge")]
+    return _union(out)
+
+
 def granularity(spark, sf_dir, name: str = "skew2", ns=range(1, 8), k: int = 5, strategies=("grow", "merge"), limit=None) -> DataFrame:
     """Cost over the number of slices (2**n an axis)."""
     return _union(measured(spark, sf_dir, name, k, n, s, limit=limit) for n in ns for s in strategies)
@@ -105,20 +118,22 @@ def speedup(times: DataFrame) -> DataFrame:
 
 
 def quality_rates(spark, sf_dir, name: str = "skew3", k: int = 10, **options) -> DataFrame:
-    """tp, fn, fp, tn of each class, and their mean as the class `average`."""
+    """tp, fn, fp, tn of each class, and their mean as the class `average`; every axis scaled to the whole target space."""
     p = PROFILES[name]
-    train, query = p.split(spark, sf_dir)
-    pred = classify(query, train, k, GridSpec.pow2(p.d, DEFAULT_N[name]), **options)
-    each = quality.rates(quality.confusion(pred, p.points(spark, sf_dir)))
+    points = p.points(spark, sf_dir)
+    train, query = split(points, p.d)
+    lo, hi = bounds(train, query, p.d)
+    train, query = split(normalise(points, lo, hi), p.d)
+    pred = classify(query, train, k, fitted_grid(query, train), **options)
+    each = quality.rates(quality.confusion(pred, points))
     return each.unionByName(_tagged(quality.macro(each), cls="average"))
 
 
-def distributions(spark, sf_dir, k: int = 5) -> DataFrame:
-    """How unevenly skewed and uniform points load the cells."""
+def distributions(spark, sf_dir, k: int = 5, per_cell: float = 8.0) -> DataFrame:
+    """How unevenly skewed and uniform points load the cells of grids that fit their number."""
     out = []
     for name in ("skew2", "unif2", "skew3", "unif3"):
-        p = PROFILES[name]
-        train, query = p.split(spark, sf_dir)
-        grid = GridSpec.pow2(p.d, DEFAULT_N[name])
+        train, query = PROFILES[name].split(spark, sf_dir)
+        grid = fitted_grid(query, train, per_cell)
         out.append(_tagged(cost.balance(grid.assign(query, "q"), grid.assign(train, "t")), profile=name))
     return _union(out)

@@ -12,6 +12,9 @@ from pyspark.sql import functions as F
 
 from .conftest import SF
 
+#: Cells of the smallest tables hold too few points for rates and balances to mean anything.
+LARGER = "/root/testdata/sf0.01"
+
 
 def votes(spark, classes, **options):
     rows = [(0, [(float(i), i, c) for i, c in enumerate(classes)])]
@@ -45,7 +48,7 @@ def test_published_rates_average_as_published(spark):
 
 
 def test_classes_from_coordinates_are_recovered(spark):
-    out = {r.cls: r for r in workloads.quality_rates(spark, SF).collect()}
+    out = {r.cls: r for r in workloads.quality_rates(spark, LARGER).collect()}
     assert set(out) == {"A", "B", "C", "average"}
     assert out["A"].tp > 0.85 and out["average"].fp < 0.1
 
@@ -58,10 +61,44 @@ def test_measures_follow_k_and_merging(spark):
     assert merged == sorted(merged)
     failed = workloads.measured(spark, SF, "skew2", 5, 3, "merge", limit=10).collect()
     assert [r.measure for r in failed] == ["failed"]
-    uneven = {r.profile: r.unevenness for r in workloads.distributions(spark, SF).collect()}
+    uneven = {r.profile: r.unevenness for r in workloads.distributions(spark, LARGER).collect()}
     assert uneven["skew2"] > uneven["unif2"]
 
 
+def test_short_queries_are_those_with_short_lists(spark):
+    train, query = PROFILES["skew2"].split(spark, SF)
+    run = pipeline.search(query, train, 5, GridSpec.pow2(2, 3))
+    got = {r.measure: r.value for r in cost.measures(run).collect()}
+    assert got["short_queries"] == sum(len(r.nn) < 5 for r in run.own.collect()) > 0
+    assert got["done_queries"] + got["short_queries"] <= query.count()
+
+
+def test_training_set_is_prepared_once(spark, monkeypatch):
+    train, query = PROFILES["skew2"].split(spark, SF)
+    ready = pipeline.prepare(train, GridSpec.pow2(2, 3))
+    want = sorted(map(tuple, pipeline.all_knn(query, train, 5, GridSpec.pow2(2, 3)).collect()))
+    monkeypatch.setattr(pipeline, "cell_counts", None)
+    monkeypatch.setattr(pipeline, "train_blocks", None)
+    assert sorted(map(tuple, pipeline.all_knn(query, ready, 5).collect())) == want
+
+
+def test_physical_forms_agree_on_any_minkowski(spark):
+    train, query = PROFILES["unif2"].split(spark, SF)
+    rows = [{(r.pid, r["rank"], r.tid) for r in pipeline.all_knn(query, train, 5, GridSpec.pow2(2, 2), metric="minkowski1.23456789", physical=p).collect()} for p in ("arrow", "blocked", "pairs")]
+    assert rows[0] == rows[1] == rows[2]
+
+
+def test_workload_tables(spark):
+    pairs = workloads.own_cell_pairs(spark, SF, "unif2", (2, 4)).collect()
+    by = {(r.n, r.method): r.pairs for r in pairs}
+    assert by[2, "grow"] > by[4, "grow"] and by[4, "merge"] >= by[4, "grow"]
+    times = workloads.total_times(spark, SF, "unif2")
+    assert {r.method for r in times.collect()} == {"grow", "merge", "brute"}
+    assert workloads.speedup(times).filter("speedup = 1").count() == 3
+    phases = {r.phase for r in workloads.phase_times(spark, SF, "unif2", (5,)).collect()}
+    assert phases == {"distribution", "merging", "primitive", "overlap", "update", "integrate", "classification"}
+
+
 def test_no_quadratic_join_in_the_plan(spark):
     train, query = PROFILES["unif2"].split(spark, SF)
     plan = pipeline.search(query, train, 5, GridSpec.pow2(2, 3)).final._jdf.queryExecution().executedPlan().toString()
