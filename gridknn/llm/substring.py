@@ -4,7 +4,9 @@ Units are lines, and the sentences inside them (a sentence ends at . ! or ? befo
 a unit's key is the unit stripped of blanks, A-Z lower-cased, as 128 bits of hash. Keys of
 lines count from LINE code points, those of sentences from SENTENCE on. The earliest ranked
 occurrence of a key stays: that in the document of smallest id, and there the first one. All
-others are removed; what stays is described by its offsets in the original text.
+others are repeated. Repeated units with nothing but text too short to count between them are
+a run; runs of at least RUN words are removed, so a common sentence by itself stays where it
+is. What stays is described by its offsets in the original text.
 
 The keys that more than one in HEAVY_SHARE of all bear are few and broadcast; the others meet
 their group in a shuffle, after a filter of fixed size has left out keys that don't repeat.
@@ -28,9 +30,9 @@ from pyspark.sql import types as T
 from . import textscan as ts
 from .keyfilter import key_filter, passes
 from .line_dedup import HEAVY_LEAST, HEAVY_SHARE, Lines, small
-from .storage import saved
+from .storage import discard, saved
 
-LINE, SENTENCE = 20, 50
+LINE, SENTENCE, RUN = 12, 12, 20
 LAST = (1 << 63) - 1
 STOPS = ts.byte_class(b".!?")
 BLANKS = ts.byte_class(ts.SPACE)
@@ -92,26 +94,29 @@ def later_occurrences(docs: DataFrame, key: str, text: str, line: int, sentence:
     few = keys.join(F.broadcast(repeated.filter(heavy)), ["h1", "h2"])
     rest = keys.mapInArrow(sift, keys.schema).join(repeated.filter(~heavy), ["h1", "h2"])
     lost = few.unionByName(rest).filter("rank > first")
-    return lost.groupBy("rank").agg(F.collect_set(F.struct("h1", "h2")).alias("gone"))
+    gone = saved(lost.groupBy("rank").agg(F.collect_set(F.struct("h1", "h2")).alias("gone")), "later-units")
+    discard(keys, repeated)
+    return gone
 
 
-def removed_spans(raw: bytes, gone: list, line: int, sentence: int) -> tuple[int, list[tuple[int, int]]]:
-    """Number of units and byte spans that go: units of gone keys, and repetitions inside the text."""
+def removed_spans(raw: bytes, gone: list, line: int, sentence: int, run: int = RUN) -> tuple[int, list[tuple[int, int]]]:
+    """Number of units and byte spans that go: runs of units of gone keys and of repetitions inside the text."""
     units = Units(np.frombuffer(raw, np.uint8), np.array([0, len(raw)]), line, sentence)
     lost, seen, spans = {(g["h1"], g["h2"]) for g in gone}, set(), []
+    short = lambda gap: len(gap.strip(ts.SPACE).decode()) < sentence
     for s, e, a, b in zip(units.start.tolist(), units.end.tolist(), units.h1.tolist(), units.h2.tolist(), strict=True):
         if (a, b) in lost or (a, b) in seen:
-            if spans and s <= spans[-1][1]:
+            if spans and (s <= spans[-1][1] or run and short(raw[spans[-1][1] : s])):
                 spans[-1] = (spans[-1][0], max(e, spans[-1][1]))
             else:
                 spans.append((s, e))
         seen.add((a, b))
-    return len(units.start), spans
+    return len(units.start), [(s, e) for s, e in spans if len(raw[s:e].split()) >= run]
 
 
-def substring_dedup(docs: DataFrame, key: str = "doc_id", text: str = "text", line: int = LINE, sentence: int = SENTENCE, with_text: bool = False) -> DataFrame:
+def substring_dedup(docs: DataFrame, key: str = "doc_id", text: str = "text", line: int = LINE, sentence: int = SENTENCE, run: int = RUN, with_text: bool = False) -> DataFrame:
     """key, n_units, removed and kept (start:end in code points of the original), n_removed_chars, kept_sha256 (and kept_text)."""
-    lost = saved(later_occurrences(docs, key, text, line, sentence), "later-units")
+    lost = later_occurrences(docs, key, text, line, sentence)
     ranked = docs.select(F.col(key).alias("k"), text, F.coalesce(F.col(key), F.lit(LAST)).alias("rank"))
     marked = key_filter(lost.select(F.xxhash64("rank").alias("h")), "h")
     hashed = ranked.withColumn("h", F.xxhash64("rank"))
@@ -138,7 +143,7 @@ def substring_dedup(docs: DataFrame, key: str = "doc_id", text: str = "text", li
             rows = []
             for value, gone in zip(batch.column(1).to_pylist(), batch.column(2).to_pylist(), strict=True):
                 raw = (value or "").encode()
-                n, spans = removed_spans(raw, gone or [], line, sentence)
+                n, spans = removed_spans(raw, gone or [], line, sentence, run)
                 edges = [0, *(x for s in spans for x in s), len(raw)]
                 stay = [(s, e) for s, e in zip(edges[::2], edges[1::2], strict=True) if s < e]
                 kept = b"".join(raw[s:e] for s, e in stay)
