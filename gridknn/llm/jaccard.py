@@ -29,7 +29,7 @@ import numpy as np
 import pyarrow as pa
 import xxhash
 from pyspark.broadcast import Broadcast
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
@@ -49,8 +49,11 @@ HOPEFUL = 0.4
 SLICE = 400
 #: Members of either group that are tried before they are opened, about.
 FEW = 4
+#: Buckets of the parities that matrix rows carry.
+SHORT = 512
 #: Classes that a task remembers having met.
 REMEMBERED = 200_000
+PIECE = 20_000
 #: Matrix rows that are looked at together, unless one token has more.
 ROWS = 500_000
 #: Tokens that are counted together before their repetitions are handed on: 16 MB.
@@ -109,6 +112,21 @@ def parities(tokens: np.ndarray, n: np.ndarray) -> pa.Array:
     return pa.Array.from_buffers(pa.binary(), len(n), [None, pa.py_buffer(offsets.tobytes()), pa.py_buffer(np.packbits(odd.astype(np.uint8), bitorder="little").tobytes())])
 
 
+def short_parities(tokens: np.ndarray, owner: np.ndarray, rows: int) -> np.ndarray:
+    """The same over SHORT buckets for every set, as rows of 64-bit words."""
+    odd = np.bincount(owner * SHORT + (tokens & np.uint64(SHORT - 1)).astype(np.int64), minlength=rows * SHORT) & 1
+    return np.packbits(odd.astype(np.uint8), bitorder="little").view(np.uint64).reshape(rows, SHORT // 64)
+
+
+def _words(column: pa.Array) -> np.ndarray:
+    return ts.buffers(column)[0].view(np.uint64).reshape(-1, SHORT // 64)
+
+
+def _binary(words: np.ndarray) -> pa.Array:
+    offsets = np.arange(len(words) + 1, dtype=np.int32) * (SHORT // 8)
+    return pa.Array.from_buffers(pa.binary(), len(words), [None, pa.py_buffer(offsets.tobytes()), pa.py_buffer(words.tobytes())])
+
+
 def _differing(x: bytes, y: bytes) -> int:
     """Differing bits of two rows of parities, the longer one folded."""
     if len(x) < len(y):
@@ -251,7 +269,7 @@ def _least_common(n: np.ndarray) -> np.ndarray:
 
 
 def prefixes(docs: DataFrame, text: str, heavy: Broadcast) -> DataFrame:
-    """cid, n, tokens, places: size and prefix of every class (at least once), with the tokens' places in
+    """cid, n, tokens, places, parity: size and prefix of every class (at least once), with the tokens' places in
     the order; tokens that no other set holds can't be shared and are left out."""
 
     def scan(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -274,15 +292,15 @@ def prefixes(docs: DataFrame, text: str, heavy: Broadcast) -> DataFrame:
                 keep = (place <= (n - _least_common(n))[owner]) & passes(shared, mine)
                 size = np.bincount(owner[keep], minlength=len(n))
                 some = size > 0
-                yield pa.RecordBatch.from_arrays([pa.array(ids[rows][some]), pa.array(n[some]), _lists(mine[keep], size[some]), _lists(place[keep], size[some])], names=["cid", "n", "tokens", "places"])
+                yield pa.RecordBatch.from_arrays([pa.array(ids[rows][some]), pa.array(n[some]), _lists(mine[keep], size[some]), _lists(place[keep], size[some]), _binary(short_parities(mine, owner, len(n))[some])], names=["cid", "n", "tokens", "places", "parity"])
 
-    return docs.select(text).mapInArrow(scan, "cid long, n long, tokens array<long>, places array<long>")
+    return docs.select(text).mapInArrow(scan, "cid long, n long, tokens array<long>, places array<long>, parity binary")
 
 
 def grouped_prefixes(docs: DataFrame, text: str, heavy: Broadcast, grouped: DataFrame) -> DataFrame:
-    """cid, g, many, n, tokens, places: prefixes with their group, and whether it has other members."""
+    """cid, g, many, n, tokens, places, parity: prefixes with their group, and whether it has other members."""
     joined = prefixes(docs, text, heavy).join(grouped.withColumnRenamed("node", "cid"), "cid", "left")
-    return joined.select("cid", F.coalesce("label", "cid").alias("g"), F.col("label").isNotNull().alias("many"), "n", "tokens", "places")
+    return joined.select("cid", F.coalesce("label", "cid").alias("g"), F.col("label").isNotNull().alias("many"), "n", "tokens", "places", "parity")
 
 
 def _overlap_left(n: np.ndarray, place: np.ndarray) -> np.ndarray:
@@ -295,12 +313,13 @@ def _overlap_left(n: np.ndarray, place: np.ndarray) -> np.ndarray:
 
 
 #: Columns of matrix rows: owner (a group or a class) and its side; rows of one side needn't meet.
-ROW = ("token", "owner", "side", "n", "room", "many")
+ROW = ("token", "owner", "side", "n", "room", "many", "parity")
 
 
-def matrix(prefix: DataFrame, owner: str, side: str) -> DataFrame:
+def matrix(prefix: DataFrame, owner: str, side: str, many: Column) -> DataFrame:
     """ROW columns: a group's row of a token has the smallest size of the sets that bear it, and the
-    largest partner (times PERCENT) that their places leave room for."""
+    largest partner (times PERCENT) that their places leave room for. many: the owner is a group of
+    several classes, so that its size and parity say nothing of each."""
 
     def scan(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -308,18 +327,20 @@ def matrix(prefix: DataFrame, owner: str, side: str) -> DataFrame:
             sizes = np.diff(lists.offsets.to_numpy())
             owner, side, many, n = (np.repeat(batch.column(i).to_numpy(zero_copy_only=False), sizes) for i in range(4))
             if len(n):
-                rows = _united([lists.flatten().to_numpy(), owner, side, n, _overlap_left(n, batch.column(5).flatten().to_numpy()), many])
-                yield pa.RecordBatch.from_arrays([pa.array(x) for x in rows], names=ROW)
+                rows = _united([lists.flatten().to_numpy(), owner, side, n, _overlap_left(n, batch.column(5).flatten().to_numpy()), many, np.repeat(_words(batch.column(6)), sizes, axis=0)])
+                for i in range(0, len(rows[0]), PIECE):
+                    piece = [x[i : i + PIECE] for x in rows]
+                    yield pa.RecordBatch.from_arrays([*(pa.array(x) for x in piece[:-1]), _binary(piece[-1])], names=ROW)
 
-    return prefix.select(F.col(owner).alias("o"), F.col(side).alias("s"), "many", "n", "tokens", "places").mapInArrow(scan, "token long, owner long, side long, n long, room long, many boolean")
+    return prefix.select(F.col(owner).alias("o"), F.col(side).alias("s"), many.alias("many"), "n", "tokens", "places", "parity").mapInArrow(scan, "token long, owner long, side long, n long, room long, many boolean, parity binary")
 
 
 def _united(columns: list[np.ndarray]) -> list[np.ndarray]:
     """Matrix rows by token and owner, those of one token and owner made one."""
     order = np.lexsort((columns[1], columns[0]))
-    token, owner, side, n, room, many = (x[order] for x in columns)
+    token, owner, side, n, room, many, parity = (x[order] for x in columns)
     first = np.flatnonzero(np.concatenate([[True], (token[1:] != token[:-1]) | (owner[1:] != owner[:-1])]))
-    return [token[first], owner[first], side[first], np.minimum.reduceat(n, first), np.maximum.reduceat(room, first), many[first]]
+    return [token[first], owner[first], side[first], np.minimum.reduceat(n, first), np.maximum.reduceat(room, first), many[first], parity[first]]
 
 
 def _largest_side(token: np.ndarray, side: np.ndarray) -> np.ndarray:
@@ -362,9 +383,13 @@ def _meeting(token: np.ndarray, side: np.ndarray, n: np.ndarray, room: np.ndarra
 def qualifying(rows: DataFrame) -> DataFrame:
     """(a, b, single): owners that share a matrix row which leaves room for a link, a < b, and whether both are single classes."""
 
-    def pairs(token: np.ndarray, owner: np.ndarray, side: np.ndarray, n: np.ndarray, room: np.ndarray, many: np.ndarray) -> Iterator[pa.RecordBatch]:
+    def pairs(token: np.ndarray, owner: np.ndarray, side: np.ndarray, n: np.ndarray, room: np.ndarray, many: np.ndarray, parity: np.ndarray) -> Iterator[pa.RecordBatch]:
         held, size = [], 0
         for i, j in _meeting(token, side, n, room):
+            both = n[i] + n[j]
+            common = (both - np.bitwise_count(parity[i] ^ parity[j]).sum(axis=1, dtype=np.int64)) // 2
+            may = many[i] | many[j] | ((100 + PERCENT) * common >= PERCENT * both)
+            i, j = i[may], j[may]
             held.append((np.minimum(owner[i], owner[j]), np.maximum(owner[i], owner[j]), ~(many[i] | many[j])))
             size += len(i)
             if size > ROWS:
@@ -378,7 +403,7 @@ def qualifying(rows: DataFrame) -> DataFrame:
         for batch in _with_end(batches):
             if batch:
                 if batch.num_rows:
-                    held.append(tuple(c.to_numpy(zero_copy_only=False) for c in batch.columns))
+                    held.append((*(c.to_numpy(zero_copy_only=False) for c in batch.columns[:-1]), _words(batch.column(6))))
                 if not held or held[0][0][0] == held[-1][0][-1] or sum(len(h[0]) for h in held) < ROWS:
                     continue
             if not held:
@@ -500,7 +525,7 @@ def group_links(docs: DataFrame, text: str, classes: DataFrame, passing: DataFra
     still = saved(apart(open_, of_groups), "open-groups")
     ends = still.select(F.explode(F.array("a", "b")).alias("g")).distinct()
     opened = prefix.join(sided.join(ends, "g", "left_semi").select("cid", "side"), "cid")
-    pairs = qualifying(matrix(opened, "cid", "side")).select("a", "b")
+    pairs = qualifying(matrix(opened, "cid", "side", F.lit(False))).select("a", "b")
     links = links.unionByName(verified(texts, saved(promising(pairs, classes), "opened-pairs")))
     discard(texts, prefix)
     return links
@@ -521,7 +546,7 @@ def jaccard_components(docs: DataFrame, key: str = "doc_id", text: str = "text")
     total = classes.agg(F.coalesce(F.sum("n"), F.lit(0)).alias("t")).first()["t"]
     heavy = spark.sparkContext.broadcast(frequent_tokens(docs, text, total))
     prefix = saved(grouped_prefixes(docs, text, heavy, grouped), "prefixes")
-    passing = saved(qualifying(matrix(prefix, "g", "g")), "qualifying")
+    passing = saved(qualifying(matrix(prefix, "g", "g", F.col("many"))), "qualifying")
     links = group_links(docs, text, classes, passing, prefix, members, links)
     labels = components(links).withColumnRenamed("node", "cid")
     rooted = classes.select("cid", "least").join(labels, "cid", "left").withColumn("label", F.coalesce("label", "cid"))
