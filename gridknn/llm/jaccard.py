@@ -49,6 +49,8 @@ HOPEFUL = 0.4
 SLICE = 400
 #: Members of either group that are tried before they are opened, about.
 FEW = 4
+#: Size of the filter of tokens that two sets hold, as a power of two bits (16 MB).
+SHARED_BITS = 27
 #: Buckets of the parities that matrix rows carry.
 SHORT = 512
 #: Classes that a task remembers having met.
@@ -256,7 +258,7 @@ def frequent_tokens(docs: DataFrame, text: str, total: int) -> tuple[np.ndarray,
             break
         least = r["r"]
     found = totals.filter((rank >= least) & (F.col("n") >= HEAVY_LEAST)).select("token", rank.alias("r")).toArrow()
-    shared = key_filter(totals, "token").value
+    shared = key_filter(totals, "token", SHARED_BITS).value
     discard(totals)
     tokens = found.column("token").to_numpy().view(np.uint64)
     order = np.argsort(tokens)
