@@ -10,14 +10,16 @@ one. N-grams of numbered words whose share is at least CONTEXT_SHARE are found l
 (an n-gram is no more frequent than its parts) and become states of a broadcast automaton;
 all others stay in tables. One left-to-right traversal of the automaton carries the state of
 each document and adds up log-probabilities; a batch's documents step together. At a word
-without a number the failure arcs lead to the root. The same scan emits a row for each word
-and n-gram that the automaton lacks; one join finds their terms, and a sum by document adds
-them to what the traversal gave.
+without a number the failure arcs lead to the root. The same scan emits the words and n-grams
+that the automaton lacks, packed into arrays by bucket of their hash; a task looks up one bucket's
+arrays in that bucket's terms, and a sum by document adds them to what the traversal gave.
 
 With W a context's failure weight (log10; 0 if it has no arcs), the log-probability of c after
 a, b is that of c alone, plus W(b), plus W(ab), plus what the arc of bc gains over failing at
 b, plus what the arc of abc gains over failing at ab. Each term belongs to one n-gram, so
-those that the automaton lacks are added by a join of the document's n-grams with the tables.
+those that the automaton lacks are added by looking the document's n-grams up in the tables.
+There are as many buckets as the tables need, so a bucket's terms have a bound; its packed rows
+are read one after another.
 
 The shares only divide the work: scores don't depend on them. The automaton has at most
 1 / SHARE + 2 / CONTEXT_SHARE arcs, the tables grow with the input. Words, pairs and triples
@@ -301,7 +303,7 @@ def _at(keys: np.ndarray, terms: np.ndarray, wanted: np.ndarray) -> np.ndarray:
 
 def complete(vocabulary: Vocabulary, automaton: Automaton, counts: DataFrame, words: DataFrame, pairs: DataFrame, triples: DataFrame) -> tuple[Rest, DataFrame]:
     """Gives the automaton's failure arcs the whole model's weights; returns what it lacks, and the
-    terms (k, term, base, known) of the words without a number and the n-grams that are looked up by a join."""
+    terms (k, term, base) of the words without a number and the n-grams that are looked up by a join."""
     n = vocabulary.total
     least = max(LEAST, int(np.ceil(CONTEXT_SHARE * n)))
 
@@ -333,7 +335,7 @@ def complete(vocabulary: Vocabulary, automaton: Automaton, counts: DataFrame, wo
     marked = key_filter(rows, "k").value
     base = F.log10((F.col("c") + 0.5) / F.lit(n + 0.5 * (vocabulary.distinct + 1)))
     cold = counts.filter(F.col("c") < max(1, int(np.ceil(SHARE * n)))).withColumn("base", base).join(words.select("w", "w1"), "w", "left")
-    rows = rows.select("k", "term", F.lit(0.0).alias("base"), F.lit(0).alias("known")).unionByName(cold.select(F.col("w").alias("k"), (F.col("base") + F.coalesce("w1", F.lit(0.0))).alias("term"), "base", F.lit(1).alias("known")))
+    rows = rows.select("k", "term", F.lit(0.0).alias("base")).unionByName(cold.select(F.col("w").alias("k"), (F.col("base") + F.coalesce("w1", F.lit(0.0))).alias("term"), "base"))
     return Rest(float(of_word[-1]), of_word[:-1], keys[order], terms[order], marked), saved(rows, "rare-terms")
 
 
@@ -393,31 +395,143 @@ def score_documents(docs: DataFrame, key: str = "doc_id", text: str = "text") ->
     discard(pair_terms, triple_terms, counts)
     n, v = float(vocabulary.total), float(vocabulary.distinct)
     unseen = float(np.log10(0.5 / (n + 0.5 * (v + 1))))
-    rows = parts_of_scores(docs, key, text, vocabulary, automaton, lacking).join(others, "k", "left")
-    # tf is 0 in a document's own row and in those of n-grams; a word that isn't found is an unseen one
-    word = F.col("tf") > 0
-    known, base, term = (F.coalesce(F.col(c), F.lit(0)) for c in ("known", "base", "term"))
-    missing = F.when(F.col("known").isNull(), F.lit(unseen)).otherwise(0.0)
-    summed = rows.groupBy("row").agg(
-        F.max(key).alias(key),
-        F.sum("n_tokens").alias("n_tokens"),
-        F.sum(F.col("numbered") + F.when(word, F.col("tf") * known).otherwise(0)).cast("long").alias("n_known"),
-        F.sum(F.col("unigram") + F.when(word, F.col("tf") * (base + missing)).otherwise(0.0)).alias("base_score"),
-        F.sum(F.col("walk") + F.when(word, F.col("tf") * (term + missing)).otherwise(term)).alias("score"),
-    )
+    buckets = max(2 * docs.sparkSession.sparkContext.defaultParallelism, -(-others.count() // BUCKET_KEYS))
+    parts = parts_of_scores(docs, key, text, vocabulary, automaton, lacking, buckets)
+    rows = summed_terms(parts.unionByName(packed_terms(others, buckets), allowMissingColumns=True), key, buckets, unseen)
+    summed = rows.groupBy("row").agg(F.max(key).alias(key), *(F.sum(c).alias(c) for c in ("n_tokens", "n_known", "base_score", "score")))
     return summed.select(key, held(key).alias("held_out"), "n_tokens", "n_known", F.lit(int(n)).cast("long").alias("train_tokens"), "base_score", "score")
 
 
-def parts_of_scores(docs: DataFrame, key: str, text: str, vocabulary: Vocabulary, automaton: Automaton, lacking: Rest) -> DataFrame:
-    """From one scan: a row of each document, with what the automaton gives it, and one for each of its
-    words without a number (k, tf) and each of its n-grams that may be among the others (k, tf 0)."""
+#: Kinds of packed rows: terms of keys, n-grams of documents, words of documents.
+TERMS, GRAMS, WORDS = 0, 1, 2
+PACKED = "bucket int, kind int, x binary, y binary, z binary"
+#: Keys of terms that one bucket holds (24 bytes each).
+BUCKET_KEYS = 1_000_000
+
+
+def _buckets(keys: np.ndarray, count: int) -> np.ndarray:
+    """Buckets of well mixed keys (uint64)."""
+    return ((keys >> np.uint64(32)) * np.uint64(count) >> np.uint64(32)).astype(np.int32)
+
+
+def _slices(bucket: np.ndarray) -> Iterator[tuple[int, np.ndarray]]:
+    """Each bucket and the places of its members, in their order."""
+    order = np.argsort(bucket, kind="stable")
+    cuts = np.flatnonzero(np.diff(bucket[order])) + 1
+    for at in np.split(order, cuts) if len(order) else []:
+        yield int(bucket[at[0]]), at
+
+
+def _packed(rows: list[tuple[int, int, bytes, bytes, bytes]]) -> list[pa.Array]:
+    bucket, kind, *data = zip(*rows, strict=True)
+    return [pa.array(bucket, pa.int32()), pa.array(kind, pa.int32()), *(pa.array(d, pa.binary()) for d in data)]
+
+
+def packed_terms(terms: DataFrame, buckets: int) -> DataFrame:
+    """Rows (k, term, base) as arrays of keys, terms and bases, by bucket."""
+    names = [f.split()[0] for f in PACKED.split(", ")]
+
+    def packed(held: list[list[np.ndarray]]) -> pa.RecordBatch:
+        k, term, base = (np.concatenate(c) for c in zip(*held, strict=True))
+        found = [(b, TERMS, k[at].tobytes(), term[at].tobytes(), base[at].tobytes()) for b, at in _slices(_buckets(k, buckets))]
+        return pa.RecordBatch.from_arrays(_packed(found), names=names)
+
+    def scan(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        held, size = [], 0
+        for batch in batches:
+            k, term, base = (batch.column(i).to_numpy() for i in range(3))
+            held.append([k.view(np.uint64), term, base])
+            size += len(k)
+            if size > TOGETHER:
+                yield packed(held)
+                held, size = [], 0
+        if size:
+            yield packed(held)
+
+    return terms.select("k", "term", "base").mapInArrow(scan, PACKED)
+
+
+def summed_terms(parts: DataFrame, key: str, buckets: int, unseen: float) -> DataFrame:
+    """Partial sums by row: a document's own row as it is, and for each packed row of its n-grams or
+    words what their terms add. A bucket's terms come first, then its packed rows one after another."""
+    own = [key, "n_tokens", "n_known", "base_score", "score"]
+    schema = T.StructType([parts.schema["row"], *(parts.schema[c] for c in own)])
+
+    def scan(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        at_bucket, held, table = -1, [], None
+        for batch in batches:
+            kinds = batch.column("kind")
+            plain = batch.filter(kinds.is_null())
+            if plain.num_rows:
+                yield plain.select(schema.names)
+            packed = batch.filter(kinds.is_valid()).select(["bucket", "kind", "x", "y", "z"])
+            found = []
+            for i in range(packed.num_rows):
+                bucket, kind = packed.column(0)[i].as_py(), packed.column(1)[i].as_py()
+                x, y, z = (packed.column(c)[i].as_buffer() for c in (2, 3, 4))
+                if bucket != at_bucket:
+                    at_bucket, held, table = bucket, [], None
+                if kind == TERMS:
+                    held.append([np.frombuffer(x, np.uint64).copy(), np.frombuffer(y).copy(), np.frombuffer(z).copy()])
+                    continue
+                if table is None:
+                    table = [np.concatenate(c) for c in zip(*held, strict=True)] if held else [np.zeros(0, np.uint64), np.zeros(0), np.zeros(0)]
+                    order = np.argsort(table[0])
+                    table, held = [c[order] for c in table], []
+                found.append(_summed(*table, kind, np.frombuffer(x, np.int64), np.frombuffer(y, np.int32), np.frombuffer(z, np.uint64), unseen))
+            if found:
+                row, known, base, score = (np.concatenate(c) for c in zip(*found, strict=True))
+                out = [pa.array(row), pa.nulls(len(row), plain.schema.field(key).type), pa.array(np.zeros(len(row), np.int64)), pa.array(known), pa.array(base), pa.array(score)]
+                yield pa.RecordBatch.from_arrays(out, names=schema.names)
+
+    # a document's own row lies anywhere, packed rows with their bucket
+    return parts.repartition(buckets, F.coalesce(F.col("bucket"), F.col("row"))).sortWithinPartitions("bucket", "kind").mapInArrow(scan, schema)
+
+
+def _summed(keys: np.ndarray, terms: np.ndarray, bases: np.ndarray, kind: int, row: np.ndarray, sizes: np.ndarray, wanted: np.ndarray, unseen: float) -> tuple[np.ndarray, ...]:
+    """Rows, and their sums of known words, base and score, over the wanted keys of each row."""
+    first = np.cumsum(sizes) - sizes
+    at = np.minimum(np.searchsorted(keys, wanted), max(len(keys) - 1, 0))
+    hit = keys[at] == wanted if len(keys) else np.zeros(len(wanted), bool)
+    term = np.zeros(len(wanted))
+    term[hit] = terms[at[hit]]
+    if kind == GRAMS:
+        none = np.zeros(len(row))
+        return row, none.astype(np.int64), none, np.add.reduceat(term, first)
+    base = np.full(len(wanted), unseen)
+    base[hit], term[~hit] = bases[at[hit]], unseen
+    return row, np.add.reduceat(hit.astype(np.int64), first), np.add.reduceat(base, first), np.add.reduceat(term, first)
+
+
+def parts_of_scores(docs: DataFrame, key: str, text: str, vocabulary: Vocabulary, automaton: Automaton, lacking: Rest, buckets: int) -> DataFrame:
+    """From one scan: a row of each document, with what the automaton gives it, and packed rows of the
+    words without a number and of the n-grams that may be among the others: rows, sizes, keys."""
     model = docs.sparkSession.sparkContext.broadcast((vocabulary, automaton, lacking))
-    schema = T.StructType([T.StructField("row", T.LongType()), T.StructField(key, docs.schema[key].dataType), *(T.StructField(c, T.LongType()) for c in ("n_tokens", "numbered")), *(T.StructField(c, T.DoubleType()) for c in ("unigram", "walk")), T.StructField("k", T.LongType()), T.StructField("tf", T.LongType())])
+    own = T.StructType([T.StructField("row", T.LongType()), T.StructField(key, docs.schema[key].dataType), *(T.StructField(c, T.LongType()) for c in ("n_tokens", "n_known")), *(T.StructField(c, T.DoubleType()) for c in ("base_score", "score"))])
+    packed = T.StructType([T.StructField("bucket", T.IntegerType()), T.StructField("kind", T.IntegerType()), *(T.StructField(c, T.BinaryType()) for c in "xyz")])
+    schema = T.StructType([*own, *packed])
+    arrow = [pa.int32(), pa.int32(), *[pa.binary()] * 3]
+
+    def bundled(held: list[tuple[int, np.ndarray, np.ndarray]], key_type: pa.DataType) -> pa.RecordBatch:
+        found = []
+        for kind in (GRAMS, WORDS):
+            mine = [(r, k) for x, r, k in held if x == kind]
+            if not mine:
+                continue
+            row, k = (np.concatenate(c) for c in zip(*mine, strict=True))
+            for bucket, at in _slices(_buckets(k, buckets)):
+                order = at[np.argsort(row[at], kind="stable")]
+                of = row[order]
+                first = np.flatnonzero(np.concatenate([[True], of[1:] != of[:-1]]))
+                found.append((bucket, kind, of[first].tobytes(), np.diff(np.append(first, len(of))).astype(np.int32).tobytes(), k[order].tobytes()))
+        nothing = [pa.nulls(len(found), t) for t in (pa.int64(), key_type, pa.int64(), pa.int64(), pa.float64(), pa.float64())]
+        return pa.RecordBatch.from_arrays([*nothing, *_packed(found)], names=schema.names)
 
     def scan(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         vocabulary, automaton, lacking = model.value
+        held, size, key_type = [], 0, None
         for batch in batches:
-            at_row = batch.column(0).to_numpy()
+            at_row, key_type = batch.column(0).to_numpy(), batch.column(1).type
             for x, y, tokens, first in _token_blocks(batch.column(2)):
                 row = at_row[x:y]
                 words = vocabulary.numbers(tokens)
@@ -430,19 +544,17 @@ def parts_of_scores(docs: DataFrame, key: str, text: str, vocabulary: Vocabulary
                 gained[at3] += _at(lacking.keys, lacking.terms, k3)
                 unigram = np.where(known, automaton.root_log[np.maximum(words, 0)] if len(automaton.root_log) else 0.0, 0.0)
                 walk = automaton.traverse(words, first) + np.add.reduceat(gained, first[:-1]) + lacking.start
-                cold = np.flatnonzero(~known)
-                order = np.lexsort((tokens[cold], owner[cold]))
-                cold_row, cold_word = owner[cold][order], tokens[cold][order]
-                new = np.flatnonzero(np.concatenate([[True], (cold_row[1:] != cold_row[:-1]) | (cold_word[1:] != cold_word[:-1])])) if len(cold) else np.zeros(0, np.int64)
+                counted = (np.diff(first), np.add.reduceat(known.astype(np.int64), first[:-1]), np.add.reduceat(unigram, first[:-1]), walk)
+                nothing = [pa.nulls(len(row), t) for t in arrow]
+                yield pa.RecordBatch.from_arrays([pa.array(row), batch.column(1).slice(x, y - x), *map(pa.array, counted), *nothing], names=schema.names)
                 in2, in3 = np.flatnonzero(passes(lacking.others, k2)), np.flatnonzero(passes(lacking.others, k3))
-                rows = np.concatenate([row, row[cold_row[new]], row[owner[in2]], row[owner[at3[in3]]]])
-                k = np.concatenate([ts.mix(row.view(np.uint64) + np.uint64(1)), cold_word[new], k2[in2], k3[in3]])
-                tf = np.zeros(len(rows), np.int64)
-                tf[len(row) : len(row) + len(new)] = np.diff(np.append(new, len(cold)))
-                more = len(rows) - len(row)
-                filled = lambda a: pa.array(np.concatenate([a, np.zeros(more, a.dtype)]))  # noqa: B023, E731
-                keys = pa.concat_arrays([batch.column(1).slice(x, y - x), pa.nulls(more, batch.column(1).type)])
-                out = [pa.array(rows), keys, filled(np.diff(first)), filled(np.add.reduceat(known.astype(np.int64), first[:-1])), filled(np.add.reduceat(unigram, first[:-1])), filled(walk), pa.array(k.view(np.int64)), pa.array(tf)]
-                yield pa.RecordBatch.from_arrays(out, names=schema.names)
+                cold = np.flatnonzero(~known)
+                held += [(GRAMS, row[owner[in2]], k2[in2]), (GRAMS, row[owner[at3[in3]]], k3[in3]), (WORDS, row[owner[cold]], tokens[cold])]
+                size += len(in2) + len(in3) + len(cold)
+                if size > TOGETHER:
+                    yield bundled(held, key_type)
+                    held, size = [], 0
+        if size:
+            yield bundled(held, key_type)
 
     return docs.select(F.monotonically_increasing_id().alias("row"), F.col(key), F.col(text)).mapInArrow(scan, schema)
