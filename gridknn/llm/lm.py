@@ -9,7 +9,8 @@ to a failure arc to the shorter context, weighted so that each context's probabi
 one. N-grams of numbered words whose share is at least CONTEXT_SHARE are found level by level
 (an n-gram is no more frequent than its parts) and become states of a broadcast automaton;
 all others stay in tables. One left-to-right traversal of the automaton carries the state of
-each document and adds up log-probabilities; a batch's documents step together. At a word
+each document and adds up log-probabilities; a batch's documents step together, long ones in
+stretches whose first state the two words before them give. At a word
 without a number the failure arcs lead to the root. The same scan emits the words and n-grams
 that the automaton lacks, packed into arrays by bucket of their hash; a task looks up one bucket's
 arrays in that bucket's terms, and a sum by document adds them to what the traversal gave.
@@ -48,6 +49,8 @@ from .storage import discard, saved
 SHARE, CONTEXT_SHARE, DISCOUNT, LEAST = 1e-6, 1e-6, 0.5, 2
 #: Tokens whose n-grams are counted together before they are handed on.
 TOGETHER = 1_000_000
+#: Tokens of a row that are walked one after another (at least 2).
+STRETCH = 128
 FOLDS, HELD_OUT = 5, 1
 END = np.uint64(0xE5D0C0DE00000001)
 START = np.uint64(0xE5D0C0DE00000002)
@@ -175,12 +178,21 @@ class Automaton:
         return to, score
 
     def traverse(self, words: np.ndarray, first: np.ndarray) -> np.ndarray:
-        """Log-probabilities of the rows' numbered words, all rows walking from left to right together."""
+        """Log-probabilities of the rows' numbered words. Long rows are cut into stretches, which all walk from
+        left to right together: the two words before a stretch lead to the state it begins with."""
         sizes = np.diff(first)
-        order = np.argsort(-sizes, kind="stable")
-        place, left = first[:-1][order], sizes[order]
-        total, state = np.zeros(len(order)), np.full(len(order), self.begin, np.int64)
-        live, t = len(order), 0
+        stretches = -(-sizes // STRETCH)
+        row = np.repeat(np.arange(len(sizes)), stretches)
+        nth = np.arange(len(row)) - np.repeat(np.cumsum(stretches) - stretches, stretches)
+        place = first[:-1][row] + nth * STRETCH
+        left = np.minimum(first[1:][row] - place, STRETCH)
+        order = np.argsort(-left, kind="stable")
+        row, nth, place, left = row[order], nth[order], place[order], left[order]
+        total, state = np.zeros(len(row)), np.where(nth == 0, self.begin, 0)
+        later = np.flatnonzero(nth > 0)
+        for back in (2, 1):
+            state[later], _ = self.step(state[later], words[place[later] - back])
+        live, t = len(row), 0
         while True:
             live = int(np.searchsorted(-left[:live], -t, "left"))
             if not live:
@@ -188,9 +200,7 @@ class Automaton:
             state[:live], gained = self.step(state[:live], words[place[:live] + t])
             total[:live] += gained
             t += 1
-        out = np.empty(len(order))
-        out[order] = total
-        return out
+        return np.bincount(row, total, len(sizes))
 
 
 def _mixed(a: np.ndarray, b: np.ndarray) -> np.ndarray:

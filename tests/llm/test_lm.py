@@ -68,8 +68,10 @@ def test_each_state_sums_to_one(spark, monkeypatch):
         assert (10**score).sum() + unseen * 10 ** cold[0] == pytest.approx(1, abs=1e-9)
 
 
-def test_traversal_equals_word_by_word(spark, monkeypatch):
+@pytest.mark.parametrize("stretch", [2, 5, 128])
+def test_traversal_equals_word_by_word(spark, monkeypatch, stretch):
     monkeypatch.setattr(lm, "CONTEXT_SHARE", 0.005)
+    monkeypatch.setattr(lm, "STRETCH", stretch)
     rows = corpus(40)
     frame = spark.createDataFrame(rows, "doc_id long, text string")
     vocabulary, automaton = lm.build(frame, "text", lm.word_counts(frame, "text"))
