@@ -11,6 +11,8 @@ from pyspark.broadcast import Broadcast
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from .storage import shuffles_removed
+
 BITS = 26
 
 
@@ -20,7 +22,8 @@ def key_filter(df: DataFrame, column: str, bits: int = BITS) -> Broadcast:
     key = F.col(column)
     places = df.select(F.explode(F.array(key.bitwiseAND(F.lit(mask)), F.shiftrightunsigned(key, 64 - bits))).alias("p"))
     word = F.shiftright("p", 6).alias("w")
-    marks = places.groupBy(word).agg(F.bit_or(F.expr("shiftleft(1L, cast(p & 63 as int))")).alias("m")).toArrow()
+    with shuffles_removed(df.sparkSession):
+        marks = places.groupBy(word).agg(F.bit_or(F.expr("shiftleft(1L, cast(p & 63 as int))")).alias("m")).toArrow()
     words = np.zeros(1 << (bits - 6), np.uint64)
     words[marks.column("w").to_numpy()] = marks.column("m").to_numpy().view(np.uint64)
     return df.sparkSession.sparkContext.broadcast(words)

@@ -271,7 +271,8 @@ def ngrams(train: DataFrame, text: str) -> tuple[DataFrame, DataFrame]:
 
 
 def gram_tables(train: DataFrame, pairs: DataFrame, triples: DataFrame, counts: DataFrame, n: int, v: int, texts: int) -> tuple[DataFrame, DataFrame, DataFrame]:
-    """words (w, seen, w1), pairs (k, c, gain, w2) and triples (k, c, gain): failure weights and what arcs gain over failing."""
+    """words (w, seen, w1), pairs (k, c, gain, w2) and triples (k, c, gain): failure weights and what arcs gain over failing.
+    The given pairs and triples, if they are saved tables, are removed as soon as they have been read."""
     least = max(LEAST, int(np.ceil(CONTEXT_SHARE * n)))
     p1 = (F.col("cb") + 0.5) / F.lit(n + 0.5 * (v + 1))
     ended = _looked_up(pairs, counts.select(F.col("w").alias("b"), F.col("c").alias("cb")), "b", F.col("cb") >= least)
@@ -281,12 +282,14 @@ def gram_tables(train: DataFrame, pairs: DataFrame, triples: DataFrame, counts:
     words = saved(left.join(seen, "a").select("a", "seen", F.log10((1 - F.col("spent") / F.col("seen")) / (1 - F.col("below"))).alias("w1")), "word-weights")
     p2 = F.log10((F.col("c") - DISCOUNT) / F.col("seen"))
     arcs = saved(_looked_up(ended, words, "a", F.col("seen") >= least).select("k", "c", p2.alias("p2"), (p2 - F.col("w1") - F.log10(p1)).alias("gain")), "pair-arcs")
+    discard(pairs)
     ended = _looked_up(triples, arcs.select(F.col("k").alias("b"), F.col("c").alias("cb"), "p2"), "b", F.col("cb") >= least)
     left = ended.groupBy("a").agg(F.sum(F.col("c") - DISCOUNT).alias("spent"), F.sum(F.pow(F.lit(10.0), F.col("p2"))).alias("below"))
     seen = arcs.select(F.col("k").alias("a"), F.col("c").alias("seen"))
     contexts = saved(left.join(seen, "a").select("a", "seen", F.log10((1 - F.col("spent") / F.col("seen")) / (1 - F.col("below"))).alias("w2")), "pair-weights")
     gain = F.log10((F.col("c") - DISCOUNT) / F.col("seen")) - F.col("w2") - F.col("p2")
     longer = saved(_looked_up(ended, contexts, "a", F.col("seen") >= least).select("k", "c", gain.alias("gain")), "triple-arcs")
+    discard(triples)
     both = saved(arcs.select("k", "c", "gain").join(contexts.select(F.col("a").alias("k"), "w2"), "k", "left"), "pair-terms")
     discard(arcs, contexts)
     return words.withColumnRenamed("a", "w"), both, longer
@@ -400,7 +403,6 @@ def score_documents(docs: DataFrame, key: str = "doc_id", text: str = "text") ->
     vocabulary, automaton = build(train, text, counts, (pairs, triples))
     texts = counts.filter(F.col("w") == int(END.view(np.int64))).agg(F.coalesce(F.sum("c"), F.lit(0)).alias("n")).first()["n"]
     word_terms, pair_terms, triple_terms = gram_tables(train, pairs, triples, counts, vocabulary.total, vocabulary.distinct, texts)
-    discard(pairs, triples)
     lacking, others = complete(vocabulary, automaton, counts, word_terms, pair_terms, triple_terms)
     discard(pair_terms, triple_terms, counts)
     n, v = float(vocabulary.total), float(vocabulary.distinct)

@@ -36,7 +36,8 @@ def small_batches(spark: SparkSession) -> None:
 
 
 @contextmanager
-def _shuffles_removed(spark: SparkSession):
+def shuffles_removed(spark: SparkSession):
+    """Queries made in this block leave no shuffle files when they have ended: for those that run once."""
     before = spark.conf.get(CLEANUP, "false")
     spark.conf.set(CLEANUP, "true")
     try:
@@ -53,7 +54,7 @@ def saved(df: DataFrame, name: str, partition_by: str | None = None) -> DataFram
     spark = df.sparkSession
     small_batches(spark)
     path = f"{shared_dir(spark)}/{name}-{uuid.uuid4().hex}"
-    with _shuffles_removed(spark):
+    with shuffles_removed(spark):
         (df.write.partitionBy(partition_by) if partition_by else df.write).parquet(path)
     out = spark.read.schema(df.schema).parquet(path)
     out._saved_at = path
@@ -65,7 +66,7 @@ def bucketed(df: DataFrame, name: str, buckets: int, by: list[str]) -> DataFrame
     spark = df.sparkSession
     small_batches(spark)
     path = f"{shared_dir(spark)}/{name}"
-    with _shuffles_removed(spark):
+    with shuffles_removed(spark):
         df.write.bucketBy(buckets, *by).sortBy(*by).option("path", path).saveAsTable(name)
     out = spark.table(name)
     out._saved_at = path
