@@ -163,3 +163,15 @@ def test_small_helpers_and_invalid_settings(spark):
             pipeline.search(q, t, **({"k": 1, "grid": GridSpec.pow2(2, 1)} | bad))
     line = joins.nearest_1d(query_of(spark, [(0.1,), (2.6,), (9.0,)]), train_of(spark, [((0.0,), "A"), ((1.0,), "A"), ((4.0,), "A")]), 2)
     assert {r.pid: (r.tid, r.dist) for r in line.collect()} == {0: (0, pytest.approx(0.1)), 1: (2, pytest.approx(1.4)), 2: (2, 5.0)}
+
+
+def test_nearest_on_a_line_reads_each_slice_once_in_either_direction(spark):
+    """Repeated places and ties; no frame runs to the end of its slice, which costs the square of its rows."""
+    points, queries = [0.0, 0.0, 1.0, 1.0, 1.0, 3.0, 7.0, 7.0], [-1.0, 0.0, 0.5, 1.0, 2.0, 2.0, 5.0, 7.0, 9.0]
+    train = [((x,), "A") for x in points]
+    for slices in (1, 3):
+        line = joins.nearest_1d(query_of(spark, [(x,) for x in queries]), train_of(spark, train), slices)
+        got = {r.pid: [(r.tid, r.dist)] for r in line.collect()}
+        same(got, brute([(x,) for x in queries], train, 1))
+        plan = line._jdf.queryExecution().optimizedPlan().toString()
+        assert "currentrow$(), unboundedfollowing$()" not in plan
