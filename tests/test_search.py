@@ -175,3 +175,14 @@ def test_nearest_on_a_line_reads_each_slice_once_in_either_direction(spark):
         same(got, brute([(x,) for x in queries], train, 1))
         plan = line._jdf.queryExecution().optimizedPlan().toString()
         assert "currentrow$(), unboundedfollowing$()" not in plan
+
+
+def test_within_pairs_points_of_one_place_only_as_rows_leave(spark):
+    """Copies on both sides, more than an array holds: every pair is there, and the cell join sees places."""
+    queries, points = [(0.1, 0.1)] * 1100 + [(0.5, 0.5), (0.9, 0.1)], [(0.1, 0.12)] * 3 + [(0.5, 0.5), (0.52, 0.5), (0.7, 0.9)]
+    t = train_of(spark, [(x, "AB"[i % 2]) for i, x in enumerate(points)])
+    near = joins.within(query_of(spark, queries), t, 0.03, GridSpec.pow2(2, 3))
+    want = {(i, j, "AB"[j % 2]) for i, q in enumerate(queries) for j, x in enumerate(points) if math.dist(q, x) <= 0.03}
+    rows = near.collect()
+    assert {(r.pid, r.tid, r.cls) for r in rows} == want and len(rows) == len(want) == 3302
+    assert "Generate" in near._jdf.queryExecution().optimizedPlan().toString().split("Join")[0]
