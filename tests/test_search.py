@@ -6,6 +6,7 @@ from gridknn.operators import joins, merge, probe
 from gridknn.operators.density import cell_counts
 from gridknn.operators.grid import GridSpec, bounds, suggest
 from gridknn.plans import cost, pipeline
+from pyspark.sql import functions as F
 
 CELL1 = [(0.9, 0.8), (0.7, 0.4), (0.3, 0.3), (0.2, 0.7), (0.5, 0.1)]
 CELL2 = [(1.3, 0.3), (1.7, 0.6)]
@@ -186,3 +187,20 @@ def test_within_pairs_points_of_one_place_only_as_rows_leave(spark):
     rows = near.collect()
     assert {(r.pid, r.tid, r.cls) for r in rows} == want and len(rows) == len(want) == 3302
     assert "Generate" in near._jdf.queryExecution().optimizedPlan().toString().split("Join")[0]
+
+
+def test_brute_force_neither_fans_queries_out_nor_shuffles_lists(spark):
+    """Several blocks on both sides, copies, classes without a name, and no points at all."""
+    queries = cloud(7, 1500, 2, 1) + [(0.5, 0.5)] * 3
+    train = [(x, "AB"[i % 2] if i % 5 else None) for i, x in enumerate(cloud(8, 5000, 2, 3) + [(0.5, 0.5)] * 9)]
+    q, t = query_of(spark, queries), train_of(spark, train)
+    found = pipeline.search(q, t, 4, strategy="brute").final
+    same(lists(found), brute(queries, train, 4))
+    assert {x.cls == train[x.tid][1] for r in found.collect() for x in r.nn} == {True}
+    plan = found._jdf.queryExecution().optimizedPlan().toString()
+    assert "Generate" not in plan and "Aggregate" not in plan
+    assert lists(pipeline.search(q.filter("pid < 2"), t.filter("false"), 4, strategy="brute").final) == {0: [], 1: []}
+    own = [(i, *x) for i, (x, _) in enumerate(train[-40:])]
+    frame = spark.createDataFrame([(*r, None) for r in own], "pid long, x0 double, x1 double, cls string")
+    got = lists(joins.all_knn_self(frame, 2, 10, None, strategy="brute").groupBy("pid").agg(F.array_sort(F.collect_list(F.struct("dist", "tid"))).alias("nn")))
+    same(got, brute([x for x, _ in train[-40:]], train[-40:], 10, skip_self=True))
