@@ -204,3 +204,21 @@ def test_brute_force_neither_fans_queries_out_nor_shuffles_lists(spark):
     frame = spark.createDataFrame([(*r, None) for r in own], "pid long, x0 double, x1 double, cls string")
     got = lists(joins.all_knn_self(frame, 2, 10, None, strategy="brute").groupBy("pid").agg(F.array_sort(F.collect_list(F.struct("dist", "tid"))).alias("nn")))
     same(got, brute([x for x, _ in train[-40:]], train[-40:], 10, skip_self=True))
+
+
+@pytest.mark.parametrize("options", [{}, {"strategy": "brute"}, {"strategy": "merge"}, {"growth": "points"}])
+def test_queries_at_one_place_are_searched_once_and_all_answered(spark, monkeypatch, options):
+    train = [(x, "ABC"[i % 3]) for i, x in enumerate(cloud(9, 60, 2, 2))]
+    queries = (cloud(10, 12, 2, 1) + [(0.0, 0.3)]) * 3 + [(-0.0, 0.3)]
+    asked, search = [], pipeline.search
+    monkeypatch.setattr(pipeline, "search", lambda query, *a, **o: asked.append(query.count()) or search(query, *a, **o))
+    q, t, grid = query_of(spark, queries), train_of(spark, train), GridSpec.pow2(2, 2)
+    rows = pipeline.all_knn(q, t, 5, grid, **options).collect()
+    got = {}
+    for r in sorted(rows, key=lambda r: (r.pid, r["rank"])):
+        got.setdefault(r.pid, []).append((r.tid, r.dist))
+    same(got, brute(queries, train, 5))
+    assert len(rows) == 5 * len(queries)
+    votes = {r.pid: r.cls_pred for r in pipeline.classify(q, t, 5, grid, **options).collect()}
+    assert len(votes) == len(queries) and len({votes[i] for i in range(0, 39, 13)}) == 1
+    assert asked == [13, 13]
