@@ -156,3 +156,12 @@ def test_registry(spark):
 
 def test_record_bytes_grow():
     assert cost.record_bytes(20, 3) > cost.record_bytes(5, 3) > cost.record_bytes(5, 1)
+
+
+def test_recall_counts_copies_of_queries(spark):
+    make = lambda rows: spark.createDataFrame([(i, [(0.0, t, "A") for t in tids]) for i, tids in rows], f"pid long, nn {NN}")
+    copies = spark.createDataFrame([(0, 3), (1, 1)], "pid long, copies long")
+    out = quality.recall(make([(0, [1, 2]), (1, [3, 9])]), make([(0, [1, 2]), (1, [3, 4])]), copies).first()
+    assert (out.queries, out.exact_lists, out.recall) == (4, 3, 3.5 / 4)
+    none = make([(0, [1])]).filter("false")
+    assert quality.recall(none, none).first().queries == 0
