@@ -165,3 +165,19 @@ def test_recall_counts_copies_of_queries(spark):
     assert (out.queries, out.exact_lists, out.recall) == (4, 3, 3.5 / 4)
     none = make([(0, [1])]).filter("false")
     assert quality.recall(none, none).first().queries == 0
+
+
+def test_measures_count_copies_of_queries_and_a_cell_once_in_many_chunks(spark, monkeypatch):
+    """Cells whose points lie in several chunks are one update each; places stand for all their queries."""
+    from gridknn.operators import local
+
+    train, query = PROFILES["skew2"].split(spark, SF)
+    query = query.unionByName(query.withColumn("pid", F.col("pid") + 10_000)).unionByName(query.withColumn("pid", F.col("pid") + 20_000))
+    grid = GridSpec.pow2(2, 2)
+    want = {r.measure: r.value for r in cost.measures(pipeline.search(query, train, 5, grid)).collect()}
+    assert want["updates"] == query.count() + want["overlaps"]
+    monkeypatch.setattr(local, "CHUNK", 4)
+    assert {r.measure: r.value for r in cost.measures(pipeline.search(query, train, 5, grid)).collect()} == want
+    seen = pipeline.shared_places(query, 2)
+    assert 0 < seen.count() <= query.count() / 3
+    assert {r.measure: r.value for r in cost.measures(pipeline.search(seen.drop("copies"), train, 5, grid), seen).collect()} == want
