@@ -13,7 +13,9 @@ each document and adds up log-probabilities; a batch's documents step together,
 stretches whose first state the two words before them give. At a word
 without a number the failure arcs lead to the root. The same scan emits the words and n-grams
 that the automaton lacks, packed into arrays by bucket of their hash; a task looks up one bucket's
-arrays in that bucket's terms, and a sum by document adds them to what the traversal gave.
+arrays in that bucket's terms, and a sum by document adds them to what the traversal gave. Every
+document is scored in one of TURNS such scans, whose shuffle files go before the next begins.
+N-grams are counted and weighed in packed arrays too (`grams.py`).
 
 With W a context's failure weight (log10; 0 if it has no arcs), the log-probability of c after
 a, b is that of c alone, plus W(b), plus W(ab), plus what the arc of bc gains over failing at
@@ -35,35 +37,29 @@ from __future__ import annotations
 
 from collections.abc import Iterator
 from dataclasses import dataclass
+from functools import reduce
 
 import numpy as np
 import pyarrow as pa
+from pyspark.broadcast import Broadcast
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from . import textscan as ts
-from .keyfilter import key_filter, passes
+from . import grams
+from .grams import BITS, DISCOUNT, END, LEAST, START, TOGETHER, mixed, token_blocks
+from .keyfilter import passes
 from .storage import discard, saved
 
-SHARE, CONTEXT_SHARE, DISCOUNT, LEAST = 1e-6, 1e-6, 0.5, 2
-#: Tokens whose n-grams are counted together before they are handed on.
-TOGETHER = 1_000_000
+SHARE, CONTEXT_SHARE = 1e-6, 1e-6
 #: Tokens of a row that are walked one after another (at least 2).
 STRETCH = 128
 FOLDS, HELD_OUT = 5, 1
-END = np.uint64(0xE5D0C0DE00000001)
-START = np.uint64(0xE5D0C0DE00000002)
-BITS = 20
+#: Turns in which the documents are scored, so that only a part of their n-grams is on disk at a time.
+TURNS = 2
 COLD = -1
-
-
-def _token_blocks(column: pa.Array) -> Iterator[tuple[int, int, np.ndarray, np.ndarray]]:
-    """Blocks of rows: first, last, token hashes with an end after each row, and each row's first token."""
-    data, offsets = ts.buffers(column)
-    for a, b in ts.row_blocks(offsets):
-        words = ts.Words(data[offsets[a] : offsets[b]], offsets[a : b + 1] - offsets[a], ts.SPACED_WORD)
-        yield a, b, np.insert(words.hashes(), words.first[1:], END), words.first + np.arange(b - a + 1)
+#: Bits of the filter of n-grams that are looked up.
+RARE_BITS = 27
 
 
 def word_counts(train: DataFrame, text: str) -> DataFrame:
@@ -71,7 +67,7 @@ def word_counts(train: DataFrame, text: str) -> DataFrame:
 
     def scan(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            found = [h for _, _, h, _ in _token_blocks(batch.column(0))]
+            found = [h for _, _, h, _ in token_blocks(batch.column(0))]
             if found:
                 w, c = np.unique(np.concatenate(found), return_counts=True)
                 yield pa.RecordBatch.from_arrays([pa.array(w.view(np.int64)), pa.array(c)], names=["w", "c"])
@@ -203,17 +199,11 @@ class Automaton:
         return np.bincount(row, total, len(sizes))
 
 
-def _mixed(a: np.ndarray, b: np.ndarray) -> np.ndarray:
-    x = a * np.uint64(0x9E3779B97F4A7C15) + b
-    x = (x ^ (x >> np.uint64(32))) * np.uint64(0xD6E8FEB86659FD93)
-    return x ^ (x >> np.uint64(29))
-
-
 def _pairs_of(tokens: np.ndarray, first: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     """Left words, right words and keys of the pairs of each row: as many as tokens, the first with the start."""
     left = np.concatenate([tokens[:1], tokens[:-1]])
     left[first[:-1]] = START
-    return left, tokens, _mixed(left, tokens)
+    return left, tokens, mixed(left, tokens)
 
 
 def _triples_of(pairs: np.ndarray, first: np.ndarray) -> np.ndarray:
@@ -223,76 +213,37 @@ def _triples_of(pairs: np.ndarray, first: np.ndarray) -> np.ndarray:
     return np.flatnonzero(inner)
 
 
-def _gram_counts(train: DataFrame, text: str, pairs=None) -> DataFrame:
-    """(k, a, b, c) of pairs that occur LEAST times; with a filter of those, of triples, a and b being pairs."""
+@dataclass
+class Learned:
+    """The numbered words, the automaton, and the n-grams of which it has the frequent ones."""
 
-    def counted(held: list[tuple[np.ndarray, np.ndarray]]) -> pa.RecordBatch:
-        a, b = (np.concatenate(x) for x in zip(*held, strict=True))
-        _, at, c = np.unique(_mixed(a, b), return_index=True, return_counts=True)
-        return pa.RecordBatch.from_arrays([pa.array(x.view(np.int64)) for x in (a[at], b[at], c)], names=["a", "b", "c"])
+    vocabulary: Vocabulary
+    automaton: Automaton
+    words: grams.Often
+    pairs: grams.Level
+    triples: grams.Level
 
-    def scan(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        held, size = [], 0
-        for batch in batches:
-            for _, _, tokens, first in _token_blocks(batch.column(0)):
-                a, b, k = _pairs_of(tokens, first)
-                if pairs is not None:
-                    at = _triples_of(k, first)
-                    some = passes(pairs.value, k)
-                    at = at[some[at] & some[at - 1]]
-                    a, b = k[at - 1], k[at]
-                held.append((a, b))
-                size += len(a)
-                if size > TOGETHER:
-                    yield counted(held)
-                    held, size = [], 0
-        if held:
-            yield counted(held)
 
-    def keyed(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            a, b = (batch.column(i).to_numpy().view(np.uint64) for i in (0, 1))
-            yield pa.RecordBatch.from_arrays([pa.array(_mixed(a, b).view(np.int64)), *batch.columns], names=["k", "a", "b", "c"])
-
-    found = train.select(text).mapInArrow(scan, "a long, b long, c long").groupBy("a", "b").agg(F.sum("c").alias("c"))
-    return found.filter(F.col("c") >= LEAST).mapInArrow(keyed, "k long, a long, b long, c long")
-
-
-def _looked_up(df: DataFrame, facts: DataFrame, key: str, often) -> DataFrame:
-    """df joined with facts, whose often needed rows (few by a bound) are broadcast."""
-    many = F.broadcast(facts.filter(often))
-    return df.join(many, key).unionByName(df.join(F.broadcast(facts.filter(often).select(key)), key, "left_anti").join(facts.filter(~often), key))
-
-
-def ngrams(train: DataFrame, text: str) -> tuple[DataFrame, DataFrame]:
-    """The model's pairs and triples (k, a, b, c)."""
-    pairs = saved(_gram_counts(train, text), "pair-counts")
-    return pairs, saved(_gram_counts(train, text, key_filter(pairs, "k")), "triple-counts")
-
-
-def gram_tables(train: DataFrame, pairs: DataFrame, triples: DataFrame, counts: DataFrame, n: int, v: int, texts: int) -> tuple[DataFrame, DataFrame, DataFrame]:
-    """words (w, seen, w1), pairs (k, c, gain, w2) and triples (k, c, gain): failure weights and what arcs gain over failing.
-    The given pairs and triples, if they are saved tables, are removed as soon as they have been read."""
-    least = max(LEAST, int(np.ceil(CONTEXT_SHARE * n)))
-    p1 = (F.col("cb") + 0.5) / F.lit(n + 0.5 * (v + 1))
-    ended = _looked_up(pairs, counts.select(F.col("w").alias("b"), F.col("c").alias("cb")), "b", F.col("cb") >= least)
-    start = train.sparkSession.createDataFrame([(int(START.view(np.int64)), texts)], "w long, c long")
-    left = ended.groupBy("a").agg(F.sum(F.col("c") - DISCOUNT).alias("spent"), F.sum(p1).alias("below"))
-    seen = counts.unionByName(start).select(F.col("w").alias("a"), F.col("c").alias("seen"))
-    words = saved(left.join(seen, "a").select("a", "seen", F.log10((1 - F.col("spent") / F.col("seen")) / (1 - F.col("below"))).alias("w1")), "word-weights")
-    p2 = F.log10((F.col("c") - DISCOUNT) / F.col("seen"))
-    arcs = saved(_looked_up(ended, words, "a", F.col("seen") >= least).select("k", "c", p2.alias("p2"), (p2 - F.col("w1") - F.log10(p1)).alias("gain")), "pair-arcs")
-    discard(pairs)
-    ended = _looked_up(triples, arcs.select(F.col("k").alias("b"), F.col("c").alias("cb"), "p2"), "b", F.col("cb") >= least)
-    left = ended.groupBy("a").agg(F.sum(F.col("c") - DISCOUNT).alias("spent"), F.sum(F.pow(F.lit(10.0), F.col("p2"))).alias("below"))
-    seen = arcs.select(F.col("k").alias("a"), F.col("c").alias("seen"))
-    contexts = saved(left.join(seen, "a").select("a", "seen", F.log10((1 - F.col("spent") / F.col("seen")) / (1 - F.col("below"))).alias("w2")), "pair-weights")
-    gain = F.log10((F.col("c") - DISCOUNT) / F.col("seen")) - F.col("w2") - F.col("p2")
-    longer = saved(_looked_up(ended, contexts, "a", F.col("seen") >= least).select("k", "c", gain.alias("gain")), "triple-arcs")
-    discard(triples)
-    both = saved(arcs.select("k", "c", "gain").join(contexts.select(F.col("a").alias("k"), "w2"), "k", "left"), "pair-terms")
-    discard(arcs, contexts)
-    return words.withColumnRenamed("a", "w"), both, longer
+def _thresholds(n: int) -> tuple[int, int]:
+    """How often numbered words, and frequent n-grams, occur at least."""
+    return max(1, int(np.ceil(SHARE * n))), max(LEAST, int(np.ceil(CONTEXT_SHARE * n)))
+
+
+def learn(train: DataFrame, text: str, counts: DataFrame) -> Learned:
+    sums = counts.agg(F.coalesce(F.sum("c"), F.lit(0)).alias("n"), F.count("*").alias("v"), F.coalesce(F.sum(F.when(F.col("w") == int(END.view(np.int64)), F.col("c"))), F.lit(0)).alias("texts")).first()
+    n = sums["n"]
+    numbered, least = _thresholds(n)
+    hashes, c = _collected(counts.filter(F.col("c") >= numbered), "w")
+    vocabulary = Vocabulary(hashes.view(np.uint64), c, n, sums["v"])
+    keys, seen = np.append(vocabulary.hashes, START), np.append(c, sums["texts"]).astype(np.float64)
+    order = np.argsort(keys)
+    words = grams.Often(keys[order], seen[order], vocabulary.unigram(seen)[order])
+    pairs = grams.level(train, text, words, words, None, lambda buckets, p: grams.facts_of(counts, numbered, buckets, vocabulary.unigram if p else None), least, n, "pair")
+    k, c, p, _ = grams.frequent(pairs.arcs, 1, least)
+    order = np.argsort(k)
+    often = grams.Often(k[order], c[order].view(np.int64).astype(np.float64), p[order].view(np.float64))
+    triples = grams.level(train, text, words, often, pairs.marked, lambda buckets, p: grams.facts_of_arcs(pairs.arcs, least, buckets, p), least, n, "triple")
+    return Learned(vocabulary, _automaton(vocabulary, pairs.often, triples.often, sums["texts"]), words, pairs, triples)
 
 
 @dataclass
@@ -314,66 +265,87 @@ def _at(keys: np.ndarray, terms: np.ndarray, wanted: np.ndarray) -> np.ndarray:
     return np.where(keys[at] == wanted, terms[at], 0.0)
 
 
-def complete(vocabulary: Vocabulary, automaton: Automaton, counts: DataFrame, words: DataFrame, pairs: DataFrame, triples: DataFrame) -> tuple[Rest, DataFrame]:
-    """Gives the automaton's failure arcs the whole model's weights; returns what it lacks, and the
-    terms (k, term, base) of the words without a number and the n-grams that are looked up by a join."""
-    n = vocabulary.total
-    least = max(LEAST, int(np.ceil(CONTEXT_SHARE * n)))
+def complete(learned: Learned) -> Rest:
+    """Gives the automaton's failure arcs the whole model's weights; returns what it lacks (but the filter)."""
+    vocabulary, automaton, words = learned.vocabulary, learned.automaton, learned.words
+    _, least = _thresholds(vocabulary.total)
 
-    def sorted_columns(df: DataFrame) -> list[np.ndarray]:
-        found = df.toArrow()
-        key, *more = (found.column(i).to_numpy() for i in range(found.num_columns))
-        key = key.view(np.uint64)
-        order = np.argsort(key)
-        return [key[order], *(x[order] for x in more)]
+    def gains(level: grams.Level) -> tuple[np.ndarray, np.ndarray]:
+        k, _, _, gain = grams.frequent(level.arcs, 1, least)
+        order = np.argsort(k)
+        return k[order], gain[order].view(np.float64)
 
-    numbered = (F.col("seen") >= max(1, int(np.ceil(SHARE * n)))) | (F.col("w") == int(START.view(np.int64)))
-    of_word = _at(*sorted_columns(words.filter(numbered).select("w", "w1")), np.append(vocabulary.hashes, START))
-    k2, gain2, w2 = sorted_columns(pairs.filter(F.col("c") >= least).select("k", "gain", F.coalesce("w2", F.lit(0.0))))
-    k3, gain3 = sorted_columns(triples.filter(F.col("c") >= least).select("k", "gain"))
+    of_word = _at(words.keys, learned.pairs.weights, np.append(vocabulary.hashes, START))
+    (k2, gain2), (k3, gain3) = gains(learned.pairs), gains(learned.triples)
+    w2 = learned.triples.weights
     hashes, mask = np.append(vocabulary.hashes, START), (1 << BITS) - 1
-    keyed = lambda pair: _mixed(hashes[pair >> BITS], hashes[pair & mask])
+    keyed = lambda pair: mixed(hashes[pair >> BITS], hashes[pair & mask])
     ones, twos = automaton.ones, keyed(automaton.twos)
     automaton.weight[1 : 1 + len(ones)] = of_word[ones]
     automaton.weight[1 + len(ones) :] = _at(k2, w2, twos)
     of_word[ones] = 0
     first, last = automaton.triples >> BITS, (automaton.triples >> BITS & mask) << BITS | automaton.triples & mask
     lacks2 = np.where(np.isin(k2, keyed(automaton.pairs)), 0, gain2) + np.where(np.isin(k2, twos), 0, w2)
-    lacks3 = np.where(np.isin(k3, _mixed(keyed(first), keyed(last))), 0, gain3)
+    lacks3 = np.where(np.isin(k3, mixed(keyed(first), keyed(last))), 0, gain3)
     keys, terms = np.concatenate([k2, k3]), np.concatenate([lacks2, lacks3])
     order = np.argsort(keys)
     order = order[terms[order] != 0]
-    rare = F.col("c") < least
-    rows = pairs.filter(rare).select("k", (F.col("gain") + F.coalesce("w2", F.lit(0.0))).alias("term")).unionByName(triples.filter(rare).select("k", F.col("gain").alias("term")))
-    marked = key_filter(rows, "k").value
-    base = F.log10((F.col("c") + 0.5) / F.lit(n + 0.5 * (vocabulary.distinct + 1)))
-    cold = counts.filter(F.col("c") < max(1, int(np.ceil(SHARE * n)))).withColumn("base", base).join(words.select("w", "w1"), "w", "left")
-    rows = rows.select("k", "term", F.lit(0.0).alias("base")).unionByName(cold.select(F.col("w").alias("k"), (F.col("base") + F.coalesce("w1", F.lit(0.0))).alias("term"), "base"))
-    return Rest(float(of_word[-1]), of_word[:-1], keys[order], terms[order], marked), saved(rows, "rare-terms")
+    return Rest(float(of_word[-1]), of_word[:-1], keys[order], terms[order], np.zeros(0, np.uint64))
+
+
+def rare_terms(learned: Learned, counts: DataFrame, buckets: int) -> DataFrame:
+    """Packed terms of the words without a number and of the n-grams that are looked up; a key may have several."""
+    vocabulary = learned.vocabulary
+    numbered, least = _thresholds(vocabulary.total)
+    total, distinct = float(vocabulary.total), float(vocabulary.distinct)
+
+    def packed(k: np.ndarray, term: np.ndarray, base: np.ndarray | None = None) -> pa.RecordBatch:
+        order, found = grams.slices(grams.buckets_of(k, buckets))
+        k, term, base = k[order], term[order], None if base is None else base[order]
+        return pa.RecordBatch.from_arrays(_packed([(b, TERMS, k[i:j].tobytes(), term[i:j].tobytes(), b"" if base is None else base[i:j].tobytes()) for b, i, j in found]), names=NAMES)
+
+    def of_arcs(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for kind, columns in grams.together(batches):
+            k, term = columns[0], columns[-1].view(np.float64)
+            if kind == grams.ROWS:
+                some = columns[1].view(np.int64) < least
+                k, term = k[some], term[some]
+            if len(k):
+                yield packed(k, term)
+
+    def of_words(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            if batch.num_rows:
+                base = np.log10((batch.column(1).to_numpy() + 0.5) / (total + 0.5 * (distinct + 1)))
+                yield packed(batch.column(0).to_numpy().view(np.uint64), base, base)
+
+    cold = counts.filter(F.col("c") < numbered).select("w", "c")
+    found = [cold.mapInArrow(of_words, PACKED), *(x.arcs.mapInArrow(of_arcs, PACKED) for x in (learned.pairs, learned.triples))]
+    return grams.stored(found[0].unionByName(found[1]).unionByName(found[2]), "rare-terms")
+
 
+def _marked(terms: DataFrame) -> np.ndarray:
+    """A filter of the keys of packed terms of n-grams (which have no bases)."""
+    rows = terms.filter(F.length("z") == 0).select("bucket", "kind", (F.length("x") / 8).cast("int").alias("n"), F.col("x").alias("d"))
+    return grams.marks_of(rows, RARE_BITS, lambda columns: columns[0])
 
-def build(train: DataFrame, text: str, counts: DataFrame, grams: tuple[DataFrame, DataFrame] | None = None) -> tuple[Vocabulary, Automaton]:
+
+def build(train: DataFrame, text: str, counts: DataFrame) -> tuple[Vocabulary, Automaton]:
     """The numbered words, and the automaton of the n-grams of numbered words that are frequent enough."""
-    pairs, triples = grams or ngrams(train, text)
-    sums = counts.agg(F.coalesce(F.sum("c"), F.lit(0)).alias("n"), F.count("*").alias("v")).first()
-    n = sums["n"]
-    hashes, c = _collected(counts.filter(F.col("c") >= max(1, int(np.ceil(SHARE * n)))), "w")
-    vocabulary = Vocabulary(hashes.view(np.uint64), c, n, sums["v"])
-    least = max(LEAST, int(np.ceil(CONTEXT_SHARE * n)))
-    at_end = np.searchsorted(vocabulary.hashes, END)
-    texts = int(c[at_end]) if at_end < len(c) and vocabulary.hashes[at_end] == END else 0
+    learned = learn(train, text, counts)
+    return learned.vocabulary, learned.automaton
 
-    def frequent(df: DataFrame) -> list[np.ndarray]:
-        found = df.filter(F.col("c") >= least).select("k", "a", "b", "c").toArrow()
-        k, a, b, c = (found.column(i).to_numpy() for i in range(4))
-        return [k.view(np.uint64), a.view(np.uint64), b.view(np.uint64), c]
+
+def _automaton(vocabulary: Vocabulary, pairs: tuple[np.ndarray, ...], triples: tuple[np.ndarray, ...], texts: int) -> Automaton:
+    """The automaton of the frequent pairs and triples (left, right, count) that consist of numbered words."""
 
     def packed(a: np.ndarray, b: np.ndarray, c: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
         key = a << BITS | b
         order = np.argsort(key)
         return key[order], c[order]
 
-    k, a, b, c2 = frequent(pairs)
+    a, b, c2 = pairs
+    k = mixed(a, b)
     left = np.where(a == START, vocabulary.start, vocabulary.numbers(a))
     right = vocabulary.numbers(b)
     held = (left >= 0) & (right >= 0)
@@ -387,11 +359,11 @@ def build(train: DataFrame, text: str, counts: DataFrame, grams: tuple[DataFrame
         at = by_key[np.minimum(np.searchsorted(k, key, sorter=by_key), len(k) - 1)]
         return at, k[at] == key
 
-    _, a, b, c3 = frequent(triples)
+    a, b, c3 = triples
     (i, first), (j, second) = pair_of(a), pair_of(b)
     both = first & second
     i, j, c3 = i[both], j[both], c3[both]
-    return vocabulary, Automaton(vocabulary, packed(left, right, c2), packed(left[i] << BITS | right[i], right[j], c3), texts)
+    return Automaton(vocabulary, packed(left, right, c2), packed(left[i] << BITS | right[i], right[j], c3), texts)
 
 
 def score_documents(docs: DataFrame, key: str = "doc_id", text: str = "text") -> DataFrame:
@@ -399,70 +371,40 @@ def score_documents(docs: DataFrame, key: str = "doc_id", text: str = "text") ->
     held = lambda k: F.coalesce(F.crc32(F.col(k).cast("string").cast("binary")) % FOLDS == HELD_OUT, F.lit(False))
     train = docs.filter(~held(key))
     counts = saved(word_counts(train, text), "word-counts")
-    pairs, triples = ngrams(train, text)
-    vocabulary, automaton = build(train, text, counts, (pairs, triples))
-    texts = counts.filter(F.col("w") == int(END.view(np.int64))).agg(F.coalesce(F.sum("c"), F.lit(0)).alias("n")).first()["n"]
-    word_terms, pair_terms, triple_terms = gram_tables(train, pairs, triples, counts, vocabulary.total, vocabulary.distinct, texts)
-    lacking, others = complete(vocabulary, automaton, counts, word_terms, pair_terms, triple_terms)
-    discard(pair_terms, triple_terms, counts)
+    learned = learn(train, text, counts)
+    vocabulary, automaton = learned.vocabulary, learned.automaton
+    lacking = complete(learned)
     n, v = float(vocabulary.total), float(vocabulary.distinct)
     unseen = float(np.log10(0.5 / (n + 0.5 * (v + 1))))
-    buckets = max(2 * docs.sparkSession.sparkContext.defaultParallelism, -(-others.count() // BUCKET_KEYS))
-    parts = parts_of_scores(docs, key, text, vocabulary, automaton, lacking, buckets)
-    rows = summed_terms(parts.unionByName(packed_terms(others, buckets), allowMissingColumns=True), key, buckets, unseen)
-    summed = rows.groupBy("row").agg(F.max(key).alias(key), *(F.sum(c).alias(c) for c in ("n_tokens", "n_known", "base_score", "score")))
+    rare = vocabulary.distinct + sum(grams.rows_of(x.arcs) for x in (learned.pairs, learned.triples))
+    buckets = max(2 * docs.sparkSession.sparkContext.defaultParallelism, -(-rare // BUCKET_KEYS))
+    terms = rare_terms(learned, counts, buckets)
+    discard(learned.pairs.arcs, learned.triples.arcs, counts)
+    lacking.others = _marked(terms)
+    model = docs.sparkSession.sparkContext.broadcast((vocabulary, automaton, lacking))
+    found = []
+    for turn in range(TURNS):
+        parts = parts_of_scores(docs, key, text, model, turn, buckets)
+        rows = summed_terms(parts.unionByName(terms, allowMissingColumns=True), key, buckets, unseen)
+        found.append(saved(rows.groupBy("row").agg(F.max(key).alias(key), *(F.sum(c).alias(c) for c in ("n_tokens", "n_known", "base_score", "score"))).drop("row"), "scores"))
+    discard(terms)
+    summed = reduce(DataFrame.unionByName, found)
     return summed.select(key, held(key).alias("held_out"), "n_tokens", "n_known", F.lit(int(n)).cast("long").alias("train_tokens"), "base_score", "score")
 
 
 #: Kinds of packed rows: terms of keys, n-grams of documents, words of documents.
 TERMS, GRAMS, WORDS = 0, 1, 2
 PACKED = "bucket int, kind int, x binary, y binary, z binary"
+NAMES = ["bucket", "kind", "x", "y", "z"]
 #: Keys of terms that one bucket holds (24 bytes each).
 BUCKET_KEYS = 1_000_000
 
 
-def _buckets(keys: np.ndarray, count: int) -> np.ndarray:
-    """Buckets of well mixed keys (uint64)."""
-    return ((keys >> np.uint64(32)) * np.uint64(count) >> np.uint64(32)).astype(np.int32)
-
-
-def _slices(bucket: np.ndarray) -> Iterator[tuple[int, np.ndarray]]:
-    """Each bucket and the places of its members, in their order."""
-    order = np.argsort(bucket, kind="stable")
-    cuts = np.flatnonzero(np.diff(bucket[order])) + 1
-    for at in np.split(order, cuts) if len(order) else []:
-        yield int(bucket[at[0]]), at
-
-
 def _packed(rows: list[tuple[int, int, bytes, bytes, bytes]]) -> list[pa.Array]:
     bucket, kind, *data = zip(*rows, strict=True)
     return [pa.array(bucket, pa.int32()), pa.array(kind, pa.int32()), *(pa.array(d, pa.binary()) for d in data)]
 
 
-def packed_terms(terms: DataFrame, buckets: int) -> DataFrame:
-    """Rows (k, term, base) as arrays of keys, terms and bases, by bucket."""
-    names = [f.split()[0] for f in PACKED.split(", ")]
-
-    def packed(held: list[list[np.ndarray]]) -> pa.RecordBatch:
-        k, term, base = (np.concatenate(c) for c in zip(*held, strict=True))
-        found = [(b, TERMS, k[at].tobytes(), term[at].tobytes(), base[at].tobytes()) for b, at in _slices(_buckets(k, buckets))]
-        return pa.RecordBatch.from_arrays(_packed(found), names=names)
-
-    def scan(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        held, size = [], 0
-        for batch in batches:
-            k, term, base = (batch.column(i).to_numpy() for i in range(3))
-            held.append([k.view(np.uint64), term, base])
-            size += len(k)
-            if size > TOGETHER:
-                yield packed(held)
-                held, size = [], 0
-        if size:
-            yield packed(held)
-
-    return terms.select("k", "term", "base").mapInArrow(scan, PACKED)
-
-
 def summed_terms(parts: DataFrame, key: str, buckets: int, unseen: float) -> DataFrame:
     """Partial sums by row: a document's own row as it is, and for each packed row of its n-grams or
     words what their terms add. A bucket's terms come first, then its packed rows one after another."""
@@ -476,7 +418,7 @@ def summed_terms(parts: DataFrame, key: str, buckets: int, unseen: float) -> Dat
             plain = batch.filter(kinds.is_null())
             if plain.num_rows:
                 yield plain.select(schema.names)
-            packed = batch.filter(kinds.is_valid()).select(["bucket", "kind", "x", "y", "z"])
+            packed = batch.filter(kinds.is_valid()).select(NAMES)
             found = []
             for i in range(packed.num_rows):
                 bucket, kind = packed.column(0)[i].as_py(), packed.column(1)[i].as_py()
@@ -484,12 +426,15 @@ def summed_terms(parts: DataFrame, key: str, buckets: int, unseen: float) -> Dat
                 if bucket != at_bucket:
                     at_bucket, held, table = bucket, [], None
                 if kind == TERMS:
-                    held.append([np.frombuffer(x, np.uint64).copy(), np.frombuffer(y).copy(), np.frombuffer(z).copy()])
+                    k = np.frombuffer(x, np.uint64).copy()
+                    held.append([k, np.frombuffer(y).copy(), np.frombuffer(z).copy() if z.size else np.zeros(len(k))])
                     continue
                 if table is None:
                     table = [np.concatenate(c) for c in zip(*held, strict=True)] if held else [np.zeros(0, np.uint64), np.zeros(0), np.zeros(0)]
                     order = np.argsort(table[0])
-                    table, held = [c[order] for c in table], []
+                    k, term, base = (c[order] for c in table)
+                    starts = np.flatnonzero(np.concatenate([[True], k[1:] != k[:-1]])) if len(k) else np.zeros(0, np.int64)
+                    table, held = [k[starts], *(np.add.reduceat(c, starts) if len(k) else c for c in (term, base))], []
                 found.append(_summed(*table, kind, np.frombuffer(x, np.int64), np.frombuffer(y, np.int32), np.frombuffer(z, np.uint64), unseen))
             if found:
                 row, known, base, score = (np.concatenate(c) for c in zip(*found, strict=True))
@@ -515,10 +460,9 @@ def _summed(keys: np.ndarray, terms: np.ndarray, bases: np.ndarray, kind: int, r
     return row, np.add.reduceat(hit.astype(np.int64), first), np.add.reduceat(base, first), np.add.reduceat(term, first)
 
 
-def parts_of_scores(docs: DataFrame, key: str, text: str, vocabulary: Vocabulary, automaton: Automaton, lacking: Rest, buckets: int) -> DataFrame:
-    """From one scan: a row of each document, with what the automaton gives it, and packed rows of the
+def parts_of_scores(docs: DataFrame, key: str, text: str, model: Broadcast, turn: int, buckets: int) -> DataFrame:
+    """From one scan: a row of each document of a turn, with what the automaton gives it, and packed rows of the
     words without a number and of the n-grams that may be among the others: rows, sizes, keys."""
-    model = docs.sparkSession.sparkContext.broadcast((vocabulary, automaton, lacking))
     own = T.StructType([T.StructField("row", T.LongType()), T.StructField(key, docs.schema[key].dataType), *(T.StructField(c, T.LongType()) for c in ("n_tokens", "n_known")), *(T.StructField(c, T.DoubleType()) for c in ("base_score", "score"))])
     packed = T.StructType([T.StructField("bucket", T.IntegerType()), T.StructField("kind", T.IntegerType()), *(T.StructField(c, T.BinaryType()) for c in "xyz")])
     schema = T.StructType([*own, *packed])
@@ -531,11 +475,14 @@ def parts_of_scores(docs: DataFrame, key: str, text: str, vocabulary: Vocabulary
             if not mine:
                 continue
             row, k = (np.concatenate(c) for c in zip(*mine, strict=True))
-            for bucket, at in _slices(_buckets(k, buckets)):
-                order = at[np.argsort(row[at], kind="stable")]
-                of = row[order]
+            by_row = np.argsort(row, kind="stable")
+            row, k = row[by_row], k[by_row]
+            order, ranges = grams.slices(grams.buckets_of(k, buckets))
+            row, k = row[order], k[order]
+            for bucket, i, j in ranges:
+                of = row[i:j]
                 first = np.flatnonzero(np.concatenate([[True], of[1:] != of[:-1]]))
-                found.append((bucket, kind, of[first].tobytes(), np.diff(np.append(first, len(of))).astype(np.int32).tobytes(), k[order].tobytes()))
+                found.append((bucket, kind, of[first].tobytes(), np.diff(np.append(first, len(of))).astype(np.int32).tobytes(), k[i:j].tobytes()))
         nothing = [pa.nulls(len(found), t) for t in (pa.int64(), key_type, pa.int64(), pa.int64(), pa.float64(), pa.float64())]
         return pa.RecordBatch.from_arrays([*nothing, *_packed(found)], names=schema.names)
 
@@ -544,14 +491,14 @@ def parts_of_scores(docs: DataFrame, key: str, text: str, vocabulary: Vocabulary
         held, size, key_type = [], 0, None
         for batch in batches:
             at_row, key_type = batch.column(0).to_numpy(), batch.column(1).type
-            for x, y, tokens, first in _token_blocks(batch.column(2)):
+            for x, y, tokens, first in token_blocks(batch.column(2)):
                 row = at_row[x:y]
                 words = vocabulary.numbers(tokens)
                 known = words >= 0
                 owner = np.repeat(np.arange(y - x), np.diff(first))
                 _, _, k2 = _pairs_of(tokens, first)
                 at3 = _triples_of(k2, first)
-                k3 = _mixed(k2[at3 - 1], k2[at3])
+                k3 = mixed(k2[at3 - 1], k2[at3])
                 gained = _at(lacking.keys, lacking.terms, k2) + np.where(known, np.append(lacking.words, 0.0)[words], 0.0)
                 gained[at3] += _at(lacking.keys, lacking.terms, k3)
                 unigram = np.where(known, automaton.root_log[np.maximum(words, 0)] if len(automaton.root_log) else 0.0, 0.0)
@@ -569,4 +516,6 @@ def parts_of_scores(docs: DataFrame, key: str, text: str, vocabulary: Vocabulary
         if size:
             yield bundled(held, key_type)
 
-    return docs.select(F.monotonically_increasing_id().alias("row"), F.col(key), F.col(text)).mapInArrow(scan, schema)
+    # by key: a row has the same turn however often its table is read
+    mine = docs.filter(F.pmod(F.xxhash64(F.col(key).cast("string")), F.lit(TURNS)) == turn)
+    return mine.select(F.monotonically_increasing_id().alias("row"), F.col(key), F.col(text)).mapInArrow(scan, schema)
