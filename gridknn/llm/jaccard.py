@@ -53,15 +53,21 @@ FEW = 4
 SHARED_BITS = 27
 #: Buckets of the parities that matrix rows carry.
 SHORT = 512
+#: Sets whose buckets are counted at a time: 2 MB.
+COUNTED = 512
 #: Classes that a task remembers having met.
 REMEMBERED = 200_000
 PIECE = 20_000
-#: Matrix rows that are looked at together, unless one token has more.
-ROWS = 500_000
+#: Matrix rows that are looked at together, unless one token has more: 13 MB, of which a few copies are made.
+ROWS = 125_000
+#: Pairs that are made distinct before they are handed on, about.
+PAIRS = 500_000
 #: Tokens that are counted together before their repetitions are handed on: 16 MB.
 TOGETHER = 2_000_000
 #: Tokens of a slice of the hashes, about.
 SLICE_TOKENS = 4_000_000
+#: Tokens of a slice that are summed at a time, about.
+SUMMED = 250_000
 
 
 def shingle_sets(data: np.ndarray, offsets: np.ndarray, size: int = WORDS) -> tuple[np.ndarray, np.ndarray]:
@@ -115,9 +121,14 @@ def parities(tokens: np.ndarray, n: np.ndarray) -> pa.Array:
 
 
 def short_parities(tokens: np.ndarray, owner: np.ndarray, rows: int) -> np.ndarray:
-    """The same over SHORT buckets for every set, as rows of 64-bit words."""
-    odd = np.bincount(owner * SHORT + (tokens & np.uint64(SHORT - 1)).astype(np.int64), minlength=rows * SHORT) & 1
-    return np.packbits(odd.astype(np.uint8), bitorder="little").view(np.uint64).reshape(rows, SHORT // 64)
+    """The same over SHORT buckets for every set, as rows of 64-bit words. owner has to rise."""
+    out = np.empty((rows, SHORT // 64), np.uint64)
+    for a in range(0, rows, COUNTED):
+        b = min(a + COUNTED, rows)
+        i, j = np.searchsorted(owner, [a, b])
+        odd = np.bincount((owner[i:j] - a) * SHORT + (tokens[i:j] & np.uint64(SHORT - 1)).astype(np.int64), minlength=(b - a) * SHORT) & 1
+        out[a:b] = np.packbits(odd.astype(np.uint8), bitorder="little").view(np.uint64).reshape(b - a, SHORT // 64)
+    return out
 
 
 def _words(column: pa.Array) -> np.ndarray:
@@ -192,55 +203,71 @@ def token_totals(docs: DataFrame, text: str, total: int) -> DataFrame:
 
     Tokens travel as sorted arrays, one for each slice of the hashes, and slices are summed in
     numpy: a row of each token in each task would cost several times the space and time. The
-    number of slices follows the total, so that a slice's arrays stay small at any size.
+    number of slices follows the total, so that a slice's arrays stay small at any size. Each
+    slice is a batch of its own and is summed in parts, so that neither a worker nor the JVM
+    that reads from it holds copies of all of them.
     """
     bits = max(4, int(np.ceil(np.log2(max(1, total) / SLICE_TOKENS))))
 
-    def sliced(held: list[np.ndarray]) -> pa.RecordBatch:
-        values, counts = np.unique(np.concatenate(held), return_counts=True)
+    def sliced(values: np.ndarray) -> Iterator[pa.RecordBatch]:
+        values.sort()
         edges = np.searchsorted(values, np.arange(1, 1 << bits, dtype=np.uint64) << np.uint64(64 - bits))
         edges = np.concatenate([[0], edges, [len(values)]])
-        some = np.flatnonzero(np.diff(edges))
-        blobs = lambda x: pa.array([x[edges[i] : edges[i + 1]].tobytes() for i in some], pa.binary())
-        return pa.RecordBatch.from_arrays([pa.array(some), blobs(values), blobs(counts.astype(np.uint32))], names=["slice", "tokens", "counts"])
+        for i in np.flatnonzero(np.diff(edges)).tolist():
+            part = values[edges[i] : edges[i + 1]]
+            first = np.flatnonzero(np.concatenate([[True], part[1:] != part[:-1]]))
+            counts = np.diff(first, append=len(part)).astype(np.uint32)
+            yield pa.RecordBatch.from_arrays([pa.array([i]), pa.array([part[first].tobytes()], pa.binary()), pa.array([counts.tobytes()], pa.binary())], names=["slice", "tokens", "counts"])
 
     def scan(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         seen: set[int] = set()
-        held, size = [], 0
+        held, size = np.empty(TOGETHER, np.uint64), 0
         for batch in batches:
             for _, _, tokens, first, ids in _set_blocks(batch.column(0)):
                 n = np.diff(first)
                 rows = _once(ids, n, seen)
-                if len(rows):
-                    held.append(tokens[np.repeat(first[:-1][rows], n[rows]) + ts.ragged(n[rows])])
-                    size += len(held[-1])
-                if size > TOGETHER:
-                    yield sliced(held)
-                    held, size = [], 0
-        if held:
-            yield sliced(held)
-
-    def summed(held: list[tuple[bytes, bytes]]) -> pa.RecordBatch:
-        values = np.concatenate([np.frombuffer(t, np.uint64) for t, _ in held])
-        counts = np.concatenate([np.frombuffer(c, np.uint32) for _, c in held]).astype(np.int64)
-        order = np.argsort(values, kind="stable")
-        values, counts = values[order], counts[order]
-        first = np.flatnonzero(np.concatenate([[True], values[1:] != values[:-1]]))
-        counts = np.add.reduceat(counts, first)
-        keep = counts > 1
-        return pa.RecordBatch.from_arrays([pa.array(values[first][keep].view(np.int64)), pa.array(counts[keep])], names=["token", "n"])
+                mine = tokens[np.repeat(first[:-1][rows], n[rows]) + ts.ragged(n[rows])]
+                if size + len(mine) > TOGETHER:
+                    yield from sliced(held[:size])
+                    size = 0
+                if len(mine) > TOGETHER:
+                    yield from sliced(mine)
+                    continue
+                held[size : size + len(mine)] = mine
+                size += len(mine)
+        yield from sliced(held[:size])
+
+    def summed(held: list[tuple[np.ndarray, np.ndarray]]) -> Iterator[pa.RecordBatch]:
+        low, high = min(int(t[0]) for t, _ in held), max(int(t[-1]) for t, _ in held)
+        parts = -(-sum(len(t) for t, _ in held) // SUMMED)
+        cuts = np.array([low + (high - low) * i // parts for i in range(1, parts)], np.uint64)
+        edges = [[0, *np.searchsorted(t, cuts).tolist(), len(t)] for t, _ in held]
+        for p in range(parts):
+            spans = [slice(e[p], e[p + 1]) for e in edges]
+            values = np.concatenate([t[s] for (t, _), s in zip(held, spans, strict=True)])
+            if not len(values):
+                continue
+            counts = np.concatenate([c[s] for (_, c), s in zip(held, spans, strict=True)]).astype(np.int64)
+            order = np.argsort(values, kind="stable")
+            values, counts = values[order], counts[order]
+            first = np.flatnonzero(np.concatenate([[True], values[1:] != values[:-1]]))
+            counts = np.add.reduceat(counts, first)
+            keep = counts > 1
+            yield pa.RecordBatch.from_arrays([pa.array(values[first][keep].view(np.int64)), pa.array(counts[keep])], names=["token", "n"])
 
     def merge(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         now, held = -1, []
         for batch in batches:
             for s, t, c in zip(*(x.to_pylist() for x in batch.columns), strict=True):
                 if s != now and held:
-                    yield summed(held)
+                    yield from summed(held)
                     held = []
                 now = s
-                held.append((t, c))
+                held.append((np.frombuffer(t, np.uint64), np.frombuffer(c, np.uint32)))
         if held:
-            yield summed(held)
+            yield from summed(held)
+            held = []
+        ts.release()
 
     sent = docs.select(text).mapInArrow(scan, "slice long, tokens binary, counts binary")
     return sent.repartition("slice").sortWithinPartitions("slice").mapInArrow(merge, "token long, n long")
@@ -394,7 +421,7 @@ def qualifying(rows: DataFrame) -> DataFrame:
             i, j = i[may], j[may]
             held.append((np.minimum(owner[i], owner[j]), np.maximum(owner[i], owner[j]), ~(many[i] | many[j])))
             size += len(i)
-            if size > ROWS:
+            if size > PAIRS:
                 yield _distinct(held)
                 held, size = [], 0
         if size:

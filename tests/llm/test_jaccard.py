@@ -1,5 +1,9 @@
 import random
+import tracemalloc
+from collections import Counter
 
+import numpy as np
+import pyarrow as pa
 import pytest
 from gridknn.llm import components as cc
 from gridknn.llm import jaccard as jc
@@ -94,3 +98,57 @@ def test_components_of_a_path_and_a_star(spark):
     random.Random(5).shuffle(edges)
     out = {r.node: r.label for r in cc.components(spark.createDataFrame(edges, "a long, b long")).collect()}
     assert {out[i] for i in range(41)} == {0} and {out[100 + i] for i in range(30)} == {100} and out[501] == 500
+
+
+class Steps:
+    """Stands for a table: keeps the functions that go over its batches."""
+
+    def __init__(self):
+        self.found = []
+
+    def __getattr__(self, name):
+        def step(*args):
+            if name == "mapInArrow":
+                self.found.append(args[0])
+            return self
+
+        return step
+
+
+def test_token_totals_hold_few_copies(monkeypatch):
+    """Workers count tokens in place, and no batch holds more than a slice's part."""
+    monkeypatch.setattr(jc, "TOGETHER", 400_000)
+    monkeypatch.setattr(jc, "SLICE_TOKENS", 10**7)
+    rng = np.random.default_rng(6)
+    pool = rng.integers(0, 1 << 64, 600_000, dtype=np.uint64)
+    sets = [np.sort(rng.choice(pool, 50_000, replace=False)) for _ in range(40)]
+    sets.append(np.sort(rng.choice(pool, 450_000, replace=False)))
+
+    def blocks(column):
+        for i in range(len(column)):
+            at = column[i].as_py()
+            yield 0, 1, sets[at], np.array([0, len(sets[at])]), np.array([at + 1])
+
+    monkeypatch.setattr(jc, "_set_blocks", blocks)
+    steps = Steps()
+    jc.token_totals(steps, "text", 0)
+    scan, merge = steps.found
+
+    def measured(run, batches):
+        tracemalloc.start()
+        out, most = [], 0
+        for batch in run(batches):
+            out.append(batch)
+            most = max(most, tracemalloc.get_traced_memory()[1])
+        tracemalloc.stop()
+        return out, most
+
+    sliced, most = measured(scan, [pa.RecordBatch.from_arrays([pa.array([i])], names=["text"]) for i in range(len(sets))])
+    assert most < 5 * 8 * 450_000
+    assert all(b.num_rows == 1 for b in sliced)
+    lots = sorted(sliced, key=lambda b: b.column(0)[0].as_py())
+    totals, _ = measured(merge, lots)
+    assert max(b.num_rows for b in totals) <= 2 * jc.SUMMED
+    values, counts = np.unique(np.concatenate(sets), return_counts=True)
+    got_counts = Counter({t & (1 << 64) - 1: n for b in totals for t, n in zip(b.column(0).to_pylist(), b.column(1).to_pylist(), strict=True)})
+    assert got_counts == Counter(dict(zip(values[counts > 1].tolist(), counts[counts > 1].tolist(), strict=True)))
