@@ -4,6 +4,8 @@
 2. Classes are partitioned into groups of similar ones: those that share one of four
    min-hashes are compared with the bucket's centre, and exact links to centres are united.
    A group is connected by such links, so no pair inside it needs to be looked at again.
+   Classes that are still alone are then linked with a few of those next to them in the
+   rows of the matrix that comes next, which makes groups of loose clusters too.
 3. The matrix of tokens and groups holds, for each group, the union of its members' prefix
    tokens: the first quarter of a set (and one more) in an order that puts frequent tokens
    last. Sets that link share a token of both prefixes, so only groups that share a matrix
@@ -47,6 +49,9 @@ HEAVY, HEAVY_LEAST = 4_000_000, 2
 #: A pair goes to its centre for comparison if the smallest LOW tokens agree this much.
 HOPEFUL = 0.4
 SLICE = 400
+#: Single classes are chained by their first FIRST tokens and one of CHAINED others (a power of two), to
+#: STEPS of those next to them each way.
+FIRST, CHAINED, STEPS = 8, 4, 8
 #: Members of either group that are tried before they are opened, about.
 FEW = 4
 #: Size of the filter of tokens that two sets hold, as a power of two bits (16 MB).
@@ -328,7 +333,11 @@ def prefixes(docs: DataFrame, text: str, heavy: Broadcast) -> DataFrame:
 
 def grouped_prefixes(docs: DataFrame, text: str, heavy: Broadcast, grouped: DataFrame) -> DataFrame:
     """cid, g, many, n, tokens, places, parity: prefixes with their group, and whether it has other members."""
-    joined = prefixes(docs, text, heavy).join(grouped.withColumnRenamed("node", "cid"), "cid", "left")
+    return in_groups(prefixes(docs, text, heavy), grouped)
+
+
+def in_groups(prefix: DataFrame, grouped: DataFrame) -> DataFrame:
+    joined = prefix.join(grouped.withColumnRenamed("node", "cid"), "cid", "left")
     return joined.select("cid", F.coalesce("label", "cid").alias("g"), F.col("label").isNotNull().alias("many"), "n", "tokens", "places", "parity")
 
 
@@ -387,18 +396,18 @@ def _largest_side(token: np.ndarray, side: np.ndarray) -> np.ndarray:
     return out
 
 
-def _meeting(token: np.ndarray, side: np.ndarray, n: np.ndarray, room: np.ndarray) -> Iterator[tuple[np.ndarray, np.ndarray]]:
+def _meeting(token: np.ndarray, side: np.ndarray, n: np.ndarray, room: np.ndarray, steps: int | None = None) -> Iterator[tuple[np.ndarray, np.ndarray]]:
     """Places (i, j) of rows of one token and two sides whose bounds let their sets link.
 
     Rows lie by token and size. Each row meets the next one, then the one after it, for as long
     as the token is the same and the sizes fit, and likewise backwards; all rows take each step
     together. Rows of a token's largest side only wait to be met, so a side that bears a token
-    thousands of times costs nothing within itself.
+    thousands of times costs nothing within itself. steps: so many and no more each way.
     """
     begins = np.flatnonzero(~_largest_side(token, side))
     for way in (1, -1):
         i, step = begins, way
-        while len(i):
+        while len(i) and (steps is None or abs(step) <= steps):
             i = i[(i + step < len(token)) & (i + step >= 0)]
             j = i + step
             fits = (PERCENT * n[j] <= room[i]) if way > 0 else (100 * n[j] >= PERCENT * n[i])
@@ -409,12 +418,15 @@ def _meeting(token: np.ndarray, side: np.ndarray, n: np.ndarray, room: np.ndarra
             step += way
 
 
-def qualifying(rows: DataFrame) -> DataFrame:
-    """(a, b, single): owners that share a matrix row which leaves room for a link, a < b, and whether both are single classes."""
+def qualifying(rows: DataFrame, steps: int | None = None) -> DataFrame:
+    """(a, b, single): owners that share a matrix row which leaves room for a link, a < b, and whether both are single classes.
+
+    steps: only those so near in the order of the sizes that bear a token, so no more than twice as many for each row.
+    """
 
     def pairs(token: np.ndarray, owner: np.ndarray, side: np.ndarray, n: np.ndarray, room: np.ndarray, many: np.ndarray, parity: np.ndarray) -> Iterator[pa.RecordBatch]:
         held, size = [], 0
-        for i, j in _meeting(token, side, n, room):
+        for i, j in _meeting(token, side, n, room, steps):
             both = n[i] + n[j]
             common = (both - np.bitwise_count(parity[i] ^ parity[j]).sum(axis=1, dtype=np.int64)) // 2
             may = many[i] | many[j] | ((100 + PERCENT) * common >= PERCENT * both)
@@ -441,7 +453,8 @@ def qualifying(rows: DataFrame) -> DataFrame:
             token, n = columns[0], columns[3]
             done = int(np.searchsorted(token, token[-1])) if batch else len(token)
             held = [tuple(c[done:] for c in columns)]
-            order = np.lexsort((n[:done], token[:done]))
+            tie = ts.mix((columns[1] ^ token)[:done].view(np.uint64)) if steps else token[:done]  # equal sizes: other neighbours for each token
+            order = np.lexsort((tie, n[:done], token[:done]))
             yield from pairs(*(c[:done][order] for c in columns))
 
     dealt = rows.repartition("token").sortWithinPartitions("token")
@@ -528,6 +541,22 @@ def centre_pairs(classes: DataFrame, which: tuple[int, ...]) -> DataFrame:
     return both.filter(near & (100 * F.least("na", "nb") >= PERCENT * F.greatest("na", "nb"))).select("a", "b")
 
 
+def chained(docs: DataFrame, text: str, classes: DataFrame, prefix: DataFrame) -> DataFrame:
+    """Links of classes that are in no group so far to some of those next to them in rows of the matrix.
+
+    In a large cluster whose sets are only just alike, most have no link to a centre, and all their
+    links would come out of the matrix one by one: as many as the square of the cluster. A few for
+    each set, found here, make a group of them, inside which the matrix needn't look.
+    """
+    some = F.filter(F.arrays_zip("tokens", "places"), lambda x, i: (i < FIRST) | (x["tokens"].bitwiseAND(F.lit(CHAINED - 1)) == 0))
+    alone = prefix.filter("not many").withColumn("some", some).select("cid", "n", F.col("some.tokens").alias("tokens"), F.col("some.places").alias("places"), "parity")
+    pairs = saved(promising(qualifying(matrix(alone, "cid", "cid", F.lit(False)), STEPS).select("a", "b"), classes), "chained-pairs")
+    texts = class_texts(docs, text, _ends(pairs))
+    links = verified(texts, pairs)
+    discard(texts, pairs)
+    return links
+
+
 def group_links(docs: DataFrame, text: str, classes: DataFrame, passing: DataFrame, prefix: DataFrame, members: DataFrame, links: DataFrame) -> DataFrame:
     """All links found, those between opened groups included.
 
@@ -571,11 +600,17 @@ def jaccard_components(docs: DataFrame, key: str = "doc_id", text: str = "text")
     links = links.unionByName(verified(texts, apart(more, components(links))))
     discard(texts)
     grouped = components(links)
-    members = saved(classes.select("cid", "n").join(grouped.withColumnRenamed("node", "cid"), "cid", "left").select("cid", "n", F.coalesce("label", "cid").alias("g")), "members")
     total = classes.agg(F.coalesce(F.sum("n"), F.lit(0)).alias("t")).first()["t"]
     heavy = spark.sparkContext.broadcast(frequent_tokens(docs, text, total))
     prefix = saved(grouped_prefixes(docs, text, heavy, grouped), "prefixes")
-    passing = saved(qualifying(matrix(prefix, "g", "g", F.col("many"))), "qualifying")
+    rows = prefix
+    found = chained(docs, text, classes, prefix)
+    if not found.isEmpty():
+        links = links.unionByName(found)
+        grouped = components(links)
+        rows = in_groups(prefix.drop("g", "many"), grouped)
+    members = saved(classes.select("cid", "n").join(grouped.withColumnRenamed("node", "cid"), "cid", "left").select("cid", "n", F.coalesce("label", "cid").alias("g")), "members")
+    passing = saved(qualifying(matrix(rows, "g", "g", F.col("many"))), "qualifying")
     links = group_links(docs, text, classes, passing, prefix, members, links)
     labels = components(links).withColumnRenamed("node", "cid")
     rooted = classes.select("cid", "least").join(labels, "cid", "left").withColumn("label", F.coalesce("label", "cid"))

@@ -152,3 +152,25 @@ def test_token_totals_hold_few_copies(monkeypatch):
     values, counts = np.unique(np.concatenate(sets), return_counts=True)
     got_counts = Counter({t & (1 << 64) - 1: n for b in totals for t, n in zip(b.column(0).to_pylist(), b.column(1).to_pylist(), strict=True)})
     assert got_counts == Counter(dict(zip(values[counts > 1].tolist(), counts[counts > 1].tolist(), strict=True)))
+
+
+def test_loose_cluster_does_not_leave_the_matrix_pair_by_pair(spark, monkeypatch):
+    """Sets that are just alike enough link many times over; a few links each make them a group."""
+    rng = random.Random(7)
+    base = [f"w{i}" for i in range(120)]
+    rows = []
+    for k in range(240):
+        words = list(base)
+        for i in rng.sample(range(20, 100), 2):
+            words[i] = f"x{k}-{i}"
+        rows.append((k, " ".join(words)))
+    met, real = [], jc.qualifying
+
+    def counted(*args):
+        out = jc.saved(real(*args), "counted")
+        met.append(out.count())
+        return out
+
+    monkeypatch.setattr(jc, "qualifying", counted)
+    assert got(spark, rows) == brute(rows)
+    assert sum(met) < 10 * len(rows)
