@@ -1,8 +1,10 @@
 import math
 import random
 
+import numpy as np
 import pytest
-from gridknn.operators import joins, merge, probe
+from gridknn.functions.metrics import metric
+from gridknn.operators import joins, local, merge, probe
 from gridknn.operators.density import cell_counts
 from gridknn.operators.grid import GridSpec, bounds, suggest
 from gridknn.plans import cost, pipeline
@@ -222,3 +224,25 @@ def test_queries_at_one_place_are_searched_once_and_all_answered(spark, monkeypa
     votes = {r.pid: r.cls_pred for r in pipeline.classify(q, t, 5, grid, **options).collect()}
     assert len(votes) == len(queries) and len({votes[i] for i in range(0, 39, 13)}) == 1
     assert asked == [13, 13]
+
+
+def test_large_blocks_meet_only_near_tiles(monkeypatch):
+    """Queries of a cell with many points don't go through all of them; ties and repeated places stay as they are."""
+    rng = np.random.default_rng(4)
+    t = [np.round(rng.random(6000), 2), np.round(rng.random(6000), 3)]
+    q = [np.append(rng.random(700), t[0][:50]), np.append(rng.random(700), t[1][:50])]
+    tid, pid = np.arange(6000), np.append(np.arange(700) + 10_000, np.arange(50))
+    asked, dist = [], local._numpy_dist
+    monkeypatch.setattr(local, "_numpy_dist", lambda m, a, b: asked.append(len(a[0]) * len(b[0])) or dist(m, a, b))
+    for m in (metric("euclidean"), metric("chebyshev")):
+        whole = dist(m, q, t)
+        for r, skip in ((None, False), (None, True), (np.full(750, 0.03), False)):
+            asked.clear()
+            got = {}
+            for at, sizes, dists, take in local._block_lists(q, pid, r, t, tid, local._tiles_of(t, tid, q, []), 7, m, skip):
+                for i, ds, js in zip(at, np.split(dists, np.cumsum(sizes)[:-1]), np.split(take, np.cumsum(sizes)[:-1]), strict=True):
+                    got[i] = list(zip(ds, js, strict=True))
+            assert sum(asked) < whole.size / 2
+            for i in range(0, 750, 10):
+                ok = [(d, j) for j, d in enumerate(whole[i]) if not (skip and j == pid[i]) and (r is None or d <= 0.03 * (1 + 1e-9) + 1e-12)]
+                assert got[i] == sorted(ok)[:7], i
