@@ -2,8 +2,10 @@ import math
 import random
 
 import numpy as np
+import pyarrow as pa
 import pytest
 from gridknn.functions.metrics import metric
+from gridknn.operators import brute as brute_force
 from gridknn.operators import joins, local, merge, probe
 from gridknn.operators.density import cell_counts
 from gridknn.operators.grid import GridSpec, bounds, suggest
@@ -246,3 +248,21 @@ def test_large_blocks_meet_only_near_tiles(monkeypatch):
             for i in range(0, 750, 10):
                 ok = [(d, j) for j, d in enumerate(whole[i]) if not (skip and j == pid[i]) and (r is None or d <= 0.03 * (1 + 1e-9) + 1e-12)]
                 assert got[i] == sorted(ok)[:7], i
+
+
+def test_brute_force_takes_exact_distances_of_few_pairs_only(monkeypatch):
+    """All pairs are met in single precision; only those it can't rule out are in double, far from the origin too."""
+    rng = np.random.default_rng(5)
+    for shift in (0.0, 1e6):
+        t, q = ([np.round(rng.random(n), 3) + shift for _ in range(2)] for n in (4096, 300))
+        qs = pa.StructArray.from_arrays([pa.array(np.arange(300)), *map(pa.array, q)], names=["pid", "q0", "q1"])
+        asked, dist = [], brute_force._numpy_dist
+        monkeypatch.setattr(brute_force, "_numpy_dist", lambda m, a, b, dist=dist, asked=asked: asked.append(len(a[0]) * len(b[0])) or dist(m, a, b))
+        best = brute_force._Nearest(qs, 2, 5, metric("euclidean"), False)
+        for x in (0, 2048):
+            best.meet([c[x : x + 2048] for c in t], np.arange(x, x + 2048), np.zeros(2048, int))
+        assert sum(asked) <= 300 * 2048
+        monkeypatch.undo()
+        whole = dist(metric("euclidean"), q, t)
+        for i in range(300):
+            assert list(zip(best.dist[i], best.tid[i], strict=True)) == sorted(zip(whole[i], range(4096), strict=True))[:5]
